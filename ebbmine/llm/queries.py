@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
+from . import toxicity
 from .common import table
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -13,9 +15,23 @@ def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_main_text(table(spark, sf_dir, "pages"))
 
 
+def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"))
+    scored = toxicity.score(docs, model)
+    return scored.select(
+        "doc_id",
+        (~toxicity.in_training(F.col("doc_id"))).alias("held_out"),
+        "score",
+        F.when(F.col("score") >= toxicity.THRESHOLD, 1).otherwise(0).alias("predicted"),
+        "offending",
+    )
+
+
 def queries() -> dict:
     return {
         "op1_main_text": op1_main_text,
+        "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
     }
 
