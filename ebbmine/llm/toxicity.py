@@ -98,11 +98,11 @@ def fit(texts: list[str], toxic: list[int], size: int = 1 << 20, epochs: int = 1
         bags.append((np.array(flat, np.int64), np.array(starts, np.int64)))
     weights, power = np.zeros(size), np.full(size, 1e-3)
     bias, bias_power = -8.0, 1e-3
-    if len(set(toxic)) == 2:  # start: log odds of a document with the feature, by half a count smoothed
-        seen = np.full((2, size), 0.5)
+    if len(set(toxic)) == 2:  # start: log odds of a document with the feature, smoothed by one document in the labels' proportion
+        of = np.bincount(toxic, minlength=2)
+        seen = np.repeat((of / of.sum())[:, None], size, axis=1)
         for (flat, _), y in zip(bags, toxic):
             seen[y][np.unique(flat)] += 1
-        of = [max(1, toxic.count(y)) + 1 for y in (0, 1)]
         weights = np.maximum(np.log(seen[1] / of[1]) - np.log(seen[0] / of[0]) - 1.5, 0)
     rng = np.random.default_rng(seed)
     for _ in range(epochs if bags and len(set(toxic)) == 2 else 0):
@@ -127,7 +127,8 @@ def fit(texts: list[str], toxic: list[int], size: int = 1 << 20, epochs: int = 1
 
 
 def calibrated(texts: list[str], toxic: list[int]) -> NoisyOr:
-    """Fits on four fifths and shifts the log odds so that THRESHOLD falls where the other fifth is parted best."""
+    """Fits on four fifths and shifts the log odds so that THRESHOLD falls where the other fifth is parted best,
+    by at most 2 (a small sample says little about the tails)."""
     model = fit([x for k, x in enumerate(texts) if k % 5], [y for k, y in enumerate(toxic) if k % 5])
     judge = model.scorer()
     seen = sorted((min(max(judge(x)[0], 1e-9), 1 - 1e-9), y) for x, y in zip(texts[::5], toxic[::5]))
@@ -139,7 +140,7 @@ def calibrated(texts: list[str], toxic: list[int]) -> NoisyOr:
     k = best[2]
     if len({y for _, y in seen}) == 2 and 0 <= k < len(seen) - 1:
         odds = [math.log(p / (1 - p)) for p, _ in (seen[k], seen[k + 1])]
-        model.shift = math.log(THRESHOLD / (1 - THRESHOLD)) - sum(odds) / 2
+        model.shift = min(2.0, max(-2.0, math.log(THRESHOLD / (1 - THRESHOLD)) - sum(odds) / 2))
     return model
 
 
