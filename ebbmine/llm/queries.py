@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import toxicity
+from . import pieces, toxicity
 from .common import table
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -28,10 +28,22 @@ def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+#: The public vocabulary of the tokeniser; read on the driver only.
+PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
+
+
+def op10_shared_prefix_pieces(spark: SparkSession, sf_dir: str, model_path: str = PIECE_MODEL) -> DataFrame:
+    model = pieces.PieceModel(model_path)
+    both = pieces.decode_ids(pieces.encode_texts(table(spark, sf_dir, "documents"), model), model)
+    text = F.translate(F.coalesce("text", F.lit("")), pieces.MARK, " ")
+    return both.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", (F.col("decoded") == text).alias("round_trip"))
+
+
 def queries() -> dict:
     return {
         "op1_main_text": op1_main_text,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
+        "op10_shared_prefix_pieces": op10_shared_prefix_pieces,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
     }
 
