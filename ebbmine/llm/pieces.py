@@ -27,6 +27,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from pyspark.sql.types import StringType, StructField, StructType
+
 from .common import only
 
 MARK = "▁"
@@ -236,4 +238,4 @@ def decode_ids(encoded: DataFrame, model: PieceModel) -> DataFrame:
             texts = [decoded(sent.value, x.values.to_numpy(zero_copy_only=False).tolist()) if x.is_valid else "" for x in ids]
             yield batch.append_column("decoded", pa.array(texts, pa.string()))
 
-    return encoded.mapInArrow(run, encoded.schema.add("decoded", "string"))
+    return encoded.mapInArrow(run, StructType([*encoded.schema.fields, StructField("decoded", StringType())]))
