@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import pieces, toxicity
+from . import pieces, private_data, toxicity
 from .common import table
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -15,6 +15,10 @@ def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_main_text(table(spark, sf_dir, "pages"))
 
 
+def op3_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return private_data.digest(private_data.protect(table(spark, sf_dir, "documents")))
+
+
 def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
@@ -42,6 +46,7 @@ def op10_shared_prefix_pieces(spark: SparkSession, sf_dir: str, model_path: str
 def queries() -> dict:
     return {
         "op1_main_text": op1_main_text,
+        "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
         "op10_shared_prefix_pieces": op10_shared_prefix_pieces,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
