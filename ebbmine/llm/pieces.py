@@ -21,7 +21,6 @@ from __future__ import annotations
 
 import heapq
 import re
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +31,8 @@ from pyspark.sql.types import StringType, StructField, StructType
 from .common import only
 
 MARK = "▁"
-#: Distinct words and pairs of pieces remembered by a worker process.
-REMEMBERED = 600_000
+#: Distinct words, and pairs of pieces, remembered by a worker process.
+REMEMBERED, PAIRS = 200_000, 600_000
 
 
 class PieceModel:
@@ -57,75 +56,98 @@ class PieceModel:
         self.surface = [back.get(k, p.piece.replace(MARK, " ").encode() if p.type == 1 else b"") for k, p in enumerate(model.pieces)]
         self.longest = max(len(p) for p in self.ids if MARK * 2 not in p)
         lines = "\n" if not any("\n" in p for p in self.ids) else ""
+        # every ending of a piece: the piece itself if it is one that encodes to itself, else ""
+        self.endings = {}
+        if self.bpe:
+            for p in self.ids:
+                for k in range(1, len(p)):
+                    self.endings.setdefault(p[k:], "")
+            self.endings |= {p: p for p in self.ids if merged(self.scores, p) == [p]}
         self.word = re.compile(rf"{MARK}*[^{MARK}{lines}]+|{MARK}+" + (rf"|{lines}" if lines else ""))
         if any(MARK in p.lstrip(MARK) for p in self.ids):
             raise ValueError("the vocabulary has pieces across words")
 
 
+def merged(scores: dict[str, float], word: str) -> list[str]:
+    """Byte-pair encoding by its definition: the best adjacent pair, the leftmost of equals, is joined until none is left."""
+    part, n = list(word), len(word)
+    left, right = list(range(-1, n - 1)), [*range(1, n), -1]
+    queue = [(-scores[x], k, x) for k in range(n - 1) if (x := part[k] + part[k + 1]) in scores]
+    heapq.heapify(queue)
+    while queue:
+        _, k, x = heapq.heappop(queue)
+        r = right[k]
+        if not part[k] or r < 0 or len(part[k]) + len(part[r]) != len(x) or part[k] + part[r] != x:
+            continue
+        part[k], part[r] = x, ""
+        right[k] = right[r]
+        if right[r] >= 0:
+            left[right[r]] = k
+            y = x + part[right[r]]
+            if y in scores:
+                heapq.heappush(queue, (-scores[y], k, y))
+        if left[k] >= 0:
+            y = part[left[k]] + x
+            if y in scores:
+                heapq.heappush(queue, (-scores[y], left[k], y))
+    return [x for x in part if x]
+
+
 class Encoder:
     def __init__(self, model: PieceModel):
-        self.model, self.words, self.pairs, self.whole = model, {}, {}, {}
-
-    def merged(self, word: str) -> list[str]:
-        """Byte-pair encoding by its definition: the best adjacent pair, the leftmost of equals, is joined until none is left."""
-        scores = self.model.scores
-        part, n = list(word), len(word)
-        left, right = list(range(-1, n - 1)), [*range(1, n), -1]
-        queue = [(-scores[x], k, x) for k in range(n - 1) if (x := part[k] + part[k + 1]) in scores]
-        heapq.heapify(queue)
-        while queue:
-            _, k, x = heapq.heappop(queue)
-            r = right[k]
-            if not part[k] or r < 0 or len(part[k]) + len(part[r]) != len(x) or part[k] + part[r] != x:
-                continue
-            part[k], part[r] = x, ""
-            right[k] = right[r]
-            if right[r] >= 0:
-                left[right[r]] = k
-                y = x + part[right[r]]
-                if y in scores:
-                    heapq.heappush(queue, (-scores[y], k, y))
-            if left[k] >= 0:
-                y = part[left[k]] + x
-                if y in scores:
-                    heapq.heappush(queue, (-scores[y], left[k], y))
-        return [x for x in part if x]
-
-    def is_piece(self, x: str) -> bool:
-        known = self.whole.get(x)
-        if known is None:
-            known = self.whole[x] = len(x) == 1 or (x in self.model.ids and self.merged(x) == [x])
-        return known
-
-    def fits(self, q: str, p: str) -> bool:
-        known = self.pairs.get((q, p))
-        if known is None:
-            if len(self.pairs) > REMEMBERED:
-                self.pairs.clear()
-            known = self.pairs[q, p] = self.merged(q + p) == [q, p]
-        return known
+        self.model, self.words = model, {}
+        self.after: dict[str, dict[str, bool]] = {}  # after[q][p]: whether q and p, joined, encode to (q, p)
+        self.pairs = 0
+
+    def _fits(self, known: dict[str, bool], q: str, p: str) -> bool:
+        self.pairs += 1
+        known[p] = fits = merged(self.model.scores, q + p) == [q, p]
+        return fits
 
     def forward(self, words: list[str]) -> None:
         """Encodes sorted distinct words, walking their trie depth-first."""
         if not self.model.bpe:
             return self._best_scores(words)
-        ids, longest, fits, is_piece, whole = self.model.ids, self.model.longest, self.fits, self.is_piece, self.whole
+        if self.pairs > PAIRS:
+            self.after.clear()
+            self.pairs = 0
+        endings, after, fits, ids = self.model.endings.get, self.after, self._fits, self.model.ids
         last: list[str] = [""]  # last[i]: the last piece of the encoding of the first i characters
+        nexts: list[dict] = [{}]  # nexts[i]: what is known of the pieces after it
         before = ""
         for word in words:
             n = len(word)
             same, most = 0, min(n, len(before))
             while same < most and word[same] == before[same]:
                 same += 1
-            del last[same + 1 :]
+            del last[same + 1 :], nexts[same + 1 :]
             for i in range(same + 1, n + 1):
-                for j in range(max(0, i - longest), i):
-                    p = word[j:i]
-                    if (p in ids or j == i - 1) and (whole[p] if p in whole else is_piece(p)) and (j == 0 or fits(last[j], p)):
-                        last.append(p)
+                found = None
+                for j in range(i - 1, -1, -1):
+                    p = endings(word[j:i])
+                    if not p:
+                        if j == i - 1:
+                            p = word[j]  # a lone character may stand for itself
+                        elif p is None:
+                            break  # no piece ends like this
+                        else:
+                            continue
+                    if j:
+                        known = nexts[j]
+                        good = known.get(p)
+                        if good if good is not None else fits(known, last[j], p):
+                            found = p
+                            break
+                    else:
+                        found = p
                         break
-                else:
+                if found is None:
                     raise AssertionError(f"no last piece for {word[:i]!r}")
+                last.append(found)
+                known = after.get(found)
+                if known is None:
+                    known = after[found] = {}
+                nexts.append(known)
             before = word
             out, i = [], n
             while i:
@@ -158,7 +180,7 @@ class Encoder:
                 i -= len(last[i])
             self.words[word] = self._numbers(out[::-1])
 
-    def _numbers(self, parts: list[str]) -> tuple[int, ...]:
+    def _numbers(self, parts: list[str]) -> bytes:
         ids, low, out = self.model.ids, self.model.bytes, []
         for p in parts:
             k = ids.get(p)
@@ -168,9 +190,9 @@ class Encoder:
                 out += [low[b] for b in p.encode("utf-8", "surrogatepass")]
             else:
                 out.append(self.model.unknown)
-        return tuple(out)
+        return np.array(out, np.int32).tobytes()
 
-    def encode(self, texts: list[str | None], block_chars: int = 2 << 20) -> list[np.ndarray]:
+    def encode(self, texts: list[str | None], block_chars: int = 1 << 20) -> list[np.ndarray]:
         out, block, size = [], [], 0
         for text in texts:
             marked = (text or "").replace(" ", MARK)
@@ -189,10 +211,10 @@ class Encoder:
         new = {w for ws in split for w in ws} - self.words.keys()
         runs = {w for w in new if w.startswith(MARK * 2)} if self.model.bpe else set()
         for w in runs:
-            self.words[w] = self._numbers(self.merged(w))
+            self.words[w] = self._numbers(merged(self.model.scores, w))
         self.forward(sorted(new - runs))
         get = self.words.__getitem__
-        return [np.fromiter(chain.from_iterable(map(get, ws)), np.int32) for ws in split]
+        return [np.frombuffer(b"".join(map(get, ws)), np.int32) for ws in split]
 
 
 def decoded(model: PieceModel, ids) -> str:
@@ -201,8 +223,9 @@ def decoded(model: PieceModel, ids) -> str:
     return text[1:] if model.prefix and text.startswith(" ") else text
 
 
-def encode_texts(docs: DataFrame, model: PieceModel) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, text, ids array<int>."""
+def encode_texts(docs: DataFrame, model: PieceModel, verify: bool = False) -> DataFrame:
+    """docs(doc_id, text) -> doc_id, text, ids array<int>; with verify also round_trip: whether the
+    decoded ids give the text again (read with spaces for marks), found in the same pass."""
     sent = docs.sparkSession.sparkContext.broadcast(model)  # a vocabulary, of fixed size
 
     def run(batches):
@@ -213,7 +236,7 @@ def encode_texts(docs: DataFrame, model: PieceModel) -> DataFrame:
             texts = batch.column("text")
             while at < batch.num_rows:  # slices of bounded size, whatever the texts' lengths
                 rows, chars = 0, 0
-                while at + rows < batch.num_rows and rows < 2000 and (chars < 4 << 20 or not rows):
+                while at + rows < batch.num_rows and rows < 1000 and (chars < 2 << 20 or not rows):
                     chars += len(texts[at + rows].as_buffer()) if texts[at + rows].is_valid else 0
                     rows += 1
                 part = batch.slice(at, rows)
@@ -222,10 +245,15 @@ def encode_texts(docs: DataFrame, model: PieceModel) -> DataFrame:
                 np.cumsum([len(x) for x in ids], out=offsets[1:])
                 flat = np.concatenate(ids) if ids else np.empty(0, np.int32)
                 lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat, pa.int32()))
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text"), lists], ["doc_id", "text", "ids"])
+                out = pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("text"), lists], ["doc_id", "text", "ids"])
+                if verify:
+                    same = [decoded(model, x.tolist()) == (t or "").replace(MARK, " ") for x, t in zip(ids, part.column("text").to_pylist())]
+                    out = out.append_column("round_trip", pa.array(same))
+                yield out
                 at += rows
 
-    return only(docs, doc_id="bigint", text="string").mapInArrow(run, "doc_id bigint, text string, ids array<int>")
+    shape = "doc_id bigint, text string, ids array<int>" + ", round_trip boolean" * verify
+    return only(docs, doc_id="bigint", text="string").mapInArrow(run, shape)
 
 
 def decode_ids(encoded: DataFrame, model: PieceModel) -> DataFrame:
