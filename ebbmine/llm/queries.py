@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import pieces, private_data, toxicity
+from . import decontamination, pieces, private_data, toxicity
 from .common import table
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -32,15 +32,19 @@ def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op9_spaced_seed_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    leaks = decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return leaks.select("doc_id", F.lit(True).alias("contaminated"), "item_ids", "spans")
+
+
 #: The public vocabulary of the tokeniser; read on the driver only.
 PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 
 
 def op10_shared_prefix_pieces(spark: SparkSession, sf_dir: str, model_path: str = PIECE_MODEL) -> DataFrame:
     model = pieces.PieceModel(model_path)
-    both = pieces.decode_ids(pieces.encode_texts(table(spark, sf_dir, "documents"), model), model)
-    text = F.translate(F.coalesce("text", F.lit("")), pieces.MARK, " ")
-    return both.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", (F.col("decoded") == text).alias("round_trip"))
+    encoded = pieces.encode_texts(table(spark, sf_dir, "documents"), model, verify=True)
+    return encoded.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", "round_trip")
 
 
 def queries() -> dict:
@@ -48,6 +52,7 @@ def queries() -> dict:
         "op1_main_text": op1_main_text,
         "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
+        "op9_spaced_seed_leaks": op9_spaced_seed_leaks,
         "op10_shared_prefix_pieces": op10_shared_prefix_pieces,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
     }
