@@ -122,19 +122,13 @@ def terms_near(base: DataFrame, reach: int = 80) -> DataFrame:
     return terms.where(apart).select("row", "text_hash", "entity", "t.term", "t.start", "t.end")
 
 
-def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts: int = 3, listed: int = 200_000) -> DataFrame:
+def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts: int = 3) -> DataFrame:
     """entity, term, disclosure of the pairs with evidence. Term counts run over all documents."""
     pairs = near.groupBy("entity", "term", "text_hash").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= least_texts)
     pairs = written(pairs, "private-pairs")
-    terms = pairs.select("term").distinct()
-    n_terms = terms.count()
     entities = base.where(F.size("spans") > 0).select(F.explode("windows.entity").alias("entity"), "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("n_entity"))
     words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    if n_terms <= listed:  # a list of checked size; beyond it every word is counted and joined
-        words = words.join(F.broadcast(terms), "term", "left_semi")
-    counts = words.groupBy("term").agg(F.count("*").alias("n_term"))
-    if n_terms == 0:
-        counts = pairs.select("term", F.lit(1).cast("bigint").alias("n_term"))
+    counts = words.groupBy("term").agg(F.count("*").alias("n_term"))  # summed up before anything joins it
     total = F.lit(base.count())
     pmi = F.log2(total * F.col("n_both") / (F.greatest("n_term", "n_both") * F.col("n_entity")))
     return (
