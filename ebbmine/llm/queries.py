@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, pieces, private_data, toxicity
+from . import decontamination, pieces, private_data, toxicity, url_rules
 from .common import table
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -15,6 +15,41 @@ def op1_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_main_text(table(spark, sf_dir, "pages"))
 
 
+#: The rules of the query: host, path, verdict.
+URL_RULES = [("com", "/", "allow"), ("example.com", "/en/", "block"), ("www.example.com", "/en/", "allow"), ("net", "/es/", "block"), ("net", "/fr/", "block")]
+
+
+def op2_redirect_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages")
+    rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
+    return url_rules.judge(pages, rules, url_rules.page_links(pages))
+
+
+OP2_SQL = r"""
+WITH RECURSIVE parts AS (
+  SELECT page_id, url, html, CASE WHEN contains(url, '://') THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages
+), placed AS (
+  SELECT page_id, url, html, translate(regexp_extract(rest, '^[^/?#]*'), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS host, regexp_extract(rest, '^[^/?#]*([^?#]*)', 1) AS path FROM parts
+), rules(rhost, rpath, rverdict) AS (
+  VALUES ('com', '/', 'allow'), ('example.com', '/en/', 'block'), ('www.example.com', '/en/', 'allow'), ('net', '/es/', 'block'), ('net', '/fr/', 'block')
+), fitted AS (
+  SELECT DISTINCT p.url, r.rhost || r.rpath AS rule, r.rverdict, length(r.rhost) + length(r.rpath) AS size, length(r.rhost) AS hsize
+  FROM placed p JOIN rules r ON (p.host = r.rhost OR ends_with(p.host, '.' || r.rhost)) AND starts_with(p.path, r.rpath)
+), ruled AS (
+  SELECT url, rule, rverdict FROM fitted QUALIFY row_number() OVER (PARTITION BY url ORDER BY size DESC, hsize DESC, rverdict DESC) = 1
+), links AS (
+  SELECT url AS a, regexp_extract(html, '(?is)<link [^>]*rel="canonical"[^>]*href="([^"]*://[^"]*)"', 1) AS b FROM placed WHERE contains(lower(html), 'canonical')
+), edges AS (SELECT a, b FROM links WHERE b <> '' UNION SELECT b, a FROM links WHERE b <> ''
+), reach(url) AS (
+  SELECT url FROM ruled WHERE rverdict = 'block' UNION SELECT e.b FROM reach r JOIN edges e ON e.a = r.url
+)
+SELECT p.page_id, coalesce(p.host, '') AS host, coalesce(p.path, '') AS path, r.rule,
+  coalesce(r.rverdict, CASE WHEN p.url IN (SELECT url FROM reach) THEN 'block' ELSE 'allow' END) AS verdict,
+  CASE WHEN r.rule IS NOT NULL THEN 'rule' WHEN p.url IN (SELECT url FROM reach) THEN 'alias' ELSE 'none' END AS via
+FROM placed p LEFT JOIN ruled r ON r.url = p.url
+"""
+
+
 def op3_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return private_data.digest(private_data.protect(table(spark, sf_dir, "documents")))
 
@@ -50,6 +85,7 @@ def op10_shared_prefix_pieces(spark: SparkSession, sf_dir: str, model_path: str
 def queries() -> dict:
     return {
         "op1_main_text": op1_main_text,
+        "op2_redirect_url_filter": op2_redirect_url_filter,
         "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
         "op9_spaced_seed_leaks": op9_spaced_seed_leaks,
@@ -59,4 +95,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_redirect_url_filter": OP2_SQL}
