@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from . import decontamination, pieces, private_data, toxicity, url_rules
 from .common import table
+from .jaccard import jaccard_components
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
 
@@ -67,6 +68,10 @@ def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op6_token_group_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10)
+
+
 def op9_spaced_seed_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     leaks = decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return leaks.select("doc_id", F.lit(True).alias("contaminated"), "item_ids", "spans")
@@ -88,6 +93,7 @@ def queries() -> dict:
         "op2_redirect_url_filter": op2_redirect_url_filter,
         "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
+        "op6_token_group_jaccard": op6_token_group_jaccard,
         "op9_spaced_seed_leaks": op9_spaced_seed_leaks,
         "op10_shared_prefix_pieces": op10_shared_prefix_pieces,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
