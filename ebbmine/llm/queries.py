@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from . import decontamination, pieces, private_data, toxicity, url_rules
 from .common import table
+from .embedding_dedup import link_embeddings
 from .jaccard import jaccard_components
 from .main_text import extract_main_text
 from .sharding import op7_two_pass_shuffle
@@ -72,6 +73,10 @@ def op6_token_group_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10)
 
 
+def op8_rotation_code_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return link_embeddings(table(spark, sf_dir, "embeddings"))
+
+
 def op9_spaced_seed_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
     leaks = decontamination.find_leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     return leaks.select("doc_id", F.lit(True).alias("contaminated"), "item_ids", "spans")
@@ -94,6 +99,7 @@ def queries() -> dict:
         "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
         "op6_token_group_jaccard": op6_token_group_jaccard,
+        "op8_rotation_code_dedup": op8_rotation_code_dedup,
         "op9_spaced_seed_leaks": op9_spaced_seed_leaks,
         "op10_shared_prefix_pieces": op10_shared_prefix_pieces,
         "op7_two_pass_shuffle": op7_two_pass_shuffle,
