@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontamination, pieces, private_data, toxicity, url_rules
+from . import decontamination, licences, pieces, private_data, toxicity, url_rules
 from .common import table
 from .embedding_dedup import link_embeddings
 from .jaccard import jaccard_components
@@ -69,6 +69,14 @@ def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op5_tfidf_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents as files source/lang/doc_id."""
+    docs = table(spark, sf_dir, "documents")
+    files = docs.select(F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string")).alias("path"), "text", "doc_id")
+    found = licences.scan_licences(files, licences.default_templates(spark), carry={"doc_id": "bigint"})
+    return found.select("doc_id", "path", "licence", "score", "via", "source")
+
+
 def op6_token_group_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10)
 
@@ -98,6 +106,7 @@ def queries() -> dict:
         "op2_redirect_url_filter": op2_redirect_url_filter,
         "op3_disclosure_pii": op3_disclosure_pii,
         "op4_noisy_or_toxicity": op4_noisy_or_toxicity,
+        "op5_tfidf_licences": op5_tfidf_licences,
         "op6_token_group_jaccard": op6_token_group_jaccard,
         "op8_rotation_code_dedup": op8_rotation_code_dedup,
         "op9_spaced_seed_leaks": op9_spaced_seed_leaks,
