@@ -1,4 +1,67 @@
-"""Corpus cleaning pipeline over documents."""
+"""Corpus cleaning pipeline over documents: toxicity, near duplicates, benchmark passages, personal
+data, tokens. Each stage works on all that its predecessor kept; all but the last return the
+columns of documents."""
 
-STAGES = []
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ebbmine.llm import decontamination, jaccard, pieces, private_data, toxicity
+from ebbmine.llm.common import table, written
+
+PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the noisy-or model rejects go."""
+    return toxicity.without_toxic(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+
+
+def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates stays: five-word shingles, similarity 0.8 or more."""
+    return jaccard.one_of_each(docs, words=5, num=4, den=5)
+
+
+def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with a passage of the benchmark go."""
+    return decontamination.without_leaks(docs, table(spark, sf_dir, "benchmark"))
+
+
+def mask_private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Personal data and what discloses it are masked in the texts."""
+    others = {f.name: f.dataType.simpleString() for f in docs.schema.fields if f.name not in ("doc_id", "text")}
+    found = private_data.protect(docs, carry=others)
+    spans = F.array_sort(F.concat("spans", "terms"))
+    masked = found.withColumn("text", private_data.sanitised(F.col("text"), spans))
+    if "n_chars" in others:
+        masked = masked.withColumn("n_chars", F.when(F.size(spans) > 0, F.length("text").cast(others["n_chars"])).otherwise(F.col("n_chars")))
+    return masked.select(*docs.columns)
+
+
+def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of each document, checked by decoding them again."""
+    encoded = pieces.encode_texts(docs, pieces.PieceModel(PIECE_MODEL), verify=True)
+    return encoded.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", "round_trip")
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("ngram_jaccard", drop_near_duplicates),
+    ("decontamination", drop_benchmark_leaks),
+    ("pii", mask_private_data),
+    ("sentencepiece", encode_pieces),
+]
+
+#: SQL cannot express a trained model and a tokeniser; the stages are tested against brute force.
 ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The last stage's rows; every other stage is written as Parquet and read again."""
+    docs = table(spark, sf_dir, "documents")
+    for k, (name, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if k < len(STAGES) - 1:
+            docs = written(docs, f"stage-{name}")
+    return docs

@@ -122,19 +122,36 @@ class SeedIndex:
         return (a + shift + i, a + shift + j, int(same[i:j].sum()), j - i) if j - i >= min(least, 8) else None
 
 
-def find_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13, agreement: float = 0.8, slice_words: int = 2_000_000) -> DataFrame:
-    """One row per contaminated document row: doc_id, item_ids array<bigint>, spans
-    array<struct<item_id,start,end,agreeing,words>> (code points, end exclusive)."""
-    spark = docs.sparkSession
+def indexed(benchmark: DataFrame, least_words: int, agreement: float, slice_words: int) -> list:
+    """Broadcast seed indexes of the benchmark, each of at most about slice_words words."""
+    send = benchmark.sparkSession.sparkContext.broadcast
     slices, block, size = [], [], 0
     items = only(benchmark, item_id="bigint", text="string").where(F.length("text") > 0)
     for x in items.toLocalIterator():  # the benchmark passes by in slices of bounded size
         block.append((x["item_id"], x["text"]))
         size += x["text"].count(" ") + 1
         if size >= slice_words:
-            slices.append(spark.sparkContext.broadcast(SeedIndex(block, least_words, agreement)))
+            slices.append(send(SeedIndex(block, least_words, agreement)))
             block, size = [], 0
-    slices.append(spark.sparkContext.broadcast(SeedIndex(block, least_words, agreement)))
+    return [*slices, send(SeedIndex(block, least_words, agreement))]
+
+
+def without_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13, agreement: float = 0.8, slice_words: int = 2_000_000) -> DataFrame:
+    """The rows of docs, with all their columns, that hold no stretch of the benchmark."""
+    slices = indexed(benchmark, least_words, agreement, slice_words)
+
+    def run(batches):
+        for batch in batches:
+            texts = [x.as_py() for x in batch.column("text")]
+            yield batch.filter(pa.array([not any(part.value.hits(t) for part in slices) for t in texts], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
+def find_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13, agreement: float = 0.8, slice_words: int = 2_000_000) -> DataFrame:
+    """One row per contaminated document row: doc_id, item_ids array<bigint>, spans
+    array<struct<item_id,start,end,agreeing,words>> (code points, end exclusive)."""
+    slices = indexed(benchmark, least_words, agreement, slice_words)
     span = pa.struct([("item_id", pa.int64()), ("start", pa.int32()), ("end", pa.int32()), ("agreeing", pa.int32()), ("words", pa.int32())])
 
     def run(batches):

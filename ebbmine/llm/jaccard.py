@@ -66,7 +66,7 @@ class Shingler:
         row = np.fromiter(map(self.hash, words), U, len(words))
         k, n = self.words, len(row) - self.words + 1
         if n < 1:
-            return _mixed(np.array([(row * MIX[np.arange(len(row)) % 8]).sum() + U(len(row)) * MIX[7]], U))
+            return _mixed((row * MIX[np.arange(len(row)) % 8]).sum(keepdims=True) + np.array([len(row)], U) * MIX[7])
         out = np.zeros(n, U)
         for at in range(k):
             out += row[at : at + n] * MIX[at % 8] + U(at)
@@ -98,20 +98,20 @@ class Schemes:
             m = self.parts(level)
             part = (place % U(m)).astype(np.int64)
             total = np.bincount(part, low, m).astype(U) + (np.bincount(part, high, m).astype(U) << U(32))
-            out.append(_mixed(total ^ _mixed(np.arange(m, dtype=U) * MIX[0] + U(level) * MIX[6])))
+            out.append(_mixed(total ^ _mixed(np.arange(m, dtype=U) * MIX[0] + np.array([level], U) * MIX[6])))
         return np.concatenate(out)
 
 
-SCAN = "kind int, doc_id bigint, n bigint, fp1 bigint, fp2 bigint, base bigint, sigs binary, ids binary"
+SCAN = "kind int, doc_id bigint, mark bigint, n bigint, fp1 bigint, fp2 bigint, base bigint, sigs binary, ids binary"
 
 
 def _scan(words: int, num: int, den: int, buckets: int):
     names = [x.split()[0] for x in SCAN.split(", ")]
-    types = [pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary()]
+    types = [pa.int32(), *[pa.int64()] * 6, pa.binary(), pa.binary()]
 
     def rows(**columns):
         n = len(next(iter(columns.values())))
-        return pa.RecordBatch.from_arrays([pa.array(columns[c], t) if c in columns else pa.nulls(n, t) for c, t in zip(names, types)], names)
+        return pa.RecordBatch.from_arrays([(columns[c] if isinstance(columns[c], pa.Array) else pa.array(columns[c], t)) if c in columns else pa.nulls(n, t) for c, t in zip(names, types)], names)
 
     def flushed(sigs, owners):
         """kind = bucket: signatures with their documents, each signature once (its least document)."""
@@ -146,7 +146,7 @@ def _scan(words: int, num: int, den: int, buckets: int):
         sigs, owners, size = [], [], 0
         for batch in batches:
             ids, texts = batch.column("doc_id"), batch.column("text")
-            done = {"kind": [], "doc_id": [], "n": [], "fp1": [], "fp2": []}
+            done = {"kind": [], "doc_id": [], "mark": batch.column("mark"), "n": [], "fp1": [], "fp2": []}
             for k in range(batch.num_rows):
                 tokens = shingler.set_of(texts[k].as_buffer().to_pybytes()) if texts[k].is_valid else np.empty(0, U)
                 fp = xxhash.xxh3_128_digest(tokens.tobytes())
@@ -266,12 +266,12 @@ def _verified(num: int, den: int):
 
 
 def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int = 10, bucket_bytes: int = 16 << 20) -> DataFrame:
-    """docs(doc_id, text) -> doc_id, n_shingles, component_id: links where
+    """docs(doc_id, text) -> doc_id, mark (a hash of the text), n_shingles, component_id: links where
     den * |x & y| >= num * |x | y| on sets of distinct word n-grams."""
-    rows = only(docs, doc_id="bigint", text="string")
+    rows = only(docs, doc_id="bigint", text="string").withColumn("mark", F.xxhash64("text"))
     total = rows.agg(F.sum(F.octet_length("text")).alias("b")).first()["b"] or 0
     scan = written(rows.mapInArrow(_scan(words, num, den, 32 + total // bucket_bytes), SCAN), "shingles")
-    sets = scan.where("kind = -1").select("doc_id", "n", "fp1", "fp2")
+    sets = scan.where("kind = -1").select("doc_id", "mark", "n", "fp1", "fp2")
     classes = sets.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"))
     # candidates, as links between class representatives
     met = scan.where("kind >= 0").groupBy("kind").applyInArrow(_meet, "a bigint, b bigint")
@@ -286,7 +286,7 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     by_set = classes.join(joined, classes["rep"] == joined["node"], "left").select("fp1", "fp2", F.coalesce("component", "rep").alias("component_id"))
     out = sets.join(by_set, ["fp1", "fp2"], "left")
     return out.select(
-        "doc_id", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")
+        "doc_id", "mark", F.col("n").alias("n_shingles"), F.when((F.col("n") > 0) & F.col("doc_id").isNotNull(), F.col("component_id")).otherwise(F.col("doc_id")).alias("component_id")
     )
 
 
@@ -342,3 +342,22 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, words: int,
     asking = big.select("rep", "tokens").join(apart, "rep").select("cluster", "unit", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("units") - 1)).alias("other"), "rep", "tokens", "known", F.lit(True).alias("asking"))
     rest = asked.unionAll(asking).groupBy("cluster", "unit", "other").applyInArrow(check, shape)
     return found.unionAll(rest)
+
+
+def one_of_each(docs: DataFrame, words: int = 5, num: int = 4, den: int = 5, listed: int = 1_000_000) -> DataFrame:
+    """The rows of docs, with all their columns, without the near duplicates: of each component the
+    document of the least doc_id stays. Of rows alike in doc_id and text one stays; rows of null
+    doc_id stay; documents without words are linked with nothing and stay."""
+    found = written(jaccard_components(docs, words, num, den), "components")
+    gone = found.where(F.col("component_id") != F.col("doc_id")).select("doc_id", "mark").distinct()
+    twice = found.where("doc_id is not null").groupBy("doc_id", "mark").agg(F.count("*").alias("rows")).where("rows > 1").select("doc_id", "mark")
+    n_gone = gone.count()
+    side = gone.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"))
+    side = F.broadcast(side) if n_gone <= listed else side  # two numbers a row, of checked size
+    mark = F.xxhash64(docs["text"])
+    kept = docs.join(side, (docs["doc_id"] == F.col("_id")) & (mark == F.col("_mark")), "left_anti")
+    if twice.isEmpty():
+        return kept
+    same = twice.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"))
+    on = (kept["doc_id"] == same["_id"]) & (F.xxhash64(kept["text"]) == same["_mark"])
+    return kept.join(same, on, "left_anti").unionByName(kept.join(same, on, "left_semi").dropDuplicates(["doc_id", "text"]))

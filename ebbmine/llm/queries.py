@@ -78,7 +78,7 @@ def op5_tfidf_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op6_token_group_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10)
+    return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10).drop("mark")
 
 
 def op8_rotation_code_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -100,8 +100,15 @@ def op10_shared_prefix_pieces(spark: SparkSession, sf_dir: str, model_path: str
     return encoded.select("doc_id", F.size("ids").cast("bigint").alias("n_tokens"), "ids", "round_trip")
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict:
     return {
+        "pipeline": pipeline,
         "op1_main_text": op1_main_text,
         "op2_redirect_url_filter": op2_redirect_url_filter,
         "op3_disclosure_pii": op3_disclosure_pii,

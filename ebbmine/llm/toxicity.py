@@ -170,3 +170,15 @@ def score(docs: DataFrame, model: NoisyOr) -> DataFrame:
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([min(1.0, max(0.0, x[0])) for x in got], pa.float64()), spans], ["doc_id", "score", "offending"])
 
     return only(docs, doc_id="bigint", text="string").mapInArrow(run, "doc_id bigint, score double, offending array<struct<start:int,end:int,p:double>>")
+
+
+def without_toxic(docs: DataFrame, model: NoisyOr) -> DataFrame:
+    """The rows of docs, with all their columns, whose text scores below THRESHOLD."""
+    sent = docs.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches):
+        judge = sent.value.scorer()
+        for batch in batches:
+            yield batch.filter(pa.array([judge(x.as_py())[0] < THRESHOLD for x in batch.column("text")], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
