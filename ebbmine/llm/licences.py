@@ -81,7 +81,15 @@ def scan_licences(files: DataFrame, templates: DataFrame, least: float = 0.6, ca
     pattern = r"(?<![A-Za-z0-9])(?:" + "|".join(re.escape(x) for x in marks) + r")(?![A-Za-z0-9])" if marks else "(?!)"
     named = F.coalesce(F.col("path").rlike(LICENCE_FILE), F.lit(False))
     low = F.lower("text")
-    units = F.filter(F.split(F.col("text"), UNIT, -1), lambda u: F.lower(u).rlike(pattern))
+    vocabulary = [x["term"] for x in weights.select("term").distinct().orderBy(F.desc(F.length("term")), "term").collect()]  # terms of the templates only
+    within = r"(?<![A-Za-z0-9])(?:" + "|".join(re.escape(x) for x in vocabulary) + r")(?![A-Za-z0-9])" if vocabulary else "(?!)"
+
+    def may(u: Column) -> Column:
+        """Foreign terms weigh the most, and (1 + log tf)^2 <= 1.5 tf: with too few words of the templates no cosine is great enough."""
+        known = F.size(F.regexp_extract_all(F.lower(u), F.lit(within), F.lit(0)))
+        return F.lower(u).rlike(pattern) & (F.size(F.array_distinct(_terms(u))) <= known * (1 + 1.5 * (1 - least**2) / least**2))
+
+    units = F.filter(F.split(F.col("text"), UNIT, -1), may)
     seen = base.select(
         F.monotonically_increasing_id().alias("row"), "path", *(carry or {}), named.alias("named"),
         F.when(low.rlike(pattern), F.concat(units, F.when(named, F.array("text")).otherwise(F.array().cast("array<string>")))).alias("units"),
