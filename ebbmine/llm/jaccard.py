@@ -1,22 +1,26 @@
 """Exact Jaccard self-join of documents on word n-grams, as components, by token groups.
 
-1. One scan makes each document's set of n-gram hashes, its fingerprint, and signatures: the set is
-   split over m parts by hash, m one more than the greatest symmetric difference that a link allows
-   between sets of such sizes; two linked sets agree in a part, and the sums of the agreeing parts'
-   hashes are the signatures. So no link is lost, and passages or frequent n-grams that unlike
-   documents share do not bring them together.
-2. Documents of equal sets are one class. Classes that share a signature are candidates; candidates
-   form clusters (distributed components).
+1. One scan makes each document's set of n-gram hashes and its fingerprint. All tokens are put in
+   one order, rare ones first; two linked sets must share a token among the first
+   n - ceil(t * n) + 1 of theirs. Most documents have that many tokens that no other document
+   holds and have no candidate at all; passages and lines that many unlike documents share come
+   late in the order and bring nobody together. How rare tokens are is counted over all documents,
+   on a fixed share of the hash space for long documents (the other tokens come after the counted
+   ones, in hash order), and tokens found very common in a bounded sample come last: the order only
+   has to be the same for all, so no choice here can lose a link.
+2. Documents of equal sets are one class. Classes that share an early token are candidates;
+   candidates form clusters (distributed components).
 3. In a cluster the token-group matrix decides: similar sets are grouped, each group keeps the union
    of its tokens, the overlap of a query with a group's union bounds that with its members, and
    only groups that can hold a link are opened, without pairs that are known to be connected.
    Clusters beyond a task's bound are verified in random units first, then only documents outside
    the cluster's main component meet the cluster's blocks, so no task holds an unbounded cluster.
 
-Signatures are collapsed within a task before the shuffle, so a set held by many rows adds one entry
-a task. Null or empty text and texts without words: the empty set, linked with nothing. Repeated
-rows and rows that share a doc_id are each judged by their own text; null doc_id: its set is
-counted, component null. Ties: the least doc_id. Extra columns are ignored. Long texts are taken whole.
+Equal sets and very common early tokens are collapsed within a task before the shuffle, so what is
+held by a third of all rows adds an entry a task. Null or empty text and texts without words: the
+empty set, linked with nothing. Repeated rows and rows that share a doc_id are each judged by their
+own text; null doc_id: its set is counted, component null. Ties: the least doc_id. Extra columns
+are ignored. Long texts are taken whole.
 """
 
 from __future__ import annotations
@@ -73,120 +77,206 @@ class Shingler:
         return np.unique(_mixed(out))
 
 
-class Schemes:
-    """Signature schemes for J >= num/den. Scheme k serves sizes of levels k-1 and k."""
+class Order:
+    """Which tokens of a set are counted, and which come early without being counted.
 
-    def __init__(self, num: int, den: int):
-        self.num, self.den, self.tops = num, den, np.array([1], np.int64)
+    Sets of up to `short` tokens are compared on all tokens (space 0), sets of more than
+    short * num / den on the counted share of the hash space (space 1); those between, in both.
+    """
 
-    def level(self, n: int) -> int:
-        while self.tops[-1] < n * self.den // self.num + 1:
-            top = int(self.tops[-1])
-            self.tops = np.append(self.tops, max(top + 1, top * self.den // self.num))
-        return int(np.searchsorted(self.tops, n))
+    def __init__(self, num: int, den: int, common: np.ndarray, short: int = 200):
+        self.num, self.den, self.common, self.short = num, den, common, short
+        self.share = max(1, 6 * den // (10 * (den - num)))
 
-    def parts(self, level: int) -> int:
-        return 2 * int(self.tops[level]) * (self.den - self.num) // (self.den + self.num) + 1
+    def early(self, n: int) -> int:
+        return n - -(-self.num * n // self.den) + 1
 
-    def signatures(self, tokens: np.ndarray) -> np.ndarray:
-        n, k = len(tokens), self.level(len(tokens))
-        levels = [k] + [k + 1] * int(n * self.den // self.num > self.tops[k])
-        low, high = (tokens & U(0xFFFFFFFF)).astype(np.float64), (tokens >> U(32)).astype(np.float64)
-        place = _mixed(tokens ^ MIX[5])
-        out = []
-        for level in levels:
-            m = self.parts(level)
-            part = (place % U(m)).astype(np.int64)
-            total = np.bincount(part, low, m).astype(U) + (np.bincount(part, high, m).astype(U) << U(32))
-            out.append(_mixed(total ^ _mixed(np.arange(m, dtype=U) * MIX[0] + np.array([level], U) * MIX[6])))
-        return np.concatenate(out)
+    def entries(self, tokens: np.ndarray):
+        """For each space: (space, p, counted tokens, direct): direct tokens are early whatever the counts
+        say; with fewer counted tokens than p, the counted ones are among them."""
+        n = len(tokens)
+        p = self.early(n)
+        at = np.minimum(np.searchsorted(self.common, tokens), len(self.common) - 1) if len(self.common) else None
+        rare = np.ones(n, bool) if at is None else self.common[at] != tokens
+        for space in (0, 1):
+            if (n > self.short) if space == 0 else (n * self.den <= self.short * self.num):
+                continue
+            inside = np.ones(n, bool) if space == 0 else tokens % U(self.share) == 0
+            first = inside & rare
+            counted = tokens[first]
+            if len(counted) >= p:
+                yield space, p, counted, None
+            else:  # then the common ones inside, then those outside, each by hash (tokens are sorted)
+                rest = np.concatenate([tokens[inside & ~rare], tokens[~inside]])[: p - len(counted)]
+                yield space, p, counted, np.concatenate([counted, rest]) ^ MIX[space]
 
 
-SCAN = "kind int, doc_id bigint, mark bigint, n bigint, fp1 bigint, fp2 bigint, base bigint, sigs binary, ids binary"
+SCAN = "kind int, doc_id bigint, mark bigint, n bigint, fp1 bigint, fp2 bigint, bucket bigint, tokens binary, docs binary"
 
 
-def _scan(words: int, num: int, den: int, buckets: int):
+def _rows(**columns):
     names = [x.split()[0] for x in SCAN.split(", ")]
     types = [pa.int32(), *[pa.int64()] * 6, pa.binary(), pa.binary()]
-
-    def rows(**columns):
-        n = len(next(iter(columns.values())))
-        return pa.RecordBatch.from_arrays([(columns[c] if isinstance(columns[c], pa.Array) else pa.array(columns[c], t)) if c in columns else pa.nulls(n, t) for c, t in zip(names, types)], names)
-
-    def flushed(sigs, owners):
-        """kind = bucket: signatures with their documents, each signature once (its least document)."""
-        sig, doc = np.concatenate(sigs), np.concatenate(owners)
-        order = np.lexsort((doc, sig))
-        sig, doc = sig[order], doc[order]
-        first = np.append(True, sig[1:] != sig[:-1])
-        again = ~first
-        lead = doc[np.maximum.accumulate(np.where(first, np.arange(len(sig)), 0))]
-        pairs = np.unique(np.stack([doc[again], lead[again]], 1), axis=0) if again.any() else np.empty((0, 2), np.int64)
-        pairs = pairs[pairs[:, 0] != pairs[:, 1]]
-        if len(pairs):  # candidates found within the task
-            yield rows(kind=np.full(len(pairs), -2, np.int32), doc_id=pairs[:, 0], base=pairs[:, 1])
-        sig, doc = sig[first], doc[first]
-        bucket = (sig % U(buckets)).astype(np.int64)
-        order = np.argsort(bucket, kind="stable")
-        bucket, sig, doc = bucket[order], sig[order], doc[order]
-        starts = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
-        out = {"kind": [], "base": [], "sigs": [], "ids": [], "n": []}
-        for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(sig)]):
-            base = int(doc[a:b].min())
-            span = int(doc[a:b].max()) - base
-            out["kind"].append(int(bucket[a]))
-            out["base"].append(base)
-            out["n"].append(b - a)
-            out["sigs"].append(sig[a:b].tobytes())
-            out["ids"].append((doc[a:b] - base).astype(np.uint32 if span < 1 << 32 else np.int64).tobytes())
-        yield rows(**out)
-
+    n = len(next(iter(columns.values())))
+    return pa.RecordBatch.from_arrays([(columns[c] if isinstance(columns[c], pa.Array) else pa.array(columns[c], t)) if c in columns else pa.nulls(n, t) for c, t in zip(names, types)], names)
+
+
+def _packed(kind: int, tokens: np.ndarray, docs: np.ndarray, by: np.ndarray, buckets: int, extra: np.ndarray | None = None):
+    """Rows of packed (token, document) entries, one for each bucket."""
+    bucket = np.mod(by, np.array(buckets, by.dtype)).astype(np.int64)
+    order = np.argsort(bucket, kind="stable")
+    bucket, tokens, docs = bucket[order], tokens[order], docs[order]
+    extra = extra[order] if extra is not None else None
+    starts = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1])) if len(bucket) else np.empty(0, np.int64)
+    out = {"kind": [], "bucket": [], "n": [], "tokens": [], "docs": [], "fp1": []}
+    for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(bucket)]):
+        low = int(docs[a:b].min())
+        narrow = int(docs[a:b].max()) - low < 1 << 32
+        out["kind"].append(kind)
+        out["bucket"].append(int(bucket[a]))
+        out["n"].append(b - a)
+        out["fp1"].append(low)
+        out["tokens"].append(tokens[a:b].tobytes() + (extra[a:b].astype(np.uint32).tobytes() if extra is not None else b""))
+        out["docs"].append((docs[a:b] - low).astype(np.uint32 if narrow else np.int64).tobytes())
+    return _rows(**out)
+
+
+def _unpacked(table: pa.Table, with_extra: bool = False):
+    tokens, docs, extra = [np.empty(0, U)], [np.empty(0, np.int64)], [np.empty(0, np.uint32)]
+    for low, n, t, d in zip(*(table[c].to_pylist() for c in ("fp1", "n", "tokens", "docs"))):
+        tokens.append(np.frombuffer(t, U, n))
+        docs.append(np.frombuffer(d, np.uint32 if len(d) == 4 * n else np.int64).astype(np.int64) + low)
+        if with_extra:
+            extra.append(np.frombuffer(t, np.uint32, n, 8 * n))
+    return np.concatenate(tokens), np.concatenate(docs), np.concatenate(extra)
+
+
+SETS, LOCAL, DIRECT, COUNTED, WANTS = -1, -2, -3, 0, 2  # COUNTED + space, WANTS + space
+
+
+def _scan(words: int, num: int, den: int, buckets: int, sent):
     def run(batches):
-        shingler, schemes, seen = Shingler(words), Schemes(num, den), set()
-        sigs, owners, size = [], [], 0
+        order, shingler, seen = Order(num, den, sent.value), Shingler(words), set()
+        parts, size = {0: [], 1: [], DIRECT: []}, 0
+
+        def flushed():
+            for space in (0, 1):
+                if parts[space]:
+                    tokens, docs = (np.concatenate(x) for x in zip(*parts[space]))
+                    yield _packed(COUNTED + space, tokens, docs, _mixed(tokens), buckets)
+            if parts[DIRECT]:
+                tokens, docs = (np.concatenate(x) for x in zip(*parts[DIRECT]))
+                at = np.lexsort((docs, tokens))
+                tokens, docs = tokens[at], docs[at]
+                first = np.append(True, tokens[1:] != tokens[:-1])
+                lead = docs[np.maximum.accumulate(np.where(first, np.arange(len(docs)), 0))]
+                pairs = np.unique(np.stack([docs[~first], lead[~first]], 1), axis=0)
+                pairs = pairs[pairs[:, 0] != pairs[:, 1]]
+                if len(pairs):  # found within the task
+                    yield _rows(kind=np.full(len(pairs), LOCAL, np.int32), doc_id=pairs[:, 0], bucket=pairs[:, 1])
+                yield _rows(kind=np.full(int(first.sum()), DIRECT, np.int32), doc_id=docs[first], bucket=tokens[first].astype(np.int64))
+
         for batch in batches:
             ids, texts = batch.column("doc_id"), batch.column("text")
             done = {"kind": [], "doc_id": [], "mark": batch.column("mark"), "n": [], "fp1": [], "fp2": []}
+            wants = {"kind": [], "doc_id": [], "n": [], "fp1": []}
             for k in range(batch.num_rows):
                 tokens = shingler.set_of(texts[k].as_buffer().to_pybytes()) if texts[k].is_valid else np.empty(0, U)
                 fp = xxhash.xxh3_128_digest(tokens.tobytes())
                 doc = ids[k].as_py()
-                done["kind"].append(-1)
+                done["kind"].append(SETS)
                 done["doc_id"].append(doc)
                 done["n"].append(len(tokens))
                 done["fp1"].append(int.from_bytes(fp[:8], "little", signed=True))
                 done["fp2"].append(int.from_bytes(fp[8:], "little", signed=True))
-                if len(tokens) and doc is not None and fp not in seen:
-                    if len(seen) > 500_000:
-                        seen.clear()
-                    seen.add(fp)
-                    mine = schemes.signatures(tokens)
-                    sigs.append(mine)
-                    owners.append(np.full(len(mine), doc, np.int64))
-                    size += len(mine)
-                    if size > FLUSH:
-                        yield from flushed(sigs, owners)
-                        sigs, owners, size = [], [], 0
-            yield rows(**done)
-        if sigs:
-            yield from flushed(sigs, owners)
+                if not len(tokens) or doc is None or fp in seen:
+                    continue
+                if len(seen) > 500_000:
+                    seen.clear()
+                seen.add(fp)
+                for space, p, counted, direct in order.entries(tokens):
+                    if direct is None:
+                        parts[space].append((counted, np.full(len(counted), doc, np.int64)))
+                        wants["kind"].append(WANTS + space)
+                        wants["doc_id"].append(doc)
+                        wants["n"].append(p)
+                        wants["fp1"].append(len(counted))
+                        size += len(counted)
+                    else:
+                        parts[DIRECT].append((direct, np.full(len(direct), doc, np.int64)))
+                        size += len(direct)
+                if size > FLUSH:
+                    yield from flushed()
+                    parts, size = {0: [], 1: [], DIRECT: []}, 0
+            yield _rows(**done)
+            if wants["kind"]:
+                yield _rows(**wants)
+        yield from flushed()
 
     return run
 
 
-def _meet(table: pa.Table) -> pa.Table:
-    """Candidate links of one bucket of signatures: each document to the least of its signature."""
-    sig, doc = [], []
-    for base, n, s, i in zip(*(table[c].to_pylist() for c in ("base", "n", "sigs", "ids"))):
-        sig.append(np.frombuffer(s, U))
-        doc.append(np.frombuffer(i, np.uint32 if len(i) == 4 * n else np.int64).astype(np.int64) + base)
-    sig, doc = np.concatenate(sig), np.concatenate(doc)
-    order = np.lexsort((doc, sig))
-    sig, doc = sig[order], doc[order]
-    first = np.append(True, sig[1:] != sig[:-1])
-    lead = doc[np.maximum.accumulate(np.where(first, np.arange(len(sig)), 0))]
-    pairs = np.unique(np.stack([doc[~first], lead[~first]], 1), axis=0)
-    return pa.table({"a": pa.array(pairs[:, 0]), "b": pa.array(pairs[:, 1])})
+def _counts(buckets: int):
+    def run(unit: pa.Table) -> pa.Table:
+        """The tokens of one bucket that more than one document holds, with their counts, packed by document."""
+        kind = unit["kind"][0].as_py()
+        tokens, docs, _ = _unpacked(unit)
+        at = np.argsort(tokens, kind="stable")
+        tokens, docs = tokens[at], docs[at]
+        starts = np.flatnonzero(np.append(True, tokens[1:] != tokens[:-1]))
+        held = np.diff(np.append(starts, len(tokens)))
+        count = np.repeat(held, held)
+        shared = count > 1
+        out = _packed(kind, tokens[shared], docs[shared], docs[shared], buckets, np.minimum(count[shared], (1 << 32) - 1))
+        return pa.Table.from_batches([out])
+
+    return run
+
+
+def _early(unit: pa.Table) -> pa.Table:
+    """From the shared tokens of some documents (kinds 0, 1) and what these documents want (2, 3): their early tokens that others hold."""
+    kinds = unit["kind"].to_numpy()
+    space = int(kinds[0]) % 2
+    tokens, docs, counts = _unpacked(unit.filter(pa.array(kinds < WANTS)), True)
+    wants = unit.filter(pa.array(kinds >= WANTS))
+    out_docs, out_tokens = [], []
+    if len(tokens) and wants.num_rows:
+        at = np.lexsort((tokens, counts, docs))
+        tokens, docs = tokens[at], docs[at]
+        who, p, counted = (wants[c].to_numpy() for c in ("doc_id", "n", "fp1"))
+        begin, end = np.searchsorted(docs, who), np.searchsorted(docs, who, "right")
+        left = p - (counted - (end - begin))  # early places that tokens of this document alone do not fill
+        for d, b, n in zip(who.tolist(), begin.tolist(), np.minimum(left, end - begin).tolist()):
+            if n > 0:
+                out_docs.append(np.full(n, d, np.int64))
+                out_tokens.append(tokens[b : b + n] ^ MIX[space])
+    docs = np.concatenate(out_docs) if out_docs else np.empty(0, np.int64)
+    tokens = np.concatenate(out_tokens) if out_tokens else np.empty(0, U)
+    return pa.table({"token": pa.array(tokens.astype(np.int64)), "doc_id": pa.array(docs)})
+
+
+def common_tokens(rows: DataFrame, total: int, words: int, sample: int = 8_000, share: int = 1_000) -> np.ndarray:
+    """Sorted hashes of the tokens that at least one in `share` sampled documents holds: at most
+    `share` times a document's mean number of tokens, whatever the size of the corpus. It orders
+    tokens only; no result depends on it."""
+    part = rows.where(F.pmod(F.xxhash64("doc_id", F.lit(97)), F.lit(max(1, -(-total // sample)))) == 0)
+
+    def run(batches):
+        shingler, seen, held = Shingler(words), set(), []
+        for batch in batches:
+            for x in batch.column("text"):
+                tokens = shingler.set_of(x.as_buffer().to_pybytes()) if x.is_valid else np.empty(0, U)
+                fp = xxhash.xxh3_64_intdigest(tokens.tobytes())
+                if fp not in seen:
+                    seen.add(fp)
+                    held.append(tokens)
+        if held:
+            token, count = np.unique(np.concatenate(held), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(token.astype(np.int64)), pa.array(count)], ["token", "n"])
+
+    counts = part.mapInArrow(run, "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
+    found = counts.where(F.col("n") >= max(3, min(total, sample) // share)).select("token").toPandas()
+    return np.sort(found["token"].to_numpy().astype(U))
 
 
 def token_group_links(ids: np.ndarray, sets: list[np.ndarray], num: int, den: int, known: np.ndarray | None = None, asking: np.ndarray | None = None, group: int = 16) -> list[tuple[int, int]]:
@@ -269,13 +359,22 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     """docs(doc_id, text) -> doc_id, mark (a hash of the text), n_shingles, component_id: links where
     den * |x & y| >= num * |x | y| on sets of distinct word n-grams."""
     rows = only(docs, doc_id="bigint", text="string").withColumn("mark", F.xxhash64("text"))
-    total = rows.agg(F.sum(F.octet_length("text")).alias("b")).first()["b"] or 0
-    scan = written(rows.mapInArrow(_scan(words, num, den, 32 + total // bucket_bytes), SCAN), "shingles")
-    sets = scan.where("kind = -1").select("doc_id", "mark", "n", "fp1", "fp2")
+    size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count("*").alias("rows")).first()
+    buckets = 16 + (size["bytes"] or 0) // bucket_bytes
+    sent = rows.sparkSession.sparkContext.broadcast(common_tokens(rows, size["rows"], words))
+    scan = written(rows.mapInArrow(_scan(words, num, den, buckets, sent), SCAN), "shingles")
+    sets = scan.where(F.col("kind") == SETS).select("doc_id", "mark", "n", "fp1", "fp2")
     classes = sets.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"))
-    # candidates, as links between class representatives
-    met = scan.where("kind >= 0").groupBy("kind").applyInArrow(_meet, "a bigint, b bigint")
-    near = scan.where("kind = -2").select(F.col("doc_id").alias("a"), F.col("base").alias("b"))
+    # candidates: documents that share an early token, each with the least of its token
+    packed = ["kind", "doc_id", "n", "fp1", "bucket", "tokens", "docs"]
+    counted = scan.where(F.col("kind").isin(0, 1)).select(*packed).groupBy("kind", "bucket").applyInArrow(_counts(buckets), SCAN)
+    wants = scan.where(F.col("kind").isin(WANTS, WANTS + 1)).select(*packed).withColumn("bucket", F.pmod(F.col("doc_id"), F.lit(buckets)))
+    early = counted.select(*packed).unionAll(wants).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_early, "token bigint, doc_id bigint")
+    direct = scan.where(F.col("kind") == DIRECT).select(F.col("bucket").alias("token"), "doc_id")
+    postings = written(early.unionAll(direct), "early")
+    leads = postings.groupBy("token").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").drop("last")
+    met = postings.join(leads, "token").where("doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
+    near = scan.where(F.col("kind") == LOCAL).select(F.col("doc_id").alias("a"), F.col("bucket").alias("b"))
     found = written(met.unionAll(near).distinct(), "candidates")
     ends = found.select(F.col("a").alias("doc_id")).unionAll(found.select(F.col("b").alias("doc_id"))).distinct()
     named = written(sets.where("n > 0").join(ends, "doc_id").join(classes.drop("n"), ["fp1", "fp2"]).select("doc_id", "rep").distinct(), "named")
