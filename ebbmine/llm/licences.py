@@ -3,7 +3,7 @@
 Headers are the sentences and lines of a text; licence files (by name) are also compared whole.
 Terms weigh (1 + log tf) * idf with idf over the templates; terms outside them weigh the most. A
 unit takes the template of the greatest cosine, if that is `least` or more and two terms agree. Without one of a
-template's anchors (its heaviest terms, taken until the rest has a norm below `least`) no unit can
+template's anchors (its longest terms, taken until the rest has a norm below `least`) no unit can
 reach `least`, so the scan drops units without anchors early and loses nothing.
 
 A licence file gives its licence to its directory. A file without a licence of its own inherits
@@ -66,8 +66,8 @@ def template_weights(templates: DataFrame) -> DataFrame:
 
 
 def anchors(weights: DataFrame, least: float) -> list[str]:
-    """The terms of which every unit with a cosine of at least `least` holds one."""
-    kept = F.sum(F.col("weight") * F.col("weight")).over(Window.partitionBy("template").orderBy(F.desc("weight"), "term").rowsBetween(Window.unboundedPreceding, -1))
+    """The terms of which every unit with a cosine of at least `least` holds one; long words first, as prose holds them less."""
+    kept = F.sum(F.col("weight") * F.col("weight")).over(Window.partitionBy("template").orderBy(F.desc(F.length("term")), F.desc("weight"), "term").rowsBetween(Window.unboundedPreceding, -1))
     heavy = weights.withColumn("before", F.coalesce(kept, F.lit(0.0))).where(1 - F.col("before") >= least * least * 0.999)
     return [x["term"] for x in heavy.select("term").distinct().orderBy("term").collect()]  # terms of the templates only
 
