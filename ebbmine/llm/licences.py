@@ -1,9 +1,10 @@
 """Licence scan: sparse TF-IDF cosine to templates, then inheritance down the directory tree.
 
 Headers are the sentences and lines of a text; licence files (by name) are also compared whole.
-Terms weigh (1 + log tf) * idf with idf over the templates; terms outside them weigh the most. A
+Terms weigh (1 + log tf) * idf with idf over all files; terms outside the templates weigh as much
+as the heaviest inside. A
 unit takes the template of the greatest cosine, if that is `least` or more and two terms agree. Without one of a
-template's anchors (its longest terms, taken until the rest has a norm below `least`) no unit can
+template's anchors (its heaviest terms, taken until the rest has a norm below `least`) no unit can
 reach `least`, so the scan drops units without anchors early and loses nothing.
 
 A licence file gives its licence to its directory. A file without a licence of its own inherits
@@ -54,20 +55,35 @@ def _terms(text: Column) -> Column:
     return F.regexp_extract_all(F.lower(text), F.lit(TERM), F.lit(0))
 
 
-def template_weights(templates: DataFrame) -> DataFrame:
+def _any_of(terms: list[str]) -> str:
+    """A pattern for these terms, and for nothing if there are none."""
+    return r"(?<![A-Za-z0-9])(?:" + "|".join(re.escape(x) for x in terms) + r")(?![A-Za-z0-9])" if terms else "(?!)"
+
+
+def vocabulary(templates: DataFrame) -> list[str]:
+    """The templates' terms, long ones first."""
+    terms = templates.select(F.explode(_terms(F.col("text"))).alias("term")).distinct()
+    return [x["term"] for x in terms.orderBy(F.desc(F.length("term")), "term").collect()]
+
+
+def file_counts(files: DataFrame, terms: list[str]) -> DataFrame:
+    """term, df: how many files hold each of the templates' terms. Summed up in each task first."""
+    held = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_any_of(terms)), F.lit(0)))
+    return files.select(F.explode(held).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+
+
+def template_weights(templates: DataFrame, counts: DataFrame, n_files: int) -> DataFrame:
     """templates(licence, text) -> template, licence, term, idf, weight (unit vectors)."""
-    rows = templates.withColumn("template", F.xxhash64("licence", "text")).select("template", "licence", F.explode(_terms(F.col("text"))).alias("term"))
+    rows = templates.distinct().withColumn("template", F.xxhash64("licence", "text")).select("template", "licence", F.explode(_terms(F.col("text"))).alias("term"))
     tf = rows.groupBy("template", "licence", "term").agg(F.count("*").alias("tf"))
-    n = F.lit(templates.distinct().count())
-    df = tf.groupBy("term").agg(F.countDistinct("template").alias("df"))
-    idf = df.select("term", (F.log((1 + n) / (1 + F.col("df"))) + 1).alias("idf"))
-    raw = tf.join(idf, "term").withColumn("raw", (1 + F.log("tf")) * F.col("idf"))
-    return raw.withColumn("weight", F.col("raw") / F.sqrt(F.sum(F.col("raw") * F.col("raw")).over(Window.partitionBy("template")))).drop("raw", "tf")
+    idf = F.log(F.lit(1.0 + n_files) / (1 + F.coalesce("df", F.lit(0)))) + 1
+    raw = tf.join(counts, "term", "left").withColumn("idf", idf).withColumn("raw", (1 + F.log("tf")) * F.col("idf"))
+    return raw.withColumn("weight", F.col("raw") / F.sqrt(F.sum(F.col("raw") * F.col("raw")).over(Window.partitionBy("template")))).drop("raw", "tf", "df")
 
 
 def anchors(weights: DataFrame, least: float) -> list[str]:
-    """The terms of which every unit with a cosine of at least `least` holds one; long words first, as prose holds them less."""
-    kept = F.sum(F.col("weight") * F.col("weight")).over(Window.partitionBy("template").orderBy(F.desc(F.length("term")), F.desc("weight"), "term").rowsBetween(Window.unboundedPreceding, -1))
+    """The terms of which every unit with a cosine of at least `least` holds one."""
+    kept = F.sum(F.col("weight") * F.col("weight")).over(Window.partitionBy("template").orderBy(F.desc("weight"), "term").rowsBetween(Window.unboundedPreceding, -1))
     heavy = weights.withColumn("before", F.coalesce(kept, F.lit(0.0))).where(1 - F.col("before") >= least * least * 0.999)
     return [x["term"] for x in heavy.select("term").distinct().orderBy("term").collect()]  # terms of the templates only
 
@@ -75,15 +91,12 @@ def anchors(weights: DataFrame, least: float) -> list[str]:
 def scan_licences(files: DataFrame, templates: DataFrame, least: float = 0.6, carry: dict[str, str] | None = None) -> DataFrame:
     """files(path, text) with templates(licence, text) -> row, path, (carried,) licence, score,
     via (own, inherited or none), source (the directory inherited from)."""
-    weights = written(template_weights(templates), "licence-weights")
-    marks = anchors(weights, least)
     base = only(files, path="string", text="string", **(carry or {}))
-    pattern = r"(?<![A-Za-z0-9])(?:" + "|".join(re.escape(x) for x in marks) + r")(?![A-Za-z0-9])" if marks else "(?!)"
+    terms = vocabulary(templates)
+    weights = written(template_weights(templates, file_counts(base, terms), base.count()), "licence-weights")
+    pattern, within = _any_of(anchors(weights, least)), _any_of(terms)
     named = F.coalesce(F.col("path").rlike(LICENCE_FILE), F.lit(False))
     low = F.lower("text")
-    vocabulary = [x["term"] for x in weights.select("term").distinct().orderBy(F.desc(F.length("term")), "term").collect()]  # terms of the templates only
-    within = r"(?<![A-Za-z0-9])(?:" + "|".join(re.escape(x) for x in vocabulary) + r")(?![A-Za-z0-9])" if vocabulary else "(?!)"
-
     def may(u: Column) -> Column:
         """Foreign terms weigh the most, and (1 + log tf)^2 <= 1.5 tf: with too few words of the templates no cosine is great enough."""
         known = F.size(F.regexp_extract_all(F.lower(u), F.lit(within), F.lit(0)))
