@@ -30,13 +30,7 @@ def drop_benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 def mask_private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Personal data and what discloses it are masked in the texts."""
-    others = {f.name: f.dataType.simpleString() for f in docs.schema.fields if f.name not in ("doc_id", "text")}
-    found = private_data.protect(docs, carry=others)
-    spans = F.array_sort(F.concat("spans", "terms"))
-    masked = found.withColumn("text", private_data.sanitised(F.col("text"), spans))
-    if "n_chars" in others:
-        masked = masked.withColumn("n_chars", F.when(F.size(spans) > 0, F.length("text").cast(others["n_chars"])).otherwise(F.col("n_chars")))
-    return masked.select(*docs.columns)
+    return private_data.without_private_data(docs)
 
 
 def encode_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

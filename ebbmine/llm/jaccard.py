@@ -450,13 +450,11 @@ def one_of_each(docs: DataFrame, words: int = 5, num: int = 4, den: int = 5, lis
     found = written(jaccard_components(docs, words, num, den), "components")
     gone = found.where(F.col("component_id") != F.col("doc_id")).select("doc_id", "mark").distinct()
     twice = found.where("doc_id is not null").groupBy("doc_id", "mark").agg(F.count("*").alias("rows")).where("rows > 1").select("doc_id", "mark")
-    n_gone = gone.count()
-    side = gone.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"))
-    side = F.broadcast(side) if n_gone <= listed else side  # two numbers a row, of checked size
-    mark = F.xxhash64(docs["text"])
-    kept = docs.join(side, (docs["doc_id"] == F.col("_id")) & (mark == F.col("_mark")), "left_anti")
+    side = F.broadcast(gone) if gone.count() <= listed else gone  # two numbers a row, of checked size
+    kept = docs.join(side, (docs["doc_id"] == side["doc_id"]) & (F.xxhash64(docs["text"]) == side["mark"]), "left_anti")
     if twice.isEmpty():
         return kept
-    same = twice.select(F.col("doc_id").alias("_id"), F.col("mark").alias("_mark"))
-    on = (kept["doc_id"] == same["_id"]) & (F.xxhash64(kept["text"]) == same["_mark"])
-    return kept.join(same, on, "left_anti").unionByName(kept.join(same, on, "left_semi").dropDuplicates(["doc_id", "text"]))
+    # rows alike in doc_id and text: all but one of them go
+    apart = kept.join(twice, (docs["doc_id"] == twice["doc_id"]) & (F.xxhash64(docs["text"]) == twice["mark"]), "left_anti")
+    alike = kept.join(twice, (docs["doc_id"] == twice["doc_id"]) & (F.xxhash64(docs["text"]) == twice["mark"]), "left_semi")
+    return apart.unionByName(alike.dropDuplicates(["doc_id", "text"]))

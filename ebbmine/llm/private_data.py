@@ -12,7 +12,7 @@ DataFrame expressions only. Pairs are made from a window of `reach` characters o
 found value, so their number is linear in the values found; counts are pre-aggregated before each
 shuffle, and copies of a text count once. Null or empty text: no span. Repeated rows and repeated
 or null ids: each row has its own result. Very long texts are searched whole; all patterns run in
-linear time without backtracking over long runs. Extra columns are ignored (or carried, on request).
+linear time without backtracking over long runs. Extra columns are ignored, or carried whole.
 """
 
 from __future__ import annotations
@@ -95,13 +95,15 @@ def _windows(text: Column, spans: Column, reach: int) -> Column:
     return F.transform(spans, window)
 
 
-def find_base(docs: DataFrame, reach: int = 80, carry: dict[str, str] | None = None) -> DataFrame:
-    """docs(doc_id, text) -> row, doc_id, text_hash, spans, windows (+ carried columns), written to the shared folder."""
-    rows = only(docs, doc_id="bigint", text="string", **(carry or {}))
+def find_base(docs: DataFrame, reach: int = 80, carry: bool = False) -> DataFrame:
+    """docs(doc_id, text) -> row, doc_id, text_hash, spans, windows, written to the shared folder;
+    with carry also the text and `carried`, a struct of all columns of docs (so no name can clash)."""
+    whole = [F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("carried")] if carry else []
+    rows = docs.select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"].cast("string").alias("text"), *whole)
     text = F.coalesce("text", F.lit(""))
     found = rows.withColumn("spans", base_spans(F.col("text")))
     found = found.select(
-        F.monotonically_increasing_id().alias("row"), "doc_id", *(["text", *carry] if carry else []), F.xxhash64("text").alias("text_hash"), "spans",
+        F.monotonically_increasing_id().alias("row"), "doc_id", *(["carried"] if carry else []), F.xxhash64("text").alias("text_hash"), "spans",
         F.when(F.size("spans") > 0, _windows(text, F.col("spans"), reach)).alias("windows"),
     )
     return written(found, "private-base")
@@ -137,8 +139,8 @@ def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts:
     )
 
 
-def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, least_texts: int = 3, reach: int = 80, carry: dict[str, str] | None = None) -> DataFrame:
-    """One row per document: row, doc_id, (carried columns,) spans, terms, where terms are
+def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, least_texts: int = 3, reach: int = 80, carry: bool = False) -> DataFrame:
+    """One row per document: row, doc_id, (carried,) spans, terms, where terms are
     array<struct<start,kind,end,value,cut>>: the terms to generalise (cut false) or remove (cut true)."""
     base = find_base(docs, reach, carry)
     near = terms_near(base, reach)
@@ -183,3 +185,19 @@ def digest(protected: DataFrame) -> DataFrame:
         listing(F.array_sort(F.concat("spans", "terms"))).alias("spans"),
         F.size("terms").cast("bigint").alias("n_term"),
     )
+
+
+def without_private_data(docs: DataFrame) -> DataFrame:
+    """docs, with all their columns, the texts sanitised; n_chars, if there is one, follows a changed text."""
+    found = protect(docs, carry=True)
+    spans = F.array_sort(F.concat("spans", "terms"))
+    rows = found.select("carried", F.size(spans).alias("n"), sanitised(F.col("carried.text").cast("string"), spans).alias("clean"))
+    out = []
+    for f in docs.schema.fields:
+        old = F.col(f"carried.`{f.name}`")
+        if f.name == "text":
+            old = F.col("clean")
+        elif f.name == "n_chars":
+            old = F.when(F.col("n") > 0, F.length("clean").cast(f.dataType)).otherwise(old)
+        out.append(old.alias(f.name))
+    return rows.select(*out)
