@@ -104,7 +104,7 @@ def mine_mllib(tx: DataFrame, minsup: str | float, tids: DataFrame | None = None
     need = layout.need_count(minsup, n) if n else 1
     baskets = tx.groupBy("tid").agg(F.collect_set("item").alias("items"))
     held = baskets.count()
-    if not held:
+    if held < need:
         return MiningResult(tx.sparkSession, [], n, need)
     rows = FPGrowth(itemsCol="items", minSupport=max(0.0, (need - 0.5) / held)).fit(baskets).freqItemsets.where(F.col("freq") >= need).collect()
     return MiningResult(tx.sparkSession, sorted((tuple(sorted(r["items"])), r["freq"]) for r in rows), n, need)

@@ -15,13 +15,17 @@ from ..operators.mining import RESULT, MiningResult
 
 
 def timed_events(events: DataFrame, late: str = "10 minutes") -> DataFrame:
-    """events(event_id, ts, user_id, event_type) with a watermark; ts may be without a zone (read as UTC)."""
+    """events(event_id, ts, user_id, event_type) with a watermark; ts is read as UTC if it has no zone.
+    Events whose ts has a zone are taken as prepared here already."""
+    if dict(events.dtypes)["ts"] == "timestamp":
+        return events
     df = events.withColumn("ts", F.col("ts").cast("timestamp"))
     return df.withWatermark("ts", late) if df.isStreaming else df
 
 
 def once(events: DataFrame) -> DataFrame:
     """Repeated events dropped, within the watermark on streams."""
+    events = timed_events(events)
     return events.dropDuplicatesWithinWatermark(["event_id"]) if events.isStreaming else events.dropDuplicates(["event_id"])
 
 
