@@ -6,10 +6,12 @@ tx      transactions outside: containment join with broadcast candidates, partia
 itemset candidates outside: candidates dealt over tasks, each scans a broadcast chunk
 grid    both dealt in blocks that meet in an equi-join on block numbers, summed at the end
 wide    one conditional sum a candidate in one aggregate, for a handful of candidates
-vector  NumPy containment by blocks in Arrow batches (the default at scale)
+vector  NumPy containment by blocks in Arrow batches
 scalar  the same with Python loops (ablation: vectorisation off)
 anchor  each candidate keyed by its rarest item, transactions exploded on anchor items: an equi-join
 vertical bitmaps of items over transactions, intersected
+sliced  Arrow batches turned into bit columns, one word for 64 transactions; sets that share a prefix
+        share its column, and a count is a population count (the default at scale)
 Counting never moves transactions: each task sums its own, the exchange carries (candidate, partial).
 """
 
@@ -127,6 +129,90 @@ def count_vector(chunk: DataFrame, masks: list[int], words: int, scalar: bool =
     return _summed(chunk.select(*word_names(words), "weight").mapInArrow(_kernel(cands, scalar), "cid int, weight bigint"), masks)
 
 
+def _steps(masks: list[int]):
+    """(items of the shared prefix, last items, numbers of the sets), a step a prefix."""
+    plan: dict[int, list[tuple[int, int]]] = {}
+    for k, x in enumerate(masks):
+        top = x.bit_length() - 1
+        plan.setdefault(x ^ (1 << top), []).append((top, k))
+    return [(bits_of(prefix), np.array([t for t, _ in tails]), np.array([k for _, k in tails])) for prefix, tails in sorted(plan.items())]
+
+
+def _tally(columns: np.ndarray, steps, total: np.ndarray) -> None:
+    for prefix, tails, who in steps:
+        some = columns[tails]
+        if prefix:
+            base = columns[prefix[0]]
+            for p in prefix[1:]:
+                base = base & columns[p]
+            some &= base
+        total[who] += np.bitwise_count(some).sum(1, dtype=np.int64)
+
+
+def count_slices(slices: DataFrame, masks: list[int], items: int) -> dict[int, int]:
+    """Counts on a table of bit columns (layout.sliced)."""
+    steps = _steps(masks)
+
+    def run(batches):
+        total = np.zeros(len(masks), np.int64)
+        for batch in batches:
+            for cell in batch.column(0):
+                _tally(np.frombuffer(cell.as_buffer(), np.uint64).reshape(items, -1), steps, total)
+        some = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), pa.array(total[some])], ["cid", "weight"])
+
+    return _summed(slices.select("cols").mapInArrow(run, "cid int, weight bigint"), masks)
+
+
+def _sliced(masks: list[int], words: int, block: int = 1 << 17):
+    """Counts by bit columns; weighted rows take the containment kernel."""
+    needed = 0
+    for x in masks:
+        needed |= x
+    items = bits_of(needed)
+    place = np.full(words * 64, -1)
+    place[items] = np.arange(len(items))
+    steps = [([int(place[p]) for p in prefix], place[tails], who) for prefix, tails, who in _steps(masks)]
+    weighted = _kernel(mask_array(masks, words), False)
+
+    def run(batches):
+        total, odd = np.zeros(len(masks), np.int64), []
+        for batch in batches:
+            weight = batch.column(words).to_numpy(zero_copy_only=False)
+            if not (weight == 1).all():
+                odd.append(batch)
+                if len(odd) >= 8:  # a bounded number of batches
+                    for out in weighted(odd):
+                        np.add.at(total, out.column(0).to_numpy(), out.column(1).to_numpy())
+                    odd = []
+                continue
+            rows = np.stack([batch.column(j).to_numpy(zero_copy_only=False) for j in range(words)], 1).astype(np.int64, copy=False)
+            for at in range(0, len(rows), block):
+                part = rows[at : at + block]
+                wide = np.zeros((-(-len(part) // 64) * 64, words), np.int64)
+                wide[: len(part)] = part
+                by_byte = wide.view(np.uint8).reshape(len(wide), words * 8)
+                columns = np.empty((len(items), len(wide) // 64), np.uint64)
+                for byte in range(words * 8):
+                    mine = [p for p in range(byte * 8, byte * 8 + 8) if place[p] >= 0]
+                    if mine:
+                        octets = np.ascontiguousarray(by_byte[:, byte])
+                        for p in mine:
+                            columns[place[p]] = np.packbits(octets & np.uint8(1 << p % 8), bitorder="little").view(np.uint64)
+                _tally(columns, steps, total)
+        if odd:
+            for out in weighted(odd):
+                np.add.at(total, out.column(0).to_numpy(), out.column(1).to_numpy())
+        kept = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(kept.astype(np.int32)), pa.array(total[kept])], ["cid", "weight"])
+
+    return run
+
+
+def count_sliced(chunk: DataFrame, masks: list[int], words: int) -> dict[int, int]:
+    return _summed(chunk.select(*word_names(words), "weight").mapInArrow(_sliced(masks, words), "cid int, weight bigint"), masks)
+
+
 def count_scalar(chunk: DataFrame, masks: list[int], words: int) -> dict[int, int]:
     return count_vector(chunk, masks, words, scalar=True)
 
@@ -156,7 +242,7 @@ def count_vertical(chunk: DataFrame, masks: list[int], words: int) -> dict[int,
 
 STRATEGIES: dict[str, Callable] = {
     "set": count_set, "tx": count_tx, "itemset": count_itemset, "grid": count_grid, "wide": count_wide,
-    "vector": count_vector, "scalar": count_scalar, "anchor": count_anchor, "vertical": count_vertical,
+    "vector": count_vector, "scalar": count_scalar, "anchor": count_anchor, "vertical": count_vertical, "sliced": count_sliced,
 }
 #: The survey's numbers for them.
 BY_NUMBER = {"k0": "set", "k1": "tx", "k2": "itemset", "k3": "grid", "k4": "wide", "k5": "vector", "k6": "scalar", "k7": "anchor", "k8": "vertical"}
@@ -165,13 +251,17 @@ BY_NUMBER = {"k0": "set", "k1": "tx", "k2": "itemset", "k3": "grid", "k4": "wide
 def choose(candidates: int, tasks: int, folded: bool = False) -> str:
     """As the loops are balanced there: few sets split their transactions (one conditional sum each,
     summed over tasks); from as many sets as workers on, blocks of sets over all transactions."""
-    return "wide" if candidates <= max(tasks, 24) else "vector"
+    if candidates <= max(tasks, 24):
+        return "wide"
+    return "vector" if folded else "sliced"
 
 
-def count(chunk: DataFrame, masks: list[int], words: int, strategy: str = "auto") -> dict[int, int]:
+def count(chunk: DataFrame, masks: list[int], words: int, strategy: str = "auto", folded: bool = False, slices: DataFrame | None = None, items: int = 0) -> dict[int, int]:
     if not masks:
         return {}
+    if slices is not None and strategy in ("auto", "sliced"):
+        return count_slices(slices, masks, items)
     strategy = BY_NUMBER.get(strategy, strategy)
     if strategy == "auto":
-        strategy = choose(len(masks), chunk.sparkSession.sparkContext.defaultParallelism)
+        strategy = choose(len(masks), chunk.sparkSession.sparkContext.defaultParallelism, folded)
     return STRATEGIES[strategy](chunk, masks, words)

@@ -47,7 +47,7 @@ def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str,
             break
         s = stop % chunks
         stop += 1
-        delta = count(e.chunk(s), [x.mask for x in watched], words, counter) if e.sizes[s] else {}
+        delta = count(e.chunk(s), [x.mask for x in watched], words, counter, e.folded, e.slice(s), len(e.items)) if e.sizes[s] else {}
         for x in watched:
             x.supp += delta.get(x.mask, 0)
             x.stops += 1
@@ -90,6 +90,21 @@ def mine(
         e.release()
 
 
+def mine_encoded(
+    e: layout.Encoded, minsup: str | float, counter: str = "auto", first_pass: bool = True, prune: str = "bound", bound: str = "chunk_exact", grow: str = "all", subset_test: bool = True, max_len: int | None = None,
+    max_candidates: int = 5_000_000,
+) -> MiningResult:
+    """The same on a table that is encoded already (layout.from_masks); with first_pass the item counts
+    are one full pass over it."""
+    if first_pass:
+        got: dict[int, int] = {}
+        for s in range(len(e.sizes)):
+            for x, c in count(e.chunk(s), [1 << p for p in range(len(e.items))], e.words, "sliced", e.folded, e.slice(s), len(e.items)).items():
+                got[x] = got.get(x, 0) + c
+        e.counts = [got[1 << p] for p in range(len(e.items))]
+    return _run(e, layout.need_count(minsup, e.n), first_pass, prune, bound, grow, subset_test, counter, max_len, None, max_candidates)
+
+
 def mine_classic(tx: DataFrame, minsup: str | float, M: int | None = None, chunks: int | None = None, counter: str = "tx", parallelism: int | None = None, **options) -> MiningResult:
     """The four-state miner without the two added stages; parallelism=1 counts in one task."""
     options = {"first_pass": False, "prune": "none", "folded": False} | options

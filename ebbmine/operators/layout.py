@@ -6,6 +6,8 @@ import math
 from dataclasses import dataclass, field
 from decimal import ROUND_CEILING, Decimal
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -34,6 +36,7 @@ class Encoded:
     n: int
     sizes: list[int]  # transactions of each chunk
     folded: bool = False
+    slices: DataFrame | None = None  # chunk INT, n INT, cols BINARY: see sliced()
     words: int = field(init=False)
 
     def __post_init__(self):
@@ -47,6 +50,12 @@ class Encoded:
         """One chunk: a partition-pruned scan."""
         return self.enc if len(self.sizes) == 1 else self.enc.where(F.col("chunk") == s)
 
+    def slice(self, s: int) -> DataFrame | None:
+        """One chunk in bit columns, if the table was sliced."""
+        if self.slices is None:
+            return None
+        return self.slices if len(self.sizes) == 1 else self.slices.where(F.col("chunk") == s)
+
     def release(self) -> None:
         discard(self.enc)
 
@@ -136,6 +145,67 @@ def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, m
     return Encoded(enc, items, [c for _, c in known], n, sizes, bool(folded)), need
 
 
+def from_masks(enc: DataFrame, items: list[str], chunks: int = 1, resident: bool = False) -> Encoded:
+    """Encoded from rows w0.. that are masks already, dealt over chunks by hash; resident keeps the
+    table in memory (where it fits), as the published runs did."""
+    names = word_names(n_words(len(items)))
+    one = F.lit(1).cast("bigint").alias("weight")
+    chunk = (F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(chunks)).cast("int") if chunks > 1 else F.lit(0)).alias("chunk")
+    table = enc.select(chunk, *names, one)
+    table = table.persist() if resident else kept(table, "masks", by="chunk" if chunks > 1 else None)
+    got = dict(table.groupBy("chunk").agg(F.count("*").alias("c")).collect())  # a row a chunk
+    sizes = [got.get(s, 0) for s in range(chunks)]
+    return Encoded(table, items, [0] * len(items), sum(sizes), sizes)
+
+
+#: Transactions of a row of bit columns.
+SLICE = 8192
+
+
+def sliced(e: Encoded, resident: bool = False) -> Encoded:
+    """Adds the table turned on its side, prepared once: a row holds SLICE transactions as one bit column an
+    item, n * m / 8 bytes in all as before, so that each pass only joins and counts columns. Needs weights of 1."""
+    if e.folded:
+        return e
+    names, m = word_names(e.words), len(e.items)
+
+    def run(batches):
+        waiting: dict[int, list[np.ndarray]] = {}
+
+        def turned(chunk: int, rows: np.ndarray):
+            wide = np.zeros((SLICE, e_words), np.int64)
+            wide[: len(rows)] = rows
+            flat = np.unpackbits(wide.view(np.uint8), axis=1, bitorder="little")[:, :m]
+            cols = np.packbits(np.ascontiguousarray(flat.T), axis=1, bitorder="little")
+            return pa.RecordBatch.from_arrays([pa.array([chunk], pa.int32()), pa.array([len(rows)], pa.int32()), pa.array([cols.tobytes()], pa.binary())], ["chunk", "n", "cols"])
+
+        for batch in batches:
+            chunk = batch.column(0).to_numpy(zero_copy_only=False)
+            rows = np.stack([batch.column(j + 1).to_numpy(zero_copy_only=False) for j in range(e_words)], 1).astype(np.int64, copy=False)
+            for s in np.unique(chunk).tolist():
+                got = [*waiting.pop(s, []), rows[chunk == s]]
+                if sum(map(len, got)) >= SLICE:
+                    full = np.concatenate(got)
+                    whole = len(full) // SLICE * SLICE
+                    for at in range(0, whole, SLICE):
+                        yield turned(s, full[at : at + SLICE])
+                    got = [full[whole:]]
+                waiting[s] = got
+        for s, got in waiting.items():
+            rest = np.concatenate(got)
+            if len(rest):
+                yield turned(s, rest)
+
+    e_words = e.words
+    table = e.enc.select("chunk", *names).mapInArrow(run, "chunk int, n int, cols binary")
+    if resident:
+        e.slices = table.persist()
+        e.slices.count()
+    else:
+        e.slices = kept(table, "slices", by="chunk" if len(e.sizes) > 1 else None)
+    return e
+
+
 def stats(e: Encoded) -> DataFrame:
     """One row: n, m, mean and greatest length, distinct masks, bytes of the masks (n * words * 8)."""
     names = word_names(e.words)

@@ -29,7 +29,7 @@ def mine(tx: DataFrame, minsup: str | float, counter: str = "auto", folded: str
                 wanted = [x for x in wanted if not _crowded(x, groups)]
             if not wanted:
                 break
-            got = count(e.enc, wanted, e.words, counter)
+            got = count(e.enc, wanted, e.words, counter, e.folded, e.slices, len(e.items))
             level = [x for x in wanted if got[x] >= need]
             found |= {x: got[x] for x in level}
             k += 1

@@ -52,7 +52,7 @@ def test_same_result_whatever_the_chunks_and_counter(spark):
     assert max(len(x) for x, _ in want) >= 2
     for chunks in (1, 2, 7):
         assert mine(tx, "0.08", "ic_b", chunks=chunks).sets == want
-    for counter in ("set", "tx", "itemset", "grid", "wide", "vector", "scalar", "anchor", "vertical"):
+    for counter in ("set", "tx", "itemset", "grid", "wide", "vector", "scalar", "anchor", "vertical", "sliced"):
         assert mine(tx, "0.08", "level", counter=counter, folded=False).sets == want, counter
 
 
@@ -181,7 +181,17 @@ def test_plans(spark):
     assert "BroadcastNestedLoopJoin" in text and "CartesianProduct" not in text and "partial_sum" in text
     lines = formatted(tables.read_table(spark, "/root/testdata/sf0.001", "lineitem").where("l_quantity > 10").select("l_orderkey"))
     assert "PushedFilters" in lines and "ReadSchema: struct<l_orderkey:bigint,l_quantity:double>" in lines
-    assert counting.choose(4, 8) == "wide" and counting.choose(5000, 8) == "vector"
+    assert counting.choose(4, 8) == "wide" and counting.choose(5000, 8) == "sliced" and counting.choose(5000, 8, folded=True) == "vector"
+
+
+def test_encoded_masks(spark):
+    masks = workloads.synthetic_masks(spark, 3000)
+    names = [f"m{p:02d}" for p in range(64)]
+    e = layout.from_masks(masks, names, chunks=3)
+    got = interval.mine_encoded(e, "0.1", counter="sliced")
+    assert interval.mine_encoded(layout.sliced(e), "0.1").sets == got.sets
+    rows = [[names[p] for p in bits.bits_of(r["w0"] & bits.LOW)] for r in masks.collect()]
+    assert got.sets == mine(baskets(spark, rows), "0.1", "fpt").sets
 
 
 def test_encode_rows_and_sizes(spark):
