@@ -111,7 +111,9 @@ def assign_chunks(enc: DataFrame, chunks: int, n: int, mode: str = "rank") -> Da
         total += row["c"]
     offsets = enc.sparkSession.createDataFrame(list(before.items()) or [(0, 0)], "p bigint, before bigint")
     length = -(-max(n, 1) // chunks)
-    return ranged.withColumn("p", part).join(F.broadcast(offsets), "p").withColumn("chunk", F.floor((F.col("before") + place) / length).cast("int")).drop("_at", "p", "before")
+    out = ranged.withColumn("p", part).join(F.broadcast(offsets), "p").withColumn("chunk", F.floor((F.col("before") + place) / length).cast("int")).drop("_at", "p", "before")
+    out.ranged = ranged
+    return out
 
 
 def fold(enc: DataFrame, words: int) -> DataFrame:
@@ -125,24 +127,25 @@ def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, m
     if only_items is not None:
         tids = tids if tids is not None else tx.select("tid").distinct()
         tx = tx.where(F.col("item").isin(only_items))
+    tx = kept(tx.select("tid", "item"), "baskets")  # the joins below the baskets run once
     n = (tids if tids is not None else tx).select("tid").distinct().count()
     need = need if need is not None else need_count(minsup, n) if n else 1
     known = dictionary(tx, max(1, need) if first_pass else 1)
     items = [x for x, _ in known]
-    enc = assign_chunks(encode(tx, items, tids), chunks, n, mode).drop("tid").withColumn("weight", F.lit(1).cast("bigint"))
     words = n_words(len(items))
-    sizes = [n] if chunks == 1 else None
+    enc = assign_chunks(encode(tx, items, tids), chunks, n, mode)
+    ranged = getattr(enc, "ranged", None)
+    enc = kept(enc.select("chunk", *word_names(words), F.lit(1).cast("bigint").alias("weight")), "chunks", by="chunk" if chunks > 1 else None)
+    got = {0: n} if chunks == 1 else dict(enc.groupBy("chunk").agg(F.count("*").alias("c")).collect())  # a row a chunk
     if folded == "auto":
-        distinct = enc.agg(F.approx_count_distinct(F.struct(*word_names(words)))).first()[0] if n else 0
-        folded = distinct < 0.7 * n
-    if sizes is None:
-        enc = kept(enc, "encoded")
-        got = dict(enc.groupBy("chunk").agg(F.count("*").alias("c")).collect())  # a row a chunk
-        sizes = [got.get(s, 0) for s in range(chunks)]
+        folded = n > 0 and enc.agg(F.approx_count_distinct(F.struct(*word_names(words)))).first()[0] < 0.7 * n
     if folded:
-        enc = fold(enc, words)
-    enc = kept(enc.select("chunk", *word_names(words), "weight"), "chunks", by="chunk" if chunks > 1 else None)
-    return Encoded(enc, items, [c for _, c in known], n, sizes, bool(folded)), need
+        plain, enc = enc, kept(fold(enc, words), "folded", by="chunk" if chunks > 1 else None)
+        discard(plain)
+    for table in (tx, ranged):
+        if table is not None:
+            discard(table)
+    return Encoded(enc, items, [c for _, c in known], n, [got.get(s, 0) for s in range(chunks)], bool(folded)), need
 
 
 def from_masks(enc: DataFrame, items: list[str], chunks: int = 1, resident: bool = False) -> Encoded:
