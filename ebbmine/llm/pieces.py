@@ -31,6 +31,8 @@ from pyspark.sql.types import StringType, StructField, StructType
 from .common import only
 
 MARK = "▁"
+#: Ranges of a regular expression's class: Latin letters, and ASCII characters that are no letters.
+LATIN, SIGNS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f", r"!-@\[-`{-~"
 #: Distinct words, and pairs of pieces, remembered by a worker process.
 REMEMBERED, PAIRS = 200_000, 600_000
 
@@ -56,6 +58,11 @@ class PieceModel:
         self.surface = [back.get(k, p.piece.replace(MARK, " ").encode() if p.type == 1 else b"") for k, p in enumerate(model.pieces)]
         self.longest = max(len(p) for p in self.ids if MARK * 2 not in p)
         lines = "\n" if not any("\n" in p for p in self.ids) else ""
+        whole = rf"{MARK}*[^{MARK}{lines}]+"
+        if not any(re.search(rf"[{LATIN}][{SIGNS}]", p) for p in self.ids):
+            # no piece goes on after a Latin letter with an ASCII sign or digit: cut there, too
+            whole = rf"{MARK}*[^{MARK}{lines}{LATIN}]*[{LATIN}]+(?=[{SIGNS}])|{whole}"
+        self.word = re.compile(rf"{whole}|{MARK}+" + (rf"|{lines}" if lines else ""))
         # every ending of a piece: the piece itself if it is one that encodes to itself, else ""
         self.endings = {}
         if self.bpe:
@@ -63,7 +70,6 @@ class PieceModel:
                 for k in range(1, len(p)):
                     self.endings.setdefault(p[k:], "")
             self.endings |= {p: p for p in self.ids if merged(self.scores, p) == [p]}
-        self.word = re.compile(rf"{MARK}*[^{MARK}{lines}]+|{MARK}+" + (rf"|{lines}" if lines else ""))
         if any(MARK in p.lstrip(MARK) for p in self.ids):
             raise ValueError("the vocabulary has pieces across words")
 
