@@ -33,9 +33,11 @@ CLOSES = {
 SCOPE = {"li": ("ul", "ol", "menu", "dir"), "dt": ("dl",), "dd": ("dl",)}
 #: Words in class or id that mark clutter, and those that mark content.
 CLUTTER_NAMES = re.compile(
-    r"(?:^|[\s_-])(?:ads?|adverts?|advertisement|banner|breadcrumbs?|comments?|cookies?|consent|disqus|footer|header|masthead|menu|modal|nav|navbar|navigation|newsletter|notice|pager|pagination|popup|promo|promoted|related|replies|respond|share|sharing|sidebar|side|skip|social|sponsor|sponsored|subscribe|tags|toolbar|widget)(?:$|[\s_-])",
+    r"(?:^|[\s_-])(?:ads?|adbox|adslot|advert\w*|banner|breadcrumbs?|comment\w*|cookie\w*|consent\w*|disqus\w*|footer\w*|masthead|menu\w*|modal|nav|navbar|navigation|newsletter\w*|notices?|pager|pagination|popup|promo\w*|related|replies|reply|respond|share|sharing|sidebar\w*|skip|social|sponsor\w*|subscribe|subscription|tags|toolbar|topbar|widgets?)(?:$|[\s_-])",
     re.I,
 )
+#: Only outside of the article's element: there, headers hold the title.
+HEADER_NAMES = re.compile(r"(?:^|[\s_-])(?:site-?|page-?|top-?|global-?)?header(?:$|[\s_-])", re.I)
 CONTENT_NAMES = re.compile(r"article|body|content|entry|main|post|story|text", re.I)
 PAGE_ROLES = re.compile(r"""role\s*=\s*["']?(?:navigation|banner|contentinfo|complementary|search|dialog|alert|form|menu)""", re.I)
 HIDDEN = re.compile(r"""(?:^|\s)hidden(?:\s|=|$)|display\s*:\s*none|aria-hidden\s*=\s*["']?true""", re.I)
@@ -158,7 +160,7 @@ def _parsed(page: str) -> tuple[list[_Node], list[tuple[int, str, int]]]:
         names = " ".join(a or b or c for a, b, c in NAMES.findall(rest)) if len(rest) > 1 else ""
         parent = nodes[stack[-1]]
         clutter = parent.clutter or tag in CLUTTER or bool(names and tag not in ("body", "html", "article", "main") and CLUTTER_NAMES.search(names)) or bool(len(rest) > 1 and (HIDDEN.search(rest) or PAGE_ROLES.search(rest)))
-        if tag == "header" and not clutter:
+        if not clutter and (tag == "header" or names and tag not in ("body", "html", "article", "main") and HEADER_NAMES.search(names)):
             clutter = not any(nodes[k].tag in ("article", "main") for k in stack)
         if tag in BLOCK:
             flush()
@@ -224,7 +226,7 @@ def main_text(page: str | None) -> str:
             break
         k = nodes[k].parent
     keep = {best}
-    bar = max(10.0, 0.2 * final(best))
+    bar = max(4.0, 0.25 * final(best))
     if nodes[best].parent >= 0:
         for k in scored:
             if k != best and nodes[k].parent == nodes[best].parent and not nodes[k].clutter:
