@@ -7,8 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from . import experiments
 from .operators import layout, measures, result, rules
-from .operators.counting import BY_NUMBER, count
+from .operators.counting import BY_NUMBER
 from .operators.mining import mine
 from .sources import oracle, workloads
 from .sources.tables import attributes, read_table
@@ -236,36 +237,6 @@ def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.summary(spark, runs)
 
 
-def vector_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds of one counting pass with the vector kernel on and off, and their quotient."""
-    e, _ = _encoded(spark, sf_dir, "w2")
-    from .operators.lattice import joined
-
-    masks = sorted(joined([1 << p for p in range(len(e.items))]))[:500]
-    count(e.enc, masks[:5], e.words, "vector")
-    on = measures.timed(lambda: count(e.enc, masks, e.words, "vector"))[1]
-    off = measures.timed(lambda: count(e.enc, masks, e.words, "scalar"))[1]
-    return spark.createDataFrame([(on, off, measures.gain(off, on))], "vector_s double, scalar_s double, gain double")
-
-
-def speedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Counting time over 1, 2, 4, ... partitions of the same chunk (as many tasks at once as the master
-    allows), with speedup and efficiency."""
-    e, _ = _encoded(spark, sf_dir, "w4")
-    from .operators.lattice import joined
-
-    masks = sorted(joined([1 << p for p in range(len(e.items))]))
-    most, rows, k = spark.sparkContext.defaultParallelism, [], 1
-    count(e.enc.repartition(1), masks[:5], e.words, "vector")
-    while k <= most:
-        chunk = e.enc.repartition(k).persist()
-        chunk.count()
-        rows.append((k, measures.timed(lambda chunk=chunk: count(chunk, masks, e.words, "vector"))[1]))
-        chunk.unpersist()
-        k *= 2
-    return spark.createDataFrame([(k, t, measures.speedup(rows[0][1], t), measures.efficiency(rows[0][1], t, k)) for k, t in rows], "tasks int, seconds double, speedup double, efficiency double")
-
-
 def w9_synthetic(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The generator's baskets, wide masks (130 items), mined."""
     return mine(workloads.synthetic(spark, 5_000, m=130, avg_len=15), "0.1", "ic_b", chunks=4, mode="hash").itemsets()
@@ -318,8 +289,10 @@ def _all() -> dict[str, tuple[Callable, str | None]]:
     q["sliding_support"] = (_windowed("sliding", "1 day", "6 hours"), _windowed_sql("sliding"))
     q["session_support"] = (_windowed("session"), _windowed_sql("session"))
     q["asof_event_pairs"] = (asof_event_pairs, ASOF_SQL)
-    for f in (trace_passes, trace_stops, ablation, vector_gain, speedup, w9_synthetic):
+    for f in (trace_passes, trace_stops, ablation, w9_synthetic):
         q[f.__name__] = (f, None)
+    for name, f in experiments.ALL.items():
+        q[name] = (f, None)
     return q
 
 
