@@ -3,10 +3,13 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import functools
 import shutil
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -79,3 +82,21 @@ def found_spans(text: Column, pattern: str) -> Column:
         lambda acc: acc["spans"],
     )
     return F.when(F.size(hits) > 0, laid).otherwise(none)
+
+
+def tidy(run):
+    """For a function on batches: hands freed memory back to the system when a task ends, so that the
+    Python workers that Spark keeps for later tasks stay small."""
+
+    @functools.wraps(run)
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):  # not glibc
+                pass
+
+    return wrapped

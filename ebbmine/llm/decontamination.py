@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only
+from .common import only, tidy
 
 WORD = re.compile(r"[^\W_]+")
 # Spaced seeds; together they hit every 13 words with at most two substitutions.
@@ -145,7 +145,7 @@ def without_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13,
             texts = [x.as_py() for x in batch.column("text")]
             yield batch.filter(pa.array([not any(part.value.hits(t) for part in slices) for t in texts], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13, agreement: float = 0.8, slice_words: int = 2_000_000) -> DataFrame:
@@ -169,7 +169,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, least_words: int = 13, agr
                 ["doc_id", "item_ids", "spans"],
             )
 
-    return only(docs, doc_id="bigint", text="string").mapInArrow(run, "doc_id bigint, item_ids array<bigint>, spans array<struct<item_id:bigint,start:int,end:int,agreeing:int,words:int>>")
+    return only(docs, doc_id="bigint", text="string").mapInArrow(tidy(run), "doc_id bigint, item_ids array<bigint>, spans array<struct<item_id:bigint,start:int,end:int,agreeing:int,words:int>>")
 
 
 def _places(text: str) -> list[tuple[int, int]]:

@@ -31,15 +31,15 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, written
+from .common import only, tidy, written
 from .graph import components
 
 U = np.uint64
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], U)
 #: Shingles and documents that one verifying task holds at most.
-UNIT_SHINGLES, UNIT_DOCS = 4_000_000, 4_000
+UNIT_SHINGLES, UNIT_DOCS = 1_000_000, 2_000
 #: Entries gathered by a scanning task before they are sent on.
-FLUSH = 1_000_000
+FLUSH = 500_000
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -56,7 +56,7 @@ class Shingler:
 
         class Known(dict):
             def __missing__(self, word):
-                if len(self) > 300_000:
+                if len(self) > 150_000:
                     self.clear()
                 self[word] = value = xxhash.xxh64_intdigest(word)
                 return value
@@ -191,7 +191,7 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
                 done["fp2"].append(int.from_bytes(fp[8:], "little", signed=True))
                 if not len(tokens) or doc is None or fp in seen:
                     continue
-                if len(seen) > 500_000:
+                if len(seen) > 200_000:
                     seen.clear()
                 seen.add(fp)
                 for space, p, counted, direct in order.entries(tokens):
@@ -274,7 +274,7 @@ def common_tokens(rows: DataFrame, total: int, words: int, sample: int = 8_000,
             token, count = np.unique(np.concatenate(held), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(token.astype(np.int64)), pa.array(count)], ["token", "n"])
 
-    counts = part.mapInArrow(run, "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
+    counts = part.mapInArrow(tidy(run), "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
     found = counts.where(F.col("n") >= max(3, min(total, sample) // share)).select("token").toPandas()
     return np.sort(found["token"].to_numpy().astype(U))
 
@@ -362,7 +362,7 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     size = rows.agg(F.sum(F.octet_length("text")).alias("bytes"), F.count("*").alias("rows")).first()
     buckets = 16 + (size["bytes"] or 0) // bucket_bytes
     sent = rows.sparkSession.sparkContext.broadcast(common_tokens(rows, size["rows"], words))
-    scan = written(rows.mapInArrow(_scan(words, num, den, buckets, sent), SCAN), "shingles")
+    scan = written(rows.mapInArrow(tidy(_scan(words, num, den, buckets, sent)), SCAN), "shingles")
     sets = scan.where(F.col("kind") == SETS).select("doc_id", "mark", "n", "fp1", "fp2")
     classes = sets.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"))
     # candidates: documents that share an early token, each with the least of its token
@@ -412,7 +412,7 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, words: int,
 
     side = F.broadcast(members) if count <= listed else members  # a side of checked size; beyond it, a shuffled join
     full = rows.join(side, rows["doc_id"] == members["rep"]).select("rep", "n", "cluster", "fp1", "fp2", "text")
-    full = written(full.mapInArrow(fill, "rep bigint, n bigint, cluster bigint, tokens binary"), "cluster-sets")
+    full = written(full.mapInArrow(tidy(fill), "rep bigint, n bigint, cluster bigint, tokens binary"), "cluster-sets")
     weight = members.groupBy("cluster").agg(F.sum("n").alias("shingles"), F.count("*").alias("docs"))
     large = weight.withColumn("units", F.greatest(F.ceil(F.col("shingles") * 2 / UNIT_SHINGLES), F.ceil(F.col("docs") * 2 / UNIT_DOCS)).cast("bigint")).where((F.col("shingles") > UNIT_SHINGLES) | (F.col("docs") > UNIT_DOCS))
     large = written(large.select("cluster", "units"), "large")

@@ -16,7 +16,7 @@ import re
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import only
+from .common import only, tidy
 
 # Fixed values of HTML: elements by their role.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -266,4 +266,4 @@ def extract_main_text(pages: DataFrame) -> DataFrame:
                 ["page_id", "url", "text", "n_chars"],
             )
 
-    return only(pages, page_id="bigint", url="string", html="string").mapInArrow(run, "page_id bigint, url string, text string, n_chars bigint")
+    return only(pages, page_id="bigint", url="string", html="string").mapInArrow(tidy(run), "page_id bigint, url string, text string, n_chars bigint")

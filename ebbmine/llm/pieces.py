@@ -28,13 +28,13 @@ from pyspark.sql import DataFrame
 
 from pyspark.sql.types import StringType, StructField, StructType
 
-from .common import only
+from .common import only, tidy
 
 MARK = "▁"
 #: Ranges of a regular expression's class: Latin letters, and ASCII characters that are no letters.
 LATIN, SIGNS = "A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f", r"!-@\[-`{-~"
 #: Distinct words, and pairs of pieces, remembered by a worker process.
-REMEMBERED, PAIRS = 200_000, 600_000
+REMEMBERED, PAIRS = 100_000, 300_000
 
 
 class PieceModel:
@@ -259,7 +259,7 @@ def encode_texts(docs: DataFrame, model: PieceModel, verify: bool = False) -> Da
                 at += rows
 
     shape = "doc_id bigint, text string, ids array<int>" + ", round_trip boolean" * verify
-    return only(docs, doc_id="bigint", text="string").mapInArrow(run, shape)
+    return only(docs, doc_id="bigint", text="string").mapInArrow(tidy(run), shape)
 
 
 def decode_ids(encoded: DataFrame, model: PieceModel) -> DataFrame:
@@ -272,4 +272,4 @@ def decode_ids(encoded: DataFrame, model: PieceModel) -> DataFrame:
             texts = [decoded(sent.value, x.values.to_numpy(zero_copy_only=False).tolist()) if x.is_valid else "" for x in ids]
             yield batch.append_column("decoded", pa.array(texts, pa.string()))
 
-    return encoded.mapInArrow(run, StructType([*encoded.schema.fields, StructField("decoded", StringType())]))
+    return encoded.mapInArrow(tidy(run), StructType([*encoded.schema.fields, StructField("decoded", StringType())]))

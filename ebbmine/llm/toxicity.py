@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only
+from .common import only, tidy
 
 SENTENCE = re.compile(r"[^.!?\n]+[.!?]*")
 WORD = re.compile(r"[^\W\d_]+")
@@ -46,7 +46,7 @@ class NoisyOr:
 
         class Known(dict):
             def __missing__(self, word):
-                if len(self) > 400_000:  # bounded memory
+                if len(self) > 150_000:  # bounded memory
                     self.clear()
                 self[word] = value = float(weights[features(word, len(weights))].sum())
                 return value
@@ -169,7 +169,7 @@ def score(docs: DataFrame, model: NoisyOr) -> DataFrame:
             spans = pa.array([[{"start": a, "end": b, "p": p} for a, b, p in x[1]] for x in got], pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("p", pa.float64())])))
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array([min(1.0, max(0.0, x[0])) for x in got], pa.float64()), spans], ["doc_id", "score", "offending"])
 
-    return only(docs, doc_id="bigint", text="string").mapInArrow(run, "doc_id bigint, score double, offending array<struct<start:int,end:int,p:double>>")
+    return only(docs, doc_id="bigint", text="string").mapInArrow(tidy(run), "doc_id bigint, score double, offending array<struct<start:int,end:int,p:double>>")
 
 
 def without_toxic(docs: DataFrame, model: NoisyOr) -> DataFrame:
@@ -181,4 +181,4 @@ def without_toxic(docs: DataFrame, model: NoisyOr) -> DataFrame:
         for batch in batches:
             yield batch.filter(pa.array([judge(x.as_py())[0] < THRESHOLD for x in batch.column("text")], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(tidy(run), docs.schema)
