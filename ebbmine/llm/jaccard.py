@@ -7,7 +7,8 @@
    late in the order and bring nobody together. How rare tokens are is counted over all documents,
    on a fixed share of the hash space for long documents (the other tokens come after the counted
    ones, in hash order), and tokens found very common in a bounded sample come last: the order only
-   has to be the same for all, so no choice here can lose a link.
+   has to be the same for all, so no choice here can lose a link. Documents whose early tokens are
+   known without counts are counted too: a token is one document's own only if no other holds it.
 2. Documents of equal sets are one class. Classes that share an early token are candidates;
    candidates form clusters (distributed components).
 3. In a cluster the token-group matrix decides: similar sets are grouped, each group keeps the union
@@ -151,19 +152,20 @@ def _unpacked(table: pa.Table, with_extra: bool = False):
     return np.concatenate(tokens), np.concatenate(docs), np.concatenate(extra)
 
 
-SETS, LOCAL, DIRECT, COUNTED, WANTS = -1, -2, -3, 0, 2  # COUNTED + space, WANTS + space
+SETS, LOCAL, DIRECT, COUNTED, WANTS, HELD = -1, -2, -3, 0, 2, 4  # COUNTED, WANTS and HELD + space
+PACKED = (COUNTED, COUNTED + 1, HELD, HELD + 1)
 
 
 def _scan(words: int, num: int, den: int, buckets: int, sent):
     def run(batches):
         order, shingler, seen = Order(num, den, sent.value), Shingler(words), set()
-        parts, size = {0: [], 1: [], DIRECT: []}, 0
+        parts, size = {k: [] for k in (*PACKED, DIRECT)}, 0
 
         def flushed():
-            for space in (0, 1):
-                if parts[space]:
-                    tokens, docs = (np.concatenate(x) for x in zip(*parts[space]))
-                    yield _packed(COUNTED + space, tokens, docs, _mixed(tokens), buckets)
+            for kind in PACKED:
+                if parts[kind]:
+                    tokens, docs = (np.concatenate(x) for x in zip(*parts[kind]))
+                    yield _packed(kind, tokens, docs, _mixed(tokens), buckets)
             if parts[DIRECT]:
                 tokens, docs = (np.concatenate(x) for x in zip(*parts[DIRECT]))
                 at = np.lexsort((docs, tokens))
@@ -196,7 +198,7 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
                 seen.add(fp)
                 for space, p, counted, direct in order.entries(tokens):
                     if direct is None:
-                        parts[space].append((counted, np.full(len(counted), doc, np.int64)))
+                        parts[COUNTED + space].append((counted, np.full(len(counted), doc, np.int64)))
                         wants["kind"].append(WANTS + space)
                         wants["doc_id"].append(doc)
                         wants["n"].append(p)
@@ -204,10 +206,12 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
                         size += len(counted)
                     else:
                         parts[DIRECT].append((direct, np.full(len(direct), doc, np.int64)))
-                        size += len(direct)
+                        # counted as well, though nothing is asked for them: else a token shared with this document alone would seem to be the other's own
+                        parts[HELD + space].append((counted, np.zeros(len(counted), np.int64)))
+                        size += len(direct) + len(counted)
                 if size > FLUSH:
                     yield from flushed()
-                    parts, size = {0: [], 1: [], DIRECT: []}, 0
+                    parts, size = {k: [] for k in (*PACKED, DIRECT)}, 0
             yield _rows(**done)
             if wants["kind"]:
                 yield _rows(**wants)
@@ -218,16 +222,19 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
 
 def _counts(buckets: int):
     def run(unit: pa.Table) -> pa.Table:
-        """The tokens of one bucket that more than one document holds, with their counts, packed by document."""
-        kind = unit["kind"][0].as_py()
-        tokens, docs, _ = _unpacked(unit)
+        """The tokens of one bucket that more than one document holds, with their counts, packed by document. Entries of kind HELD are counted only."""
+        kinds = unit["kind"].to_numpy()
+        tokens, docs, _ = _unpacked(unit.filter(pa.array(kinds < HELD)))
+        held, none, _ = _unpacked(unit.filter(pa.array(kinds >= HELD)))
+        asks = np.repeat([True, False], [len(tokens), len(held)])
+        tokens, docs = np.concatenate([tokens, held]), np.concatenate([docs, none])
         at = np.argsort(tokens, kind="stable")
-        tokens, docs = tokens[at], docs[at]
+        tokens, docs, asks = tokens[at], docs[at], asks[at]
         starts = np.flatnonzero(np.append(True, tokens[1:] != tokens[:-1]))
         held = np.diff(np.append(starts, len(tokens)))
         count = np.repeat(held, held)
-        shared = count > 1
-        out = _packed(kind, tokens[shared], docs[shared], docs[shared], buckets, np.minimum(count[shared], (1 << 32) - 1))
+        shared = (count > 1) & asks
+        out = _packed(COUNTED + int(kinds[0]) % 2, tokens[shared], docs[shared], docs[shared], buckets, np.minimum(count[shared], (1 << 32) - 1))
         return pa.Table.from_batches([out])
 
     return run
@@ -367,7 +374,7 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     classes = sets.where("n > 0 and doc_id is not null").groupBy("fp1", "fp2").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"))
     # candidates: documents that share an early token, each with the least of its token
     packed = ["kind", "doc_id", "n", "fp1", "bucket", "tokens", "docs"]
-    counted = scan.where(F.col("kind").isin(0, 1)).select(*packed).groupBy("kind", "bucket").applyInArrow(_counts(buckets), SCAN)
+    counted = scan.where(F.col("kind").isin(*PACKED)).select(*packed).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_counts(buckets), SCAN)
     wants = scan.where(F.col("kind").isin(WANTS, WANTS + 1)).select(*packed).withColumn("bucket", F.pmod(F.col("doc_id"), F.lit(buckets)))
     early = counted.select(*packed).unionAll(wants).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_early, "token bigint, doc_id bigint")
     direct = scan.where(F.col("kind") == DIRECT).select(F.col("bucket").alias("token"), "doc_id")

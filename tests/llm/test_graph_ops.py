@@ -122,6 +122,21 @@ def test_jaccard(spark, k, num, den, monkeypatch):
     assert jaccard.jaccard_components(df.limit(0), k, num, den).count() == 0
 
 
+def test_jaccard_pair_on_both_sides_of_the_early_tokens(spark):
+    """Of two near copies one has just as many counted tokens as early places, the other one fewer; nobody else holds them."""
+    inside, outside = [], []
+    for k in range(1500):
+        (outside if int(jaccard.Shingler(1).set_of(b"w%d" % k)[0]) % 3 else inside).append(f"w{k}")
+    common = [f"c{k}" for k in range(80)]
+    rare = [f"r{k}" for k in range(21)]
+    docs = [rare + common[:79], rare[:20] + common]  # space 0: 21 early places
+    docs += [common + [f"own{j}x{k}" for k in range(300)] for j in range(4)]  # what makes the common words common
+    docs += [inside[:61] + outside[:239], inside[:60] + outside[:240]]  # space 1: 61 early places, a third of the hashes counted
+    df = spark.createDataFrame([(k, " ".join(x)) for k, x in enumerate(docs)], "doc_id bigint, text string")
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(df, 1, 4, 5).collect()}
+    assert got == {0: 0, 1: 0, 2: 2, 3: 3, 4: 4, 5: 5, 6: 6, 7: 6}
+
+
 def test_sharding(spark):
     rows = [(i, f"text {i % 7} é", "a") for i in range(3000)] + [(None, None, "b"), (None, "", "b")] + [(9, "same", "c")] * 500
     df = spark.createDataFrame(rows, "doc_id bigint, text string, shard string")
