@@ -125,13 +125,18 @@ def terms_near(base: DataFrame, reach: int = 80) -> DataFrame:
 
 
 def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts: int = 3) -> DataFrame:
-    """entity, term, disclosure of the pairs with evidence. Term counts run over all documents."""
+    """entity, term, disclosure of the pairs with evidence. All four counts run over distinct texts."""
     pairs = near.groupBy("entity", "term", "text_hash").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= least_texts)
     pairs = written(pairs, "private-pairs")
     entities = base.where(F.size("spans") > 0).select(F.explode("windows.entity").alias("entity"), "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("n_entity"))
-    words = docs.select(F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    counts = words.groupBy("term").agg(F.count("*").alias("n_term"))  # summed up before anything joins it
-    total = F.lit(base.count())
+    texts = written(base.groupBy("text_hash").agg(F.count("*").alias("rows")), "private-texts")
+    total = F.lit(texts.count())
+    # the hash of a text that comes more than once is kept until its terms are counted once; the others are summed up at once
+    copied = texts.where("rows > 1").select(F.col("text_hash").alias("copy"))
+    rows = docs.select(docs["text"].cast("string").alias("text"))
+    rows = rows.join(copied, F.xxhash64("text") == F.col("copy"), "left")
+    words = rows.select("copy", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
+    counts = words.groupBy("term", "copy").agg(F.count("*").alias("n")).groupBy("term").agg(F.sum(F.when(F.col("copy").isNull(), F.col("n")).otherwise(1)).alias("n_term"))
     pmi = F.log2(total * F.col("n_both") / (F.greatest("n_term", "n_both") * F.col("n_entity")))
     return (
         pairs.join(counts, "term").join(entities, "entity")

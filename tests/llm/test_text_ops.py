@@ -87,6 +87,19 @@ def test_terms_that_disclose(spark):
     assert "zy@mail.com" not in clean[0] and "Zyxwvut" not in clean[0] and "[EMAIL]" in clean[0] and clean[100] == dict(plain)[100]
 
 
+def test_copies_of_a_text_count_once(spark):
+    """Five texts name Zyxwvut by one address; that one of them has many copies makes the name no less telling."""
+    plain = [(k, f"Some common letters about weather number {k} from anyone") for k in range(1000, 1400)]
+    told = [(k, f"Some common words{k} here Zyxwvut wrote from zy@mail.com about weather") for k in range(5)]
+    df = spark.createDataFrame(plain + told + [(k, told[0][1]) for k in range(5, 305)], "doc_id bigint, text string")
+    base = private_data.find_base(df)
+    telling = {r["term"]: r["disclosure"] for r in private_data.disclosures(df, base, private_data.terms_near(base)).collect()}
+    assert telling["zyxwvut"] == pytest.approx(1.0)
+    assert telling["weather"] == pytest.approx(0.0)
+    got = private_data.protect(df).collect()
+    assert all(("zyxwvut", True) in [(t["value"], t["cut"]) for t in r["terms"]] for r in got if r["doc_id"] < 1000)
+
+
 def test_toxicity_finds_sentences(spark):
     good = [(k, f"The weather is fine in town {k}. People walk and talk there. Nothing else happened."  , 0) for k in range(0, 90)]
     bad = [(k, f"The weather is fine in town {k}. You rotten scoundrel! People walk there.", 1) for k in range(100, 160)]
