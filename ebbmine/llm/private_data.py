@@ -3,13 +3,13 @@
 The base finds e-mail addresses, IP addresses, payment cards and phone numbers. Each value found is
 a protected entity. The corpus tells how strongly a term reveals an entity e: with texts as units,
 pmi(t, e) = log2(D * n(t, e) / (n(t) * n(e))) against the information content ic(e) = log2(D / n(e)),
-where n(t, e) counts the distinct texts in which t stands near e. A term's disclosure is pmi / ic;
-from `generalise_at` on it is generalised, from `remove_at` on removed, wherever it stands near
-that entity. Pairs seen in fewer than `least_texts` distinct texts are no evidence (every word
-around a value that occurs once would score the maximum).
+where n(t, e) counts the distinct texts that hold both t and e. A term's disclosure is pmi / ic;
+from `generalise_at` on it is generalised, from `remove_at` on removed, wherever it stands in
+a text with that entity. Pairs seen in fewer than `least_texts` distinct texts are no evidence (every rare
+word of a text whose value occurs once would score the maximum).
 
-DataFrame expressions only. Pairs are made from a window of `reach` characters on each side of a
-found value, so their number is linear in the values found; counts are pre-aggregated before each
+DataFrame expressions only. Pairs are the distinct terms of a whole text with its distinct values,
+and are made only for values of `least_texts` texts or more; counts are pre-aggregated before each
 shuffle, and copies of a text count once. Null or empty text: no span. Repeated rows and repeated
 or null ids: each row has its own result. Very long texts are searched whole; all patterns run in
 linear time without backtracking over long runs. Extra columns are ignored, or carried whole.
@@ -78,57 +78,47 @@ def base_spans(text: Column) -> Column:
     return F.array_sort(F.concat(*parts))
 
 
-def _windows(text: Column, spans: Column, reach: int) -> Column:
-    """For each base span its entity and the text on both sides; a word cut by the far edge is left out by terms_near."""
+def _entities(spans: Column) -> Column:
+    """The distinct values of the base spans."""
 
-    def window(s: Column) -> Column:
-        begin = F.greatest(s["start"] - reach, F.lit(0))
+    def entity(s: Column) -> Column:
         value = F.when(s["kind"] >= 2, _digits(s["value"])).otherwise(F.lower(s["value"]))
-        return F.struct(
-            F.concat_ws(":", s["kind"].cast("string"), value).alias("entity"),
-            begin.alias("left_at"),
-            F.substring(text, begin + 1, s["start"] - begin).alias("left"),
-            s["end"].alias("right_at"),
-            F.substring(text, s["end"] + 1, F.lit(reach)).alias("right"),
-        )
+        return F.concat_ws(":", s["kind"].cast("string"), value)
 
-    return F.transform(spans, window)
+    return F.array_distinct(F.transform(spans, entity))
 
 
-def find_base(docs: DataFrame, reach: int = 80, carry: bool = False) -> DataFrame:
-    """docs(doc_id, text) -> row, doc_id, text_hash, spans, windows, written to the shared folder;
-    with carry also the text and `carried`, a struct of all columns of docs (so no name can clash)."""
+def find_base(docs: DataFrame, carry: bool = False) -> DataFrame:
+    """docs(doc_id, text) -> row, doc_id, text_hash, spans, entities and held (the text, where a value was
+    found), written to the shared folder; with carry also the text and `carried`, a struct of all columns of docs (so no name can clash)."""
     whole = [F.struct(*[docs[f"`{c}`"] for c in docs.columns]).alias("carried")] if carry else []
     rows = docs.select(docs["doc_id"].cast("bigint").alias("doc_id"), docs["text"].cast("string").alias("text"), *whole)
-    text = F.coalesce("text", F.lit(""))
     found = rows.withColumn("spans", base_spans(F.col("text")))
     found = found.select(
         F.monotonically_increasing_id().alias("row"), "doc_id", *(["carried"] if carry else []), F.xxhash64("text").alias("text_hash"), "spans",
-        F.when(F.size("spans") > 0, _windows(text, F.col("spans"), reach)).alias("windows"),
+        _entities(F.col("spans")).alias("entities"), F.when(F.size("spans") > 0, F.col("text")).alias("held"),
     )
     return written(found, "private-base")
 
 
-def terms_near(base: DataFrame, reach: int = 80) -> DataFrame:
-    """row, text_hash, entity, term, start, end: the words near each found value."""
-    near = base.where(F.size("spans") > 0).select("row", "text_hash", "spans", F.explode("windows").alias("w"))
-
-    def words(side: str) -> Column:
-        edge = (lambda s: (F.col("w.left_at") == 0) | (s["start"] > 0)) if side == "left" else (lambda s: s["end"] < reach)
-        at = F.col(f"w.{side}_at")
-        return F.transform(F.filter(found_spans(F.col(f"w.{side}"), TERM), edge), lambda s: F.struct((at + s["start"]).alias("start"), (at + s["end"]).alias("end"), F.lower(s["value"]).alias("term")))
-
-    terms = near.select("row", "text_hash", "spans", "w.entity", F.explode(F.concat(words("left"), words("right"))).alias("t"))
+def terms_with(base: DataFrame, least_texts: int = 3) -> tuple[DataFrame, DataFrame]:
+    """(row, text_hash, entity) of the values found, and (row, text_hash, term, start, end) of the words
+    of the whole texts that hold one. Both only for values of `least_texts` distinct texts: no pair has more texts than its value."""
+    held = base.where(F.size("spans") > 0).select("row", "text_hash", F.explode("entities").alias("entity"))
+    often = held.select("entity", "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("texts")).where(F.col("texts") >= least_texts)
+    held = written(held.join(often.drop("texts"), "entity"), "private-entities")
+    rows = base.join(held.select("row").distinct(), "row").select("row", "text_hash", "spans", F.explode(found_spans(F.col("held"), TERM)).alias("t"))
     # words inside another base span are part of that span, not terms
     apart = ~F.exists("spans", lambda s: (s["start"] < F.col("t.end")) & (s["end"] > F.col("t.start")))
-    return terms.where(apart).select("row", "text_hash", "entity", "t.term", "t.start", "t.end")
+    return held, written(rows.where(apart).select("row", "text_hash", F.lower("t.value").alias("term"), "t.start", "t.end"), "private-terms")
 
 
-def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts: int = 3) -> DataFrame:
+def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFrame, least_texts: int = 3) -> DataFrame:
     """entity, term, disclosure of the pairs with evidence. All four counts run over distinct texts."""
-    pairs = near.groupBy("entity", "term", "text_hash").agg(F.lit(1).alias("one")).groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= least_texts)
+    by_text = held.select("entity", "text_hash").distinct().join(terms.select("term", "text_hash").distinct(), "text_hash")
+    pairs = by_text.groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= least_texts)
     pairs = written(pairs, "private-pairs")
-    entities = base.where(F.size("spans") > 0).select(F.explode("windows.entity").alias("entity"), "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("n_entity"))
+    entities = held.select("entity", "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("n_entity"))
     texts = written(base.groupBy("text_hash").agg(F.count("*").alias("rows")), "private-texts")
     total = F.lit(texts.count())
     # the hash of a text that comes more than once is kept until its terms are counted once; the others are summed up at once
@@ -144,20 +134,21 @@ def disclosures(docs: DataFrame, base: DataFrame, near: DataFrame, least_texts:
     )
 
 
-def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, least_texts: int = 3, reach: int = 80, carry: bool = False) -> DataFrame:
+def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, least_texts: int = 3, carry: bool = False) -> DataFrame:
     """One row per document: row, doc_id, (carried,) spans, terms, where terms are
     array<struct<start,kind,end,value,cut>>: the terms to generalise (cut false) or remove (cut true)."""
-    base = find_base(docs, reach, carry)
-    near = terms_near(base, reach)
-    telling = disclosures(docs, base, near, least_texts).where(F.col("disclosure") >= generalise_at)
+    base = find_base(docs, carry)
+    held, terms = terms_with(base, least_texts)
+    telling = disclosures(docs, base, held, terms, least_texts).where(F.col("disclosure") >= generalise_at)
     hits = (
-        near.join(telling, ["entity", "term"])
+        held.select("row", "entity").join(telling, "entity").groupBy("row", "term").agg(F.max("disclosure").alias("disclosure"))
+        .join(terms, ["row", "term"])
         .groupBy("row", "start", "end")
         .agg(F.max("disclosure").alias("disclosure"), F.min("term").alias("value"))
         .groupBy("row")
         .agg(F.array_sort(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "end", "value", (F.col("disclosure") >= remove_at).alias("cut")))).alias("terms"))
     )
-    return base.drop("windows", "text_hash").join(hits, "row", "left").withColumn("terms", F.coalesce("terms", F.array().cast(NO_TERMS)))
+    return base.drop("entities", "held", "text_hash").join(hits, "row", "left").withColumn("terms", F.coalesce("terms", F.array().cast(NO_TERMS)))
 
 
 def listing(spans: Column) -> Column:

@@ -93,13 +93,24 @@ def test_copies_of_a_text_count_once(spark):
     told = [(k, f"Some common words{k} here Zyxwvut wrote from zy@mail.com about weather") for k in range(5)]
     df = spark.createDataFrame(plain + told + [(k, told[0][1]) for k in range(5, 305)], "doc_id bigint, text string")
     base = private_data.find_base(df)
-    telling = {r["term"]: r["disclosure"] for r in private_data.disclosures(df, base, private_data.terms_near(base)).collect()}
+    telling = {r["term"]: r["disclosure"] for r in private_data.disclosures(df, base, *private_data.terms_with(base)).collect()}
     assert telling["zyxwvut"] == pytest.approx(1.0)
     assert telling["weather"] == pytest.approx(0.0)
     got = private_data.protect(df).collect()
     assert all(("zyxwvut", True) in [(t["value"], t["cut"]) for t in r["terms"]] for r in got if r["doc_id"] < 1000)
 
 
+def test_terms_far_from_a_value_disclose(spark):
+    """The name stands hundreds of characters away from the address, and twice."""
+    filler = "Nothing else happened there. " * 20
+    plain = [(k, f"{filler} Some letters about weather number {k}") for k in range(100, 200)]
+    told = [(k, f"Zyxwvut was here. {filler} Write to zy@mail.com about weather. {filler} Zyxwvut") for k in range(1)] + [(k, f"Zyxwvut was here, day {k}. {filler} Write to zy@mail.com {filler} Zyxwvut") for k in range(1, 5)]
+    df = spark.createDataFrame(plain + told, "doc_id bigint, text string")
+    clean = {r["doc_id"]: r["text"] for r in private_data.without_private_data(df).collect()}
+    assert not any("Zyxwvut" in clean[k] or "zy@" in clean[k] for k in range(5))
+    assert all("Nothing else happened there." in clean[k] for k in clean) and clean[100] == plain[0][1]
+
+
 def test_toxicity_finds_sentences(spark):
     good = [(k, f"The weather is fine in town {k}. People walk and talk there. Nothing else happened."  , 0) for k in range(0, 90)]
     bad = [(k, f"The weather is fine in town {k}. You rotten scoundrel! People walk there.", 1) for k in range(100, 160)]
