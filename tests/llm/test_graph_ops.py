@@ -64,8 +64,42 @@ def test_page_links(spark):
         ("http://a.com/x/y", '<LINK href="/z" rel="canonical">'), ("http://a.com/x/y", "<link rel=canonical href='q?1'>"), ("http://a.com", '<meta http-equiv="refresh" content="0; url=//b.org/r">'),
         ("http://a.com/x", '<link rel="stylesheet" href="s.css">'), ("http://a.com/x", '<link rel="canonical" href="#top">'), (None, '<link rel="canonical" href="/z">'),
     ]
+    rows += [
+        ("http://c.com/", '<link rel="canonical" href="http://d.com/?a=1&amp;b=2&#38;c&#x2F;d&unknown;"/><link rel="alternate canonical" href=/second><link title="rel=canonical href=/no" rel=icon href="/i">'),
+        ("http://e.com/", '<!-- <link rel="canonical" href="http://bad.com/"> --><script>"<link rel=canonical href=/no>"</script><meta content="5;URL=\'/go\'" http-equiv=Refresh><style>'), ("http://f.com/", "<link rel=canonical href='/>'><!--><link rel=canonical href=/f2>"),
+    ]
     got = url_rules.page_links(spark.createDataFrame(rows, "url string, html string")).where("dst is not null").collect()
-    assert {(r["src"], r["dst"]) for r in got} == {("http://a.com/x/y", "http://a.com/z"), ("http://a.com/x/y", "http://a.com/x/q?1"), ("http://a.com", "http://b.org/r")}
+    assert {(r["src"], r["dst"]) for r in got} == {
+        ("http://a.com/x/y", "http://a.com/z"), ("http://a.com/x/y", "http://a.com/x/q?1"), ("http://a.com", "http://b.org/r"), ("http://c.com/", "http://d.com/?a=1&b=2&c/d&unknown;"), ("http://c.com/", "http://c.com/second"),
+        ("http://e.com/", "http://e.com/go"), ("http://f.com/", "http://f.com/>"),
+    }
+
+
+def test_aliases_by_normal_names(spark):
+    rules = spark.createDataFrame([("bad.com", "/", "block"), ("good.com", "/", "allow")], "host string, path string, verdict string")
+    rows = [
+        (1, "http://one.org/", '<link rel=canonical href="HTTP://BAD.com:80?x&amp;y#f">'), (2, "http://two.org", '<link rel=canonical href="http://One.org:80/#top">'), (3, "https://two.org/", None), (4, "http://bad.com", None), (5, "http://good.com/a", "<link rel=canonical href=http://bad.com/>"),
+        (6, "http://x." + "a." * 3000 + "bad.com/", None), (7, "http://six.org/", "<!--<link rel=canonical href=http://bad.com/>-->"), (8, "http://good.com:80/a", "<link rel=canonical href=http://bad.com/>"),
+    ]
+    pages = spark.createDataFrame(rows, "page_id bigint, url string, html string")
+    got = {r["page_id"]: (r["rule"], r["verdict"], r["via"]) for r in url_rules.judge(pages, rules, url_rules.page_links(pages)).collect()}
+    assert got == {1: (None, "block", "alias"), 2: (None, "block", "alias"), 3: (None, "allow", "none"), 4: (None, "block", "alias"), 5: ("good.com/", "allow", "rule"), 6: ("bad.com/", "block", "rule"), 7: (None, "allow", "none"), 8: (None, "allow", "alias")}
+
+
+def test_planted_redirects_at_scale(spark):
+    """Chains, stars and rings of redirects over thousands of pages, against a plain union-find."""
+    rng = random.Random(12)
+    names = [f"http://{'bad' if rng.random() < 0.02 else 'good' if rng.random() < 0.1 else 'h'}{k % 3}.org/p{k}" for k in range(4000)]
+    edges = [(k, k + 1) for k in range(0, 300)] + [(1000, k) for k in range(1001, 1500)] + [(rng.randrange(1500, 4000), rng.randrange(1500, 4000)) for _ in range(1500)]
+    out = defaultdict(list)
+    for a, b in edges:
+        out[a].append(b)
+    pages = spark.createDataFrame([(k, u, "".join(f'<link rel="canonical" href="{names[b]}">' for b in out[k])) for k, u in enumerate(names)], "page_id bigint, url string, html string")
+    rules = spark.createDataFrame([(f"bad{k}.org", "/", "block") for k in range(3)] + [(f"good{k}.org", "/", "allow") for k in range(3)], "host string, path string, verdict string")
+    root = closure(range(4000), edges)
+    hit = {root[k] for k, u in enumerate(names) if "//bad" in u}
+    got = {r["page_id"]: r["verdict"] for r in url_rules.judge(pages, rules, url_rules.page_links(pages)).collect()}
+    assert got == {k: "allow" if "//good" in u else "block" if root[k] in hit else "allow" for k, u in enumerate(names)}
 
 
 def test_licences(spark):
