@@ -221,10 +221,21 @@ def test_codes_estimate_without_bias():
     x /= np.linalg.norm(x, axis=1, keepdims=True)
     estimates = []
     for seed in range(40):
-        turned, code, factor, _ = embedding_dedup.Coder(64, 1, 4, seed).code(x)
-        estimates.append((turned[:200] @ code[200:].T) / factor[200:])
+        coder = embedding_dedup.Coder(64, 1, 4, seed)
+        packed, factor = coder.code(x)
+        assert packed.shape == (400, coder.width // 8)
+        estimates.append(coder.estimate(packed[200:], factor[200:], coder.turned(x[:200])).T)
+        off = np.abs(estimates[-1] - x[:200] @ x[200:].T)
+        assert (off > coder.slack(factor[200:], 4.0)).mean() < 1e-3  # the confidence bound holds
     off = np.mean(estimates, 0) - x[:200] @ x[200:].T
-    assert abs(off.mean()) < 0.005 and np.abs(off).mean() < 0.03
+    assert abs(off.mean()) < 0.005 and np.abs(off).mean() < 0.02
+
+
+def test_repeated_ids_of_different_vectors(spark):
+    """An id that stands for several vectors: each row has its own links."""
+    rows = [(1, [1.0, 0.0, 0.0]), (1, [0.0, 1.0, 0.0]), (2, [1.0, 0.01, 0.0]), (3, [0.0, 1.0, 0.01]), (4, [0.0, 0.0, 5.0]), (4, [0.0, 0.0, 5.0])]
+    got = embedding_dedup.link_embeddings(spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")).collect()
+    assert sorted((r["vec_id"], r["n_links"], r["component_id"]) for r in got) == [(1, 1, 1), (1, 1, 1), (2, 1, 1), (3, 1, 1), (4, 1, 4), (4, 1, 4)]
 
 
 def test_pipeline_stages(spark, tmp_path):
