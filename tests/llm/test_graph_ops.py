@@ -1,6 +1,7 @@
 """Components, URL rules, licences, Jaccard join, sharding, embeddings, pipeline: brute force and edge cases."""
 
 import random
+import zlib
 from collections import defaultdict
 
 import numpy as np
@@ -172,25 +173,57 @@ def test_jaccard_pair_on_both_sides_of_the_early_tokens(spark):
 
 
 def test_sharding(spark):
-    rows = [(i, f"text {i % 7} é", "a") for i in range(3000)] + [(None, None, "b"), (None, "", "b")] + [(9, "same", "c")] * 500
-    df = spark.createDataFrame(rows, "doc_id bigint, text string, shard string")
+    rows = [(i, f"text {i % 7} é", "a", 0) for i in range(3000)] + [(None, None, "b", 0)] * 3 + [(None, "", "b", 0)] + [(9, "same", "c", 0)] * 2500 + [(11, f"hot id {k}", "c", 0) for k in range(1500)] + [(k, None, "n", 1) for k in range(4000, 5000)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, before string, slot int")
     path = shared_path(spark, "test-shards")
-    files = sharding.write_shards(df, path, shards=8, bucket_bytes=4000)
+    files = sharding.write_shards(df.repartition(3), path, shards=8, bucket_bytes=4000)
     got = sharding.shard_slots(files).collect()
-    assert len(got) == len(rows)
-    slots = defaultdict(list)
+    assert sorted(((r["doc_id"], r["text"]) for r in got), key=str) == sorted(((r[0], r[1]) for r in rows), key=str)
+    slots, size = defaultdict(list), defaultdict(int)
     for r in got:
         slots[r["shard"]].append(r["slot"])
+        size[r["bucket"]] += r["size"]
         assert r["grown_shard"] in (r["shard"], 8) and r["size"] == len((r["text"] or "").encode()) + 16
+        assert r["text_crc32"] == zlib.crc32((r["text"] or "").encode())
     assert all(sorted(v) == list(range(len(v))) for v in slots.values()) and set(slots) <= set(range(8))
-    assert len({(r["doc_id"], r["shard"]) for r in got}) == 3001
-    places = [r["slot"] for r in sorted((r for r in got if r["shard"] == 3 and r["text"] != "same"), key=lambda r: r["doc_id"] or 0)]
-    assert places != sorted(places)
-    again = sharding.write_shards(df, shared_path(spark, "test-shards"), shards=8, bucket_bytes=4000)
-    assert sorted((str(r["doc_id"]), r["bucket"], r["place"]) for r in again.collect()) == sorted((str(r["doc_id"]), r["bucket"], r["place"]) for r in files.collect())
+    assert max(size.values()) < 1.6 * 4000  # copies, a hot id and null texts fill no bucket beyond its bound
+    assert len({(r["doc_id"], r["shard"]) for r in got}) == len({r[0] for r in rows})
+    # other partitions, the same buckets, places and slots
+    again = sharding.shard_slots(sharding.write_shards(df.repartition(7, "text"), shared_path(spark, "test-shards"), shards=8, bucket_bytes=4000))
+    assert sorted((str(r["doc_id"]), str(r["text"]), r["bucket"], r["slot"]) for r in again.collect()) == sorted((str(r["doc_id"]), str(r["text"]), r["bucket"], r["slot"]) for r in got)
     assert sharding.write_shards(df.limit(0), shared_path(spark, "test-shards")).count() == 0
 
 
+def test_shards_against_plain_recomputation(spark):
+    """Shards by jumping through the steps one by one, with hashes asked of Spark; slots by swapping a list."""
+    rows = [(k % 700, f"t{k % 900}") for k in range(1000)]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string")
+    got = sharding.shard_slots(sharding.write_shards(df, shared_path(spark, "test-shards"), shards=6, bucket_bytes=1000, seed=11)).collect()
+    hashes = {(r["k"], r["s"]): r["h"] for r in spark.range(700).select(F.col("id").alias("k"), F.explode(F.sequence(F.lit(1), F.lit(6))).alias("s")).select("k", "s", F.xxhash64("k", "s", F.lit(11)).alias("h")).collect()}
+
+    def shard(k, n):
+        at = 0
+        for s in range(1, n):
+            if hashes[k, s] % (s + 1) == 0:
+                at = s
+        return at
+
+    assert all((r["shard"], r["grown_shard"]) == (shard(r["doc_id"], 6), shard(r["doc_id"], 7)) for r in got)
+    buckets = defaultdict(list)
+    for r in sorted(got, key=lambda r: r["place"]):
+        buckets[r["bucket"]].append((r["doc_id"], r["text_crc32"]))
+    moved = 0
+    for b, placed in buckets.items():
+        draw = np.random.default_rng([11, b]).random(len(placed))
+        want = sorted(placed)
+        for i in reversed(range(1, len(want))):
+            j = int(draw[i] * (i + 1))
+            want[i], want[j] = want[j], want[i]
+        assert placed == want
+        moved += placed != sorted(placed)
+    assert moved > 0.9 * len(buckets) > 5
+
+
 def test_embeddings(spark):
     rng = np.random.default_rng(2)
     base = rng.standard_normal((120, 48))
