@@ -7,7 +7,7 @@ weight is the sum of hashed features: the word and its beginnings of four and fi
 that inflected forms share evidence.
 
 The classifier is fitted on a bounded sample (at most `per_class` labelled documents of each
-label, the lowest by hash of doc_id); scoring is a map over every document and every sentence.
+label, the lowest by hash of doc_id, and `most_bytes` of text in all); scoring is a map over every document and every sentence.
 
 Null or empty text: no sentence, score 0. Rows with null or repeated doc_id are scored one by one;
 repeated labels of a document count as toxic if one is. No usable label: all weights stay 0.
@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, tidy
+from .common import only, tidy, written
 
 SENTENCE = re.compile(r"[^.!?\n]+[.!?]*")
 WORD = re.compile(r"[^\W\d_]+")
@@ -148,13 +148,25 @@ def in_training(doc_id) -> F.Column:
     return F.pmod(F.crc32(F.encode(doc_id.cast("string"), "UTF-8")), F.lit(3)) != 1
 
 
-def train(docs: DataFrame, labels: DataFrame, per_class: int = 3000) -> NoisyOr:
-    """Fits on at most per_class documents of each label, held-out rows never among them."""
+def train(docs: DataFrame, labels: DataFrame, per_class: int = 3000, most_bytes: int = 64 << 20) -> NoisyOr:
+    """Fits on at most per_class documents of each label and most_bytes of text, held-out rows never among them.
+    The sample is bounded before it leaves Spark: of rows that share a doc_id one is taken, whole
+    documents are taken by the hash of doc_id until the bytes are used up (a document that does not fit is passed over)."""
     known = only(labels, doc_id="bigint", toxic="int").where(F.col("toxic").isin(0, 1) & in_training(F.col("doc_id")))
     known = known.groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picked = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(per_class) for y in (0, 1)]
     sample = F.broadcast(picked[0].unionAll(picked[1]))  # at most 2 * per_class rows of two numbers
-    rows = only(docs, doc_id="bigint", text="string").join(sample, "doc_id").toPandas().sort_values("doc_id", kind="stable")
+    found = only(docs, doc_id="bigint", text="string").where(F.octet_length("text") <= most_bytes).join(sample, "doc_id")
+    once = written(found.groupBy("doc_id", "toxic").agg(F.min_by("text", F.xxhash64("text")).alias("text")), "toxicity-sample")
+    sizes = once.select("doc_id", F.octet_length("text").alias("bytes"), F.xxhash64("doc_id").alias("h")).orderBy("h", "doc_id").collect()  # two numbers a sampled document
+    fits, left = [], most_bytes
+    for r in sizes:
+        if r["bytes"] <= left:
+            left -= r["bytes"]
+            fits.append(r["doc_id"])
+    spark = docs.sparkSession
+    chosen = F.broadcast(spark.createDataFrame([(x,) for x in fits], "doc_id bigint"))
+    rows = once.join(chosen, "doc_id").toPandas().sort_values("doc_id", kind="stable")
     return calibrated(rows["text"].tolist(), rows["toxic"].tolist())
 
 
