@@ -4,9 +4,12 @@ import html
 import math
 import random
 import re
+import zlib
 from collections import Counter
 
-from ebbmine.llm import decontamination, licences, queries
+import pytest
+
+from ebbmine.llm import decontamination, licences, queries, toxicity
 from ebbmine.llm.decontamination import SeedIndex
 
 SF = "/root/testdata/sf0.001"
@@ -82,14 +85,70 @@ def test_seeds_against_all_layouts():
 
 
 def test_leaks_of_the_given_documents(spark):
+    """Every document against every item, laid at every shift: no index, no masks."""
+    import numpy as np
+
     docs = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
     items = [r["text"] for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
-    whole = {d for d, t in docs.items() if any(i in t for i in items)}
+    number: dict[str, int] = {}
+    of = lambda t: np.array([number.setdefault(w, len(number)) for w in re.findall(r"[^\W_]+", t.lower())], int)
+    rows, wanted = {d: of(t) for d, t in docs.items()}, [of(t) for t in items]
+    sure, near = set(), set()
+    for d, row in rows.items():
+        for item in wanted:
+            least = min(13, len(item))
+            same = row[:, None] == item[None, :]
+            for shift in range(-len(item) + least, len(row) - least + 1):
+                hit = np.diagonal(same, -shift)
+                if hit.sum() < 0.8 * least:
+                    continue
+                total = np.append(0, np.cumsum(hit))
+                runs = total[least:] - total[:-least]
+                if (runs >= least - (2 if least == 13 else 0)).any():
+                    sure.add(d)  # what the masks promise
+                gain = np.append(0.0, np.cumsum(np.where(hit, 1.0, -4.0)))
+                if any(gain[j] - gain[: j - least + 1].min() >= -1e-9 for j in range(least, len(gain))):
+                    near.add(d)
     got = {r["doc_id"] for r in queries.op9_spaced_seed_leaks(spark, SF).collect()}
-    assert whole <= got and len(got - whole) <= 0.02 * len(docs)
+    assert sure and sure <= got <= near
     assert decontamination.find_leaks(spark.read.parquet(f"{SF}/documents.parquet").limit(0), spark.read.parquet(f"{SF}/benchmark.parquet")).count() == 0
 
 
+def test_toxicity_scores_by_hand(spark):
+    """The noisy-or of the sentences, sentence by sentence, from the fitted weights."""
+    docs, labels = (spark.read.parquet(f"{SF}/{n}.parquet") for n in ("documents", "labels"))
+    model = toxicity.train(docs, labels)
+    texts = {r["doc_id"]: r["text"] for r in docs.collect()}
+    for r in queries.op4_noisy_or_toxicity(spark, SF).collect():
+        clean = 1.0
+        for sentence in re.findall(r"[^.!?\n]+", texts[r["doc_id"]] or ""):
+            words = set(re.findall(r"[^\W\d_]+", sentence.lower()))
+            if words:
+                z = model.bias + sum(float(model.weights[toxicity.features(w, len(model.weights))].sum()) for w in words)
+                clean *= 1 - 1 / (1 + math.exp(-z))
+        odds = math.inf if clean < 1e-13 else math.log(1 / clean - 1) + model.shift if clean < 1 else -math.inf
+        want = 1.0 if odds > 700 else 1 / (1 + math.exp(-odds)) if odds > -700 else 0.0
+        assert r["score"] == pytest.approx(want, abs=1e-9)
+        assert r["held_out"] == (zlib.crc32(str(r["doc_id"]).encode()) % 3 == 1) and r["predicted"] == (r["score"] >= 0.7)
+
+
+def test_toxicity_sample_is_bounded(spark):
+    """Rows that share an id count once, held-out rows never, and no more bytes than allowed are taken."""
+    seen = []
+    rows = [(k, f"text {k} " + ("rotten " if k % 2 else "") + "x" * (200 if k % 5 else 5000)) for k in range(300)] + [(2, f"again {k}") for k in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    labels = spark.createDataFrame([(k, k % 2) for k in range(300)], "doc_id bigint, toxic int")
+    real = toxicity.calibrated
+    toxicity.calibrated = lambda texts, toxic: seen.extend(texts) or real(texts, toxic)
+    try:
+        toxicity.train(docs, labels, per_class=50, most_bytes=20_000)
+    finally:
+        toxicity.calibrated = real
+    assert 20 < len(seen) <= 100 and sum(map(len, seen)) <= 20_000
+    assert sum(x.startswith("again") or x.startswith("text 2 ") for x in seen) <= 1
+    assert not any(zlib.crc32(x.split()[1].encode()) % 3 == 1 for x in seen if x.startswith("text"))
+
+
 def test_pieces_and_toxicity_queries_are_whole(spark):
     n = spark.read.parquet(f"{SF}/documents.parquet").count()
     rows = queries.op10_shared_prefix_pieces(spark, SF).collect()
