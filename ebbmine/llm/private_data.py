@@ -1,18 +1,21 @@
 """Personal data: base patterns, and information-theoretic sanitisation of what gives them away.
 
 The base finds e-mail addresses, IP addresses, payment cards and phone numbers. Each value found is
-a protected entity. The corpus tells how strongly a term reveals an entity e: with texts as units,
+a protected entity. The corpus tells how strongly a term reveals an entity e, with distinct texts as units:
 pmi(t, e) = log2(D * n(t, e) / (n(t) * n(e))) against the information content ic(e) = log2(D / n(e)),
-where n(t, e) counts the distinct texts that hold both t and e. A term's disclosure is pmi / ic;
-from `generalise_at` on it is generalised, from `remove_at` on removed, wherever it stands in
-a text with that entity. Pairs seen in fewer than `least_texts` distinct texts are no evidence (every rare
-word of a text whose value occurs once would score the maximum).
+where n(t, e) counts the texts that hold both. A term's disclosure is pmi / ic. All four counts leave out one text
+that holds both (the one at hand): a pair known from a single text is no evidence, since every
+rare word beside a value that occurs once would score the maximum otherwise.
 
-DataFrame expressions only. Pairs are the distinct terms of a whole text with its distinct values,
-and are made only for values of `least_texts` texts or more; counts are pre-aggregated before each
+From `generalise_at` on a term is generalised: to its stem, the class of all words with its first letters,
+if the corpus shows that the stem reveals the entity less than that; else to a placeholder. From `remove_at`
+on it is removed. Both happen wherever the term stands in a text with that entity.
+
+DataFrame expressions only. Pairs are the distinct terms (and stems) of a whole text with its distinct values;
+values of one text have no evidence and make no pairs. Counts are pre-aggregated before each
 shuffle, and copies of a text count once. Null or empty text: no span. Repeated rows and repeated
 or null ids: each row has its own result. Very long texts are searched whole; all patterns run in
-linear time without backtracking over long runs. Extra columns are ignored, or carried whole.
+linear time without backtracking over long runs. Words under 4 letters are no terms. Extra columns are ignored, or carried whole.
 """
 
 from __future__ import annotations
@@ -29,6 +32,8 @@ ADDRESS = r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}"
 CARD = r"[0-9]++(?:[\x20-][0-9]++)*+"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 TERM = r"\p{L}{4,}+"
+#: Letters of a stem; its sign is no letter, so no term is a stem.
+STEM, SIGN = 4, "*"
 NO_TERMS = "array<struct<start:int,kind:int,end:int,value:string,cut:boolean>>"
 
 
@@ -101,32 +106,38 @@ def find_base(docs: DataFrame, carry: bool = False) -> DataFrame:
     return written(found, "private-base")
 
 
-def terms_with(base: DataFrame, least_texts: int = 3) -> tuple[DataFrame, DataFrame]:
+def _stem(term: Column) -> Column:
+    return F.concat(F.substring(term, 1, STEM), F.lit(SIGN))
+
+
+def terms_with(base: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(row, text_hash, entity) of the values found, and (row, text_hash, term, start, end) of the words
-    of the whole texts that hold one. Both only for values of `least_texts` distinct texts: no pair has more texts than its value."""
+    of the whole texts that hold one. Both only for values of several distinct texts: the others have no evidence."""
     held = base.where(F.size("spans") > 0).select("row", "text_hash", F.explode("entities").alias("entity"))
-    often = held.select("entity", "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("texts")).where(F.col("texts") >= least_texts)
-    held = written(held.join(often.drop("texts"), "entity"), "private-entities")
+    often = held.groupBy("entity").agg(F.min("text_hash").alias("a"), F.max("text_hash").alias("b")).where("a < b").select("entity")
+    held = written(held.join(often, "entity"), "private-entities")
     rows = base.join(held.select("row").distinct(), "row").select("row", "text_hash", "spans", F.explode(found_spans(F.col("held"), TERM)).alias("t"))
     # words inside another base span are part of that span, not terms
     apart = ~F.exists("spans", lambda s: (s["start"] < F.col("t.end")) & (s["end"] > F.col("t.start")))
     return held, written(rows.where(apart).select("row", "text_hash", F.lower("t.value").alias("term"), "t.start", "t.end"), "private-terms")
 
 
-def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFrame, least_texts: int = 3) -> DataFrame:
-    """entity, term, disclosure of the pairs with evidence. All four counts run over distinct texts."""
-    by_text = held.select("entity", "text_hash").distinct().join(terms.select("term", "text_hash").distinct(), "text_hash")
-    pairs = by_text.groupBy("entity", "term").agg(F.count("*").alias("n_both")).where(F.col("n_both") >= least_texts)
-    pairs = written(pairs, "private-pairs")
-    entities = held.select("entity", "text_hash").distinct().groupBy("entity").agg(F.count("*").alias("n_entity"))
+def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFrame) -> DataFrame:
+    """entity, term, disclosure of the pairs with evidence, terms and stems. All four counts run over distinct texts, without the one at hand."""
+    words = terms.select("text_hash", "term").distinct()
+    both = words.unionAll(words.select("text_hash", _stem(F.col("term")).alias("term"))).distinct()
+    by_text = held.select("entity", "text_hash").distinct().join(both, "text_hash")
+    pairs = written(by_text.groupBy("entity", "term").agg((F.count("*") - 1).alias("n_both")).where("n_both > 0"), "private-pairs")
+    entities = held.select("entity", "text_hash").distinct().groupBy("entity").agg((F.count("*") - 1).alias("n_entity"))
     texts = written(base.groupBy("text_hash").agg(F.count("*").alias("rows")), "private-texts")
-    total = F.lit(texts.count())
+    total = F.lit(texts.count() - 1)
     # the hash of a text that comes more than once is kept until its terms are counted once; the others are summed up at once
     copied = texts.where("rows > 1").select(F.col("text_hash").alias("copy"))
     rows = docs.select(docs["text"].cast("string").alias("text"))
     rows = rows.join(copied, F.xxhash64("text") == F.col("copy"), "left")
-    words = rows.select("copy", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0)))).alias("term"))
-    counts = words.groupBy("term", "copy").agg(F.count("*").alias("n")).groupBy("term").agg(F.sum(F.when(F.col("copy").isNull(), F.col("n")).otherwise(1)).alias("n_term"))
+    found = rows.select("copy", F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0))).alias("words"))
+    every = found.select("copy", F.explode(F.concat("words", F.array_distinct(F.transform("words", _stem)))).alias("term"))
+    counts = every.groupBy("term", "copy").agg(F.count("*").alias("n")).groupBy("term").agg((F.sum(F.when(F.col("copy").isNull(), F.col("n")).otherwise(1)) - 1).alias("n_term"))
     pmi = F.log2(total * F.col("n_both") / (F.greatest("n_term", "n_both") * F.col("n_entity")))
     return (
         pairs.join(counts, "term").join(entities, "entity")
@@ -134,20 +145,24 @@ def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFr
     )
 
 
-def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, least_texts: int = 3, carry: bool = False) -> DataFrame:
+def protect(docs: DataFrame, generalise_at: float = 0.5, remove_at: float = 0.8, carry: bool = False) -> DataFrame:
     """One row per document: row, doc_id, (carried,) spans, terms, where terms are
-    array<struct<start,kind,end,value,cut>>: the terms to generalise (cut false) or remove (cut true)."""
+    array<struct<start,kind,end,value,cut>>: the terms to generalise (cut false; value is a stem, or the
+    term if the stem tells as much) or remove (cut true)."""
     base = find_base(docs, carry)
-    held, terms = terms_with(base, least_texts)
-    telling = disclosures(docs, base, held, terms, least_texts).where(F.col("disclosure") >= generalise_at)
+    held, terms = terms_with(base)
+    telling = disclosures(docs, base, held, terms).where(F.col("disclosure") >= generalise_at)
+    telling = written(telling, "private-telling")
+    of_row = held.select("row", "entity").join(telling, "entity").groupBy("row", "term").agg(F.max("disclosure").alias("disclosure"))
+    told = of_row.where(~F.endswith("term", F.lit(SIGN)))
+    stems = of_row.where(F.endswith("term", F.lit(SIGN))).select("row", F.col("term").alias("stem"), F.lit(True).alias("stem_tells"))
     hits = (
-        held.select("row", "entity").join(telling, "entity").groupBy("row", "term").agg(F.max("disclosure").alias("disclosure"))
-        .join(terms, ["row", "term"])
+        told.withColumn("stem", _stem(F.col("term"))).join(stems, ["row", "stem"], "left").join(terms, ["row", "term"])
         .groupBy("row", "start", "end")
-        .agg(F.max("disclosure").alias("disclosure"), F.min("term").alias("value"))
-        .groupBy("row")
-        .agg(F.array_sort(F.collect_list(F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "end", "value", (F.col("disclosure") >= remove_at).alias("cut")))).alias("terms"))
+        .agg(F.max("disclosure").alias("disclosure"), F.min(F.when(F.col("stem_tells"), F.col("term")).otherwise(F.col("stem"))).alias("value"))
     )
+    spans = F.struct("start", F.lit(KINDS.index("term")).alias("kind"), "end", "value", (F.col("disclosure") >= remove_at).alias("cut"))
+    hits = hits.groupBy("row").agg(F.array_sort(F.collect_list(spans)).alias("terms"))
     return base.drop("entities", "held", "text_hash").join(hits, "row", "left").withColumn("terms", F.coalesce("terms", F.array().cast(NO_TERMS)))
 
 
@@ -157,13 +172,14 @@ def listing(spans: Column) -> Column:
 
 
 def sanitised(text: Column, spans: Column) -> Column:
-    """The text with each span replaced by its kind in brackets; removed terms leave nothing.
-    Overlapping spans are covered together, under the first one's label."""
+    """The text with each span replaced by its kind in brackets; generalised terms by their stem, where that
+    is less telling; removed terms leave nothing. Overlapping spans are covered together, under the first one's label."""
     names = F.array(*[F.lit(f"[{k.upper()}]") for k in KINDS])
 
     def step(acc: Column, s: Column) -> Column:
         fresh = s["start"] >= acc["at"]
-        label = F.when((s["kind"] == KINDS.index("term")) & s["cut"], "").otherwise(F.get(names, s["kind"]))
+        term = s["kind"] == KINDS.index("term")
+        label = F.when(term & s["cut"], "").when(term & F.endswith(s["value"], F.lit(SIGN)), s["value"]).otherwise(F.get(names, s["kind"]))
         return F.struct(
             F.greatest(acc["at"], s["end"]).alias("at"),
             F.when(fresh, F.concat(acc["out"], F.substring(text, acc["at"] + 1, s["start"] - acc["at"]), label)).otherwise(acc["out"]).alias("out"),

@@ -2,6 +2,8 @@
 
 import hashlib
 import itertools
+import math
+import random
 import re
 
 import pytest
@@ -111,6 +113,50 @@ def test_terms_far_from_a_value_disclose(spark):
     assert all("Nothing else happened there." in clean[k] for k in clean) and clean[100] == plain[0][1]
 
 
+def test_disclosures_against_plain_counts(spark):
+    """All counts by sets of texts, with copies, near copies and shared values."""
+    rng = random.Random(5)
+    names = [f"name{chr(97 + k)}{chr(97 + j)}" for k in range(6) for j in range(4)]
+    texts = [" ".join(rng.choices(["alpha", "beta", "gamma", "delta", "epsilon", "zeta"], k=8)) + f" number{k}" for k in range(200)]
+    for k in range(60):
+        e = rng.randrange(8)
+        texts.append(f"{rng.choice(names[3 * e : 3 * e + 4])} wrote {rng.choice(['alpha', 'beta'])} to u{e}@mail.com and {rng.choice(names)} day {'x' * (k % 7 + 4)}")
+    rows = texts + texts[200:210] * 30
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id bigint, text string")
+    base = private_data.find_base(df)
+    held, terms = private_data.terms_with(base)
+    got = {(r["entity"], r["term"]): r["disclosure"] for r in private_data.disclosures(df, base, held, terms).collect()}
+    units = {t: ({w for w in re.findall(r"[a-z]{4,}", t)} | {w[:4] + "*" for w in re.findall(r"[a-z]{4,}", t)}, set(re.findall(r"u\d@mail\.com", t))) for t in set(rows)}
+    outside = {t: {w for w in re.findall(r"[a-z]{4,}", re.sub(r"\S+@\S+", " ", t))} for t in units}
+    want = {}
+    for e in {e for _, es in units.values() for e in es}:
+        of = [t for t, (_, es) in units.items() if e in es]
+        for w in {x for t in of for x in outside[t] | {y[:4] + "*" for y in outside[t]}}:
+            n_both = sum(w in outside[t] or w in {y[:4] + "*" for y in outside[t]} for t in of) - 1
+            n_term, n_e, total = sum(w in ws for ws, _ in units.values()) - 1, len(of) - 1, len(units) - 1
+            if n_both > 0:
+                want["0:" + e, w] = math.log2(total * n_both / (max(n_term, n_both) * n_e)) / math.log2(total / n_e)
+    assert len(want) > 50 and got.keys() == want.keys()
+    assert all(got[k] == pytest.approx(want[k]) for k in want)
+    # what is masked: all places of the telling words, in the texts of that value only
+    for r, text in ((r, rows[r["doc_id"]]) for r in private_data.protect(df).collect()):
+        words = {}
+        for e in units[text][1]:
+            for w in outside[text]:
+                words[w] = max(words.get(w, 0), want.get(("0:" + e, w), 0))
+        spans = [(m.start(), m.end(), words[m[0]] >= 0.8) for m in re.finditer(r"[a-z]{4,}", text) if words.get(m[0], 0) >= 0.5]
+        assert [(t["start"], t["end"], t["cut"]) for t in r["terms"]] == spans
+
+
+def test_generalised_to_a_stem(spark):
+    """A word that tells much, with first letters that tell little, is replaced by these."""
+    told = [(k, f"Westerby{'' if k % 4 else 'x'} was seen, day {'x' * (k + 4)}, by an@mail.com today") for k in range(8)]
+    plain = [(k, f"Western winds blow over hill {'y' * (k % 40 + 4)} {'Westerby' if k < 104 else 'Westfalen'} today") for k in range(100, 180)]
+    df = spark.createDataFrame(told + plain, "doc_id bigint, text string")
+    clean = {r["doc_id"]: r["text"] for r in private_data.without_private_data(df).collect()}
+    assert clean[1].startswith("west* was") and "[EMAIL]" in clean[1] and clean[150] == dict(plain)[150]
+
+
 def test_toxicity_finds_sentences(spark):
     good = [(k, f"The weather is fine in town {k}. People walk and talk there. Nothing else happened."  , 0) for k in range(0, 90)]
     bad = [(k, f"The weather is fine in town {k}. You rotten scoundrel! People walk there.", 1) for k in range(100, 160)]
