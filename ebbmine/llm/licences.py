@@ -1,16 +1,16 @@
 """Licence scan: sparse TF-IDF cosine to templates, then inheritance down the directory tree.
 
 Headers are the sentences and lines of a text; licence files (by name) are also compared whole.
-Terms weigh (1 + log tf) * idf with idf over all files; terms outside the templates weigh as much
-as the heaviest inside. A
-unit takes the template of the greatest cosine, if that is `least` or more and two terms agree. Without one of a
+Terms weigh (1 + log tf) * idf, with idf over all files, for every term. A unit takes the template of the greatest
+cosine, if that is `least` or more and two terms agree. Without one of a
 template's anchors (its heaviest terms, taken until the rest has a norm below `least`) no unit can
-reach `least`, so the scan drops units without anchors early and loses nothing.
+reach `least`, nor can one with so many different words outside the templates that their norm (each weighs 1 at
+least) outweighs what its words within can bring; the scan drops such units early and loses nothing.
 
 A licence file gives its licence to its directory. A file without a licence of its own inherits
 that of the nearest ancestor directory that has one, by joins of directories with their ancestors;
 distinct directories are joined before their files, so a directory of a third of all files is a
-row. Two licence files in a directory: the greater score, then the lesser name, wins.
+row. Two licence files in a directory: the greater score (cosines are rounded to six digits), then the lesser path, wins.
 
 DataFrame expressions only. Null or empty text: no licence of its own. Null path: nothing to
 inherit. Repeated rows: each has its own result. Extra columns are ignored. Whole texts are scanned.
@@ -66,18 +66,20 @@ def vocabulary(templates: DataFrame) -> list[str]:
     return [x["term"] for x in terms.orderBy(F.desc(F.length("term")), "term").collect()]
 
 
-def file_counts(files: DataFrame, terms: list[str]) -> DataFrame:
-    """term, df: how many files hold each of the templates' terms. Summed up in each task first."""
-    held = F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(_any_of(terms)), F.lit(0)))
-    return files.select(F.explode(held).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+def file_counts(files: DataFrame) -> DataFrame:
+    """term, df: how many files hold each term. Summed up in each task first."""
+    return files.select(F.explode(F.array_distinct(_terms(F.col("text")))).alias("term")).groupBy("term").agg(F.count("*").alias("df"))
+
+
+def idf_of(df: Column, n_files: int) -> Column:
+    return F.log(F.lit(1.0 + n_files) / (1 + F.coalesce(df, F.lit(0)))) + 1
 
 
 def template_weights(templates: DataFrame, counts: DataFrame, n_files: int) -> DataFrame:
     """templates(licence, text) -> template, licence, term, idf, weight (unit vectors)."""
     rows = templates.distinct().withColumn("template", F.xxhash64("licence", "text")).select("template", "licence", F.explode(_terms(F.col("text"))).alias("term"))
     tf = rows.groupBy("template", "licence", "term").agg(F.count("*").alias("tf"))
-    idf = F.log(F.lit(1.0 + n_files) / (1 + F.coalesce("df", F.lit(0)))) + 1
-    raw = tf.join(counts, "term", "left").withColumn("idf", idf).withColumn("raw", (1 + F.log("tf")) * F.col("idf"))
+    raw = tf.join(counts, "term", "left").withColumn("idf", idf_of(F.col("df"), n_files)).withColumn("raw", (1 + F.log("tf")) * F.col("idf"))
     return raw.withColumn("weight", F.col("raw") / F.sqrt(F.sum(F.col("raw") * F.col("raw")).over(Window.partitionBy("template")))).drop("raw", "tf", "df")
 
 
@@ -93,14 +95,17 @@ def scan_licences(files: DataFrame, templates: DataFrame, least: float = 0.6, ca
     via (own, inherited or none), source (the directory inherited from)."""
     base = only(files, path="string", text="string", **(carry or {}))
     terms = vocabulary(templates)
-    weights = written(template_weights(templates, file_counts(base, terms), base.count()), "licence-weights")
+    counts, n_files = written(file_counts(base), "licence-terms"), base.count()
+    weights = written(template_weights(templates, counts, n_files), "licence-weights")
+    heaviest = weights.agg(F.max("idf").alias("idf")).first()["idf"] or 1.0
     pattern, within = _any_of(anchors(weights, least)), _any_of(terms)
     named = F.coalesce(F.col("path").rlike(LICENCE_FILE), F.lit(False))
     low = F.lower("text")
+
     def may(u: Column) -> Column:
-        """Foreign terms weigh the most, and (1 + log tf)^2 <= 1.5 tf: with too few words of the templates no cosine is great enough."""
+        """(1 + log tf)^2 <= 1.5 tf: with too few words of the templates no cosine is great enough."""
         known = F.size(F.regexp_extract_all(F.lower(u), F.lit(within), F.lit(0)))
-        return F.lower(u).rlike(pattern) & (F.size(F.array_distinct(_terms(u))) <= known * (1 + 1.5 * (1 - least**2) / least**2))
+        return F.lower(u).rlike(pattern) & (F.size(F.array_distinct(_terms(u))) <= known * (1 + 1.5 * heaviest**2 * (1 - least**2) / least**2))
 
     units = F.filter(F.split(F.col("text"), UNIT, -1), may)
     seen = base.select(
@@ -108,11 +113,11 @@ def scan_licences(files: DataFrame, templates: DataFrame, least: float = 0.6, ca
         F.when(low.rlike(pattern), F.concat(units, F.when(named, F.array("text")).otherwise(F.array().cast("array<string>")))).alias("units"),
     )
     rows = written(seen, "licence-units")
-    best = _matches(rows, weights, least)
+    best = _matches(rows, weights, counts, n_files, least)
     own = rows.drop("units").join(best, "row", "left")
     folder = F.regexp_replace("path", r"[^/]*$", "")  # with its closing slash; "" at the top
-    rank = F.struct("score", F.when(F.col("named"), 1).otherwise(0), F.col("path"))
-    given = own.where(F.col("named") & F.col("licence").isNotNull()).groupBy(folder.alias("folder")).agg(F.max_by("licence", rank).alias("given"), F.max("score").alias("given_score"))
+    rank = F.struct((-F.col("score")).alias("less"), F.col("path"))
+    given = own.where(F.col("named") & F.col("licence").isNotNull()).groupBy(folder.alias("folder")).agg(F.min_by("licence", rank).alias("given"), F.max("score").alias("given_score"))
     folders = own.where(F.col("licence").isNull() & F.col("path").isNotNull()).select(folder.alias("folder")).distinct()
     steps = F.split("folder", "/")
     above = folders.select("folder", F.explode(F.transform(F.sequence(F.lit(0), F.size(steps) - 1), lambda k: F.when(k == 0, "").otherwise(F.concat(F.array_join(F.slice(steps, 1, k), "/"), F.lit("/"))))).alias("source"))
@@ -123,21 +128,19 @@ def scan_licences(files: DataFrame, templates: DataFrame, least: float = 0.6, ca
     )
     out = own.withColumn("folder", F.when(F.col("licence").isNull(), folder)).join(nearest, "folder", "left")
     return out.select(
-        "row", "path", *(carry or {}), F.coalesce("licence", "given").alias("licence"), F.round(F.coalesce("score", "given_score"), 6).alias("score"),
+        "row", "path", *(carry or {}), F.coalesce("licence", "given").alias("licence"), F.coalesce("score", "given_score").alias("score"),
         F.when(F.col("licence").isNotNull(), "own").when(F.col("given").isNotNull(), "inherited").otherwise("none").alias("via"), "source",
     )
 
 
-def _matches(rows: DataFrame, weights: DataFrame, least: float) -> DataFrame:
+def _matches(rows: DataFrame, weights: DataFrame, counts: DataFrame, n_files: int, least: float) -> DataFrame:
     """row, licence, score: the best template of each row's units."""
     units = rows.where(F.size("units") > 0).select("row", F.posexplode("units").alias("unit", "text"))
-    tf = units.select("row", "unit", F.explode(_terms(F.col("text"))).alias("term")).groupBy("row", "unit", "term").agg(F.count("*").alias("tf"))
-    idf = weights.select("term", "idf").distinct()
-    rare = F.lit(weights.agg(F.max("idf").alias("rare")).first()["rare"] or 1.0)
-    held = tf.join(idf, "term", "left").withColumn("w", (1 + F.log("tf")) * F.coalesce("idf", rare))
+    tf = written(units.select("row", "unit", F.explode(_terms(F.col("text"))).alias("term")).groupBy("row", "unit", "term").agg(F.count("*").alias("tf")), "licence-tf")
+    held = tf.join(counts, "term", "left").withColumn("w", (1 + F.log("tf")) * idf_of(F.col("df"), n_files))
     norm = held.groupBy("row", "unit").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
-    dots = held.where("idf is not null").join(weights.select("term", "template", "licence", "weight"), "term").groupBy("row", "unit", "template", "licence").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"), F.count("*").alias("shared")).where("shared >= 2")
-    scored = dots.join(norm, ["row", "unit"]).withColumn("score", F.col("dot") / F.col("norm")).where(F.col("score") >= least)
+    dots = held.join(weights.select("term", "template", "licence", "weight"), "term").groupBy("row", "unit", "template", "licence").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"), F.count("*").alias("shared")).where("shared >= 2")
+    scored = dots.join(norm, ["row", "unit"]).withColumn("score", F.round(F.col("dot") / F.col("norm"), 6)).where(F.col("score") >= least)
     return scored.groupBy("row").agg(F.max(F.struct("score", "licence")).alias("b")).select("row", "b.licence", "b.score")
 
 

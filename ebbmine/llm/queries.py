@@ -69,14 +69,57 @@ def op4_noisy_or_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+#: What announces a licence; documents with such a notice are the licence files of their folder.
+NOTICE = r"(?i)licensed under|released under the|license, version|public license"
+
+
+def as_files(docs: DataFrame) -> DataFrame:
+    """Documents as files source/lang/hundred/name, where a folder holds the documents of one source and language whose
+    ids agree but for the last two digits. A document that holds a notice is a licence file of its folder
+    (named LICENSE.doc_id), so that its licence governs the other documents there; all others are named by their id."""
+    notice = F.coalesce(F.col("text").rlike(NOTICE), F.lit(False))
+    name = F.when(notice, F.concat(F.lit("LICENSE."), F.col("doc_id").cast("string"))).otherwise(F.col("doc_id").cast("string"))
+    return docs.select(F.concat_ws("/", "source", "lang", F.floor(F.col("doc_id") / 100).cast("string"), name).alias("path"), "text", "doc_id")
+
+
 def op5_tfidf_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Documents as files source/lang/doc_id."""
-    docs = table(spark, sf_dir, "documents")
-    files = docs.select(F.concat_ws("/", "source", "lang", F.col("doc_id").cast("string")).alias("path"), "text", "doc_id")
-    found = licences.scan_licences(files, licences.default_templates(spark), carry={"doc_id": "bigint"})
+    """Documents as files (as_files): own notices by cosine, the others inherit from the nearest folder above them with a licence file."""
+    found = licences.scan_licences(as_files(table(spark, sf_dir, "documents")), licences.default_templates(spark), carry={"doc_id": "bigint"})
     return found.select("doc_id", "path", "licence", "score", "via", "source")
 
 
+# Every unit of every document against every template, without anchors; then the folder's best licence file.
+OP5_SQL = (
+    r"""
+WITH d AS (
+  SELECT doc_id, coalesce(text, '') AS text, concat_ws('/', source, lang, CAST(floor(doc_id / 100) AS BIGINT)) || '/' AS folder,
+    coalesce(regexp_matches(text, 'licensed under|released under the|license, version|public license', 'i'), false) AS named FROM documents
+), f AS (SELECT *, folder || CASE WHEN named THEN 'LICENSE.' ELSE '' END || doc_id AS path FROM d
+), u AS (
+  SELECT doc_id, unnest(list_concat(regexp_split_to_array(regexp_replace(text, '([.;!?])\s+', '' || chr(10), 'g'), '
++'), CASE WHEN named THEN [text] ELSE [] END)) AS unit FROM f
+), k AS MATERIALIZED (SELECT doc_id, row_number() OVER () AS unit, regexp_extract_all(lower(unit), '[a-z]+|[0-9]+(?:\.[0-9]+)*') AS terms FROM u
+), n AS (SELECT count(*) AS n FROM documents
+), df AS MATERIALIZED (SELECT term, count(*) AS df FROM (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '[a-z]+|[0-9]+(?:\.[0-9]+)*')) AS term FROM f) GROUP BY term
+), tv(licence, text) AS (VALUES """
+    + ", ".join(f"('{a}', '{b}')" for a, b in licences.TEMPLATES)
+    + r"""
+), tt AS (SELECT t, licence, term, count(*) AS tf FROM (SELECT row_number() OVER () AS t, licence, unnest(regexp_extract_all(lower(text), '[a-z]+|[0-9]+(?:\.[0-9]+)*')) AS term FROM tv) GROUP BY ALL
+), tw AS (SELECT t, licence, tt.term, (1 + ln(tf)) * (ln((1.0 + (SELECT n FROM n)) / (1 + coalesce(df, 0))) + 1) AS w FROM tt LEFT JOIN df ON df.term = tt.term
+), ts AS MATERIALIZED (SELECT t, licence, term, w / sqrt(sum(w * w) OVER (PARTITION BY t)) AS w FROM tw
+), ut AS (SELECT doc_id, unit, term, count(*) AS tf FROM (SELECT doc_id, unit, unnest(terms) AS term FROM k WHERE len(list_intersect(terms, (SELECT list(DISTINCT term) FROM ts))) >= 2) GROUP BY ALL
+), uw AS MATERIALIZED (SELECT doc_id, unit, ut.term, (1 + ln(tf)) * (ln((1.0 + (SELECT n FROM n)) / (1 + df)) + 1) AS w FROM ut JOIN df ON df.term = ut.term
+), un AS (SELECT unit, sqrt(sum(w * w)) AS norm FROM uw GROUP BY unit
+), sc AS (SELECT doc_id, licence, round(sum(uw.w * ts.w) / any_value(norm), 6) AS score FROM uw JOIN ts ON ts.term = uw.term JOIN un ON un.unit = uw.unit GROUP BY doc_id, uw.unit, t, licence HAVING count(*) >= 2
+), own AS (SELECT doc_id, max({'score': score, 'licence': licence}) AS b FROM sc WHERE score >= 0.6 GROUP BY doc_id
+), given AS (SELECT folder, min({'less': -b.score, 'path': path, 'licence': b.licence}) AS g, max(b.score) AS score FROM f JOIN own ON own.doc_id = f.doc_id WHERE named GROUP BY folder)
+SELECT f.doc_id, path, coalesce(b.licence, g.licence) AS licence, coalesce(b.score, given.score) AS score,
+  CASE WHEN b IS NOT NULL THEN 'own' WHEN g IS NOT NULL THEN 'inherited' ELSE 'none' END AS via, CASE WHEN b IS NULL THEN given.folder END AS source
+FROM f LEFT JOIN own ON own.doc_id = f.doc_id LEFT JOIN given ON given.folder = f.folder
+"""
+)
+
+
 def op6_token_group_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_components(table(spark, sf_dir, "documents"), words=3, num=9, den=10).drop("mark")
 
@@ -148,4 +191,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_redirect_url_filter": OP2_SQL, "op6_token_group_jaccard": OP6_SQL, "op8_rotation_code_dedup": OP8_SQL}
+    return {"op2_redirect_url_filter": OP2_SQL, "op5_tfidf_licences": OP5_SQL, "op6_token_group_jaccard": OP6_SQL, "op8_rotation_code_dedup": OP8_SQL}

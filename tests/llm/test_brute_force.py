@@ -26,31 +26,35 @@ def test_main_text_of_the_given_pages(spark):
 
 
 def test_licences_against_plain_cosines(spark):
-    docs = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
-    terms = lambda t: re.findall(licences.TERM, t.lower())
-    templates = [(name, Counter(terms(t))) for name, t in licences.TEMPLATES]
-    vocabulary = {w for _, t in templates for w in t}
-    df = Counter(w for t in docs.values() for w in set(re.findall(rf"(?<![A-Za-z0-9])(?:{'|'.join(map(re.escape, sorted(vocabulary, key=lambda w: (-len(w), w))))})(?![A-Za-z0-9])", t.lower())))
-    idf = {w: math.log((1 + len(docs)) / (1 + df[w])) + 1 for w in vocabulary}
-    rare = max(idf.values())
-
-    def vector(counts):
-        return {w: (1 + math.log(n)) * idf.get(w, rare) for w, n in counts.items()}
-
-    want = {}
-    for doc, text in docs.items():
-        for unit in re.split(licences.UNIT, text):
-            v = vector(Counter(terms(unit)))
-            norm = math.sqrt(sum(x * x for x in v.values()))
-            for name, t in templates:
-                u = vector(t)
+    """Each unit of each document against each template, then the licence files of its folder."""
+    docs = {r["doc_id"]: r for r in spark.read.parquet(f"{SF}/documents.parquet").collect()}
+    terms = lambda t: re.findall(r"[a-z]+|[0-9]+(?:\.[0-9]+)*", t.lower())
+    df = Counter(w for r in docs.values() for w in set(terms(r["text"])))
+    idf = lambda w: math.log((1 + len(docs)) / (1 + df[w])) + 1
+
+    def vector(text):
+        return {w: (1 + math.log(n)) * idf(w) for w, n in Counter(terms(text)).items()}
+
+    templates = [(name, vector(t)) for name, t in licences.TEMPLATES]
+    own, folder, named = {}, {}, {}
+    for doc, r in docs.items():
+        named[doc] = bool(re.search("licensed under|released under the|license, version|public license", r["text"], re.I))
+        folder[doc] = f"{r['source']}/{r['lang']}/{doc // 100}/"
+        for unit in [*re.split(r"\n+|(?<=[.;!?])\s+", r["text"]), *([r["text"]] if named[doc] else [])]:
+            v = vector(unit)
+            for name, u in templates:
                 shared = v.keys() & u.keys()
                 if len(shared) >= 2:
-                    score = sum(v[w] * u[w] for w in shared) / norm / math.sqrt(sum(x * x for x in u.values()))
+                    score = round(sum(v[w] * u[w] for w in shared) / math.sqrt(sum(x * x for x in v.values())) / math.sqrt(sum(x * x for x in u.values())), 6)
                     if score >= 0.6:
-                        want[doc] = max(want.get(doc, (0, "")), (round(score, 6), name))
-    got = {r["doc_id"]: (r["score"], r["licence"]) for r in queries.op5_tfidf_licences(spark, SF).collect() if r["licence"]}
-    assert want and got == want
+                        own[doc] = max(own.get(doc, (0, "")), (score, name))
+    given = {}
+    for doc, (score, name) in own.items():
+        if named[doc]:
+            given[folder[doc]] = min(given.get(folder[doc], (0, "", "")), (-score, f"{folder[doc]}LICENSE.{doc}", name))
+    want = {d: (own[d][1], "own") if d in own else (given[folder[d]][2], "inherited") if folder[d] in given else (None, "none") for d in docs}
+    got = {r["doc_id"]: (r["licence"], r["via"]) for r in queries.op5_tfidf_licences(spark, SF).collect()}
+    assert got == want and {"own", "inherited", "none"} == {x[1] for x in want.values()}
 
 
 def test_seeds_against_all_layouts():
