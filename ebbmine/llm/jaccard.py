@@ -14,8 +14,10 @@
 3. In a cluster the token-group matrix decides: similar sets are grouped, each group keeps the union
    of its tokens, the overlap of a query with a group's union bounds that with its members, and
    only groups that can hold a link are opened, without pairs that are known to be connected.
-   Clusters beyond a task's bound are verified in random units first, then only documents outside
-   the cluster's main component meet the cluster's blocks, so no task holds an unbounded cluster.
+   A cluster beyond a task's bound is dealt once, into random units; then a few documents of each
+   component so far stand for it and meet in units again, until that joins no more. Documents outside the cluster's
+   main component then ask the groups (parts of components) that hold an early token of theirs, and no others:
+   no task holds an unbounded cluster, and its sets travel to where a link can be.
 
 Equal sets and very common early tokens are collapsed within a task before the shuffle, so what is
 held by a third of all rows adds an entry a task. Null or empty text and texts without words: the
@@ -38,7 +40,9 @@ from .graph import components
 U = np.uint64
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], U)
 #: Shingles and documents that one verifying task holds at most.
-UNIT_SHINGLES, UNIT_DOCS = 4_000_000, 4_000
+UNIT_SHINGLES, UNIT_DOCS = 1_000_000, 128
+#: Documents that stand for a component when units are joined.
+HEADS = 4
 #: Entries gathered by a scanning task before they are sent on.
 FLUSH = 500_000
 
@@ -152,7 +156,7 @@ def _unpacked(table: pa.Table, with_extra: bool = False):
     return np.concatenate(tokens), np.concatenate(docs), np.concatenate(extra)
 
 
-SETS, LOCAL, DIRECT, COUNTED, WANTS, HELD = -1, -2, -3, 0, 2, 4  # COUNTED, WANTS and HELD + space
+EARLY, SETS, LOCAL, DIRECT, COUNTED, WANTS, HELD = -4, -1, -2, -3, 0, 2, 4  # COUNTED, WANTS and HELD + space
 PACKED = (COUNTED, COUNTED + 1, HELD, HELD + 1)
 
 
@@ -182,6 +186,7 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
             ids, texts = batch.column("doc_id"), batch.column("text")
             done = {"kind": [], "doc_id": [], "mark": batch.column("mark"), "n": [], "fp1": [], "fp2": []}
             wants = {"kind": [], "doc_id": [], "n": [], "fp1": []}
+            early = {"kind": [], "doc_id": [], "tokens": []}  # DIRECT tokens are collapsed within the task; these are not
             for k in range(batch.num_rows):
                 tokens = shingler.set_of(texts[k].as_buffer().to_pybytes()) if texts[k].is_valid else np.empty(0, U)
                 fp = xxhash.xxh3_128_digest(tokens.tobytes())
@@ -206,6 +211,9 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
                         size += len(counted)
                     else:
                         parts[DIRECT].append((direct, np.full(len(direct), doc, np.int64)))
+                        early["kind"].append(EARLY)
+                        early["doc_id"].append(doc)
+                        early["tokens"].append(direct.tobytes())
                         # counted as well, though nothing is asked for them: else a token shared with this document alone would seem to be the other's own
                         parts[HELD + space].append((counted, np.zeros(len(counted), np.int64)))
                         size += len(direct) + len(counted)
@@ -215,6 +223,8 @@ def _scan(words: int, num: int, den: int, buckets: int, sent):
             yield _rows(**done)
             if wants["kind"]:
                 yield _rows(**wants)
+            if early["kind"]:
+                yield _rows(**early)
         yield from flushed()
 
     return run
@@ -347,17 +357,16 @@ def token_group_links(ids: np.ndarray, sets: list[np.ndarray], num: int, den: in
 def _verified(num: int, den: int):
     def run(unit: pa.Table) -> pa.Table:
         ids = unit["rep"].to_numpy()
-        sets = [np.frombuffer(x, U) for x in unit["tokens"].to_pylist()]
         known = unit["known"].to_numpy() if unit["known"].null_count == 0 else None
         asking = unit["asking"].to_numpy(zero_copy_only=False) if unit["asking"].null_count == 0 else None
-        if known is not None:  # in a pair of blocks a document may come twice
-            _, once = np.unique(ids * 2 + (0 if asking is None else ~asking), return_index=True)
-            _, keep = np.unique(ids[once], return_index=True)
-            pick = once[keep]
-            ids, known, asking = ids[pick], known[pick], asking[pick]
-            sets = [sets[k] for k in pick]
+        if asking is not None:  # a document may be of the group and ask it
+            order = np.lexsort((~asking, ids))
+            pick = order[np.append(True, ids[order][1:] != ids[order][:-1])]
+            unit, ids, known, asking = unit.take(pa.array(pick)), ids[pick], known[pick], asking[pick]
+        sets = [np.frombuffer(x, U) for x in unit["tokens"].to_pylist()]
         links = token_group_links(ids, sets, num, den, known, asking) if len(ids) > 1 else []
-        return pa.table({"a": pa.array([x[0] for x in links], pa.int64()), "b": pa.array([x[1] for x in links], pa.int64())})
+        cluster = pa.array([unit["cluster"][0].as_py()] * len(links), pa.int64())
+        return pa.table({"cluster": cluster, "a": pa.array([x[0] for x in links], pa.int64()), "b": pa.array([x[1] for x in links], pa.int64())})
 
     return run
 
@@ -387,7 +396,9 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     named = written(sets.where("n > 0").join(ends, "doc_id").join(classes.drop("n"), ["fp1", "fp2"]).select("doc_id", "rep").distinct(), "named")
     edges = found.join(named.select(F.col("doc_id").alias("a"), F.col("rep").alias("ra")), "a").join(named.select(F.col("doc_id").alias("b"), F.col("rep").alias("rb")), "b")
     cluster = components(edges.select(F.col("ra").alias("a"), F.col("rb").alias("b")))
-    links = written(_links(rows, classes, cluster, words, num, den), "links")
+    direct = scan.where(F.col("kind") == EARLY).select("doc_id", "tokens").mapInArrow(_unrolled, "token bigint, doc_id bigint")
+    early = postings.unionAll(direct).join(named, "doc_id").select("token", "rep")
+    links = _links(rows, classes, cluster, early, words, num, den)
     joined = components(links)
     by_set = classes.join(joined, classes["rep"] == joined["node"], "left").select("fp1", "fp2", F.coalesce("component", "rep").alias("component_id"))
     out = sets.join(by_set, ["fp1", "fp2"], "left")
@@ -396,10 +407,21 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     )
 
 
-def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, words: int, num: int, den: int, listed: int = 400_000) -> DataFrame:
-    """Verified links that connect each cluster's documents."""
+def _unrolled(batches):
+    for batch in batches:
+        tokens = [np.frombuffer(x, np.int64) for x in batch.column("tokens").to_pylist()]
+        docs = np.repeat(batch.column("doc_id").to_numpy(), [len(x) for x in tokens]) if tokens else np.empty(0, np.int64)
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens) if tokens else docs), pa.array(docs)], ["token", "doc_id"])
+
+
+def _listed(df: DataFrame, most: int) -> DataFrame:
+    """A side of a join: broadcast if it has no more rows than `most`, else joined by a shuffle."""
+    return F.broadcast(df) if df.count() <= most else df
+
+
+def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataFrame, words: int, num: int, den: int, listed: int = 400_000) -> DataFrame:
+    """Verified links (a, b) that connect what is connected in each cluster; early(token, rep): the early tokens of documents."""
     members = written(classes.join(cluster, classes["rep"] == cluster["node"]).select("rep", "n", "fp1", "fp2", F.col("component").alias("cluster")), "members")
-    count = members.count()
 
     def fill(batches):
         shingler = Shingler(words)
@@ -417,37 +439,65 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, words: int,
             part = batch.select(["rep", "n", "cluster"]).take(pa.array(keep, pa.int64()))
             yield part.append_column("tokens", pa.array(tokens, pa.binary()))
 
-    side = F.broadcast(members) if count <= listed else members  # a side of checked size; beyond it, a shuffled join
+    side = _listed(members, listed)
     full = rows.join(side, rows["doc_id"] == members["rep"]).select("rep", "n", "cluster", "fp1", "fp2", "text")
     full = written(full.mapInArrow(tidy(fill), "rep bigint, n bigint, cluster bigint, tokens binary"), "cluster-sets")
     weight = members.groupBy("cluster").agg(F.sum("n").alias("shingles"), F.count("*").alias("docs"))
-    large = weight.withColumn("units", F.greatest(F.ceil(F.col("shingles") * 2 / UNIT_SHINGLES), F.ceil(F.col("docs") * 2 / UNIT_DOCS)).cast("bigint")).where((F.col("shingles") > UNIT_SHINGLES) | (F.col("docs") > UNIT_DOCS))
-    large = written(large.select("cluster", "units"), "large")
+    units = F.greatest(F.ceil(F.col("shingles") / UNIT_SHINGLES), F.ceil(F.col("docs") / UNIT_DOCS)).cast("bigint").alias("units")
+    large = written(weight.select("cluster", units).where("units > 1"), "large")
     plain = [F.lit(None).cast("bigint").alias("known"), F.lit(None).cast("boolean").alias("asking")]
-    shape, check = "a bigint, b bigint", _verified(num, den)
-    small = full.join(large, "cluster", "left_anti").select("cluster", "rep", "tokens", *plain).groupBy("cluster").applyInArrow(check, shape)
+    shape, check = "cluster bigint, a bigint, b bigint", _verified(num, den)
+    beyond = _listed(large, listed)
+    dealt = full.join(beyond, "cluster", "left").withColumn("unit", F.pmod(F.xxhash64("rep"), F.coalesce("units", F.lit(1).cast("bigint"))))
+    found = written(dealt.select("cluster", "unit", "rep", "tokens", *plain).groupBy("cluster", "unit").applyInArrow(check, shape), "links")
     if large.isEmpty():
-        return small
-    big = full.join(large, "cluster")
-    found = written(small, "links")
-    for turn in range(2):  # random units, each within a task's bound
-        unit = F.pmod(F.xxhash64("rep", F.lit(turn)), F.col("units")).alias("unit")
-        mine = big.select("cluster", unit, "rep", "tokens", *plain).groupBy("cluster", "unit").applyInArrow(check, shape)
-        found = written(found.unionAll(mine), "links")
-    part = components(found)
-    state = big.select("cluster", "rep", "units").join(part, F.col("rep") == part["node"], "left").select("cluster", "rep", "units", F.coalesce("component", "rep").alias("known"))
-    state = written(state, "known")
-    sizes = state.groupBy("cluster", "known").agg(F.count("*").alias("docs"))
-    main = sizes.groupBy("cluster").agg(F.max(F.struct("docs", "known")).alias("top")).select("cluster", F.col("top.known").alias("main"))
-    block = F.pmod(F.xxhash64("rep", F.lit(2)), F.col("units"))
-    apart = state.join(main, "cluster").where(F.col("known") != F.col("main"))
-    apart = written(apart.select("cluster", "rep", "known", "units", block.alias("unit")), "apart")
-    asks = apart.select("cluster", "unit").distinct()
-    every = big.select("cluster", "rep", "tokens", "units", block.alias("other")).join(state.select("rep", "known"), "rep")
-    asked = every.join(asks, "cluster").select("cluster", "unit", "other", "rep", "tokens", "known", F.lit(False).alias("asking"))
-    asking = big.select("rep", "tokens").join(apart, "rep").select("cluster", "unit", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("units") - 1)).alias("other"), "rep", "tokens", "known", F.lit(True).alias("asking"))
-    rest = asked.unionAll(asking).groupBy("cluster", "unit", "other").applyInArrow(check, shape)
-    return found.unionAll(rest)
+        return found.select("a", "b")
+    joined = components(found.join(beyond, "cluster", "left_semi").select("a", "b"))
+    state = members.join(beyond, "cluster", "left_semi").select("cluster", "rep", "n")
+    state = written(state.join(joined, F.col("rep") == joined["node"], "left").select("cluster", "rep", "n", F.coalesce("component", "rep").alias("known")), "known")
+    before = None
+    for turn in range(1, 12):  # a few documents of each component meet, until that joins no more
+        heads = state.groupBy("cluster", "known", F.pmod(F.xxhash64("rep", F.lit(turn)), F.lit(HEADS))).agg(F.min(F.struct("rep", "n")).alias("h")).select("cluster", "known", "h.rep", "h.n")
+        heads = written(heads, "heads")
+        size = heads.groupBy("cluster").agg(F.sum("n").alias("shingles"), F.count("*").alias("docs"), F.countDistinct("known").alias("parts")).where("parts > 1")
+        size = written(size.select("cluster", "parts", units), "heads-units")
+        left = size.agg(F.sum("parts").alias("parts"), F.max("units").alias("units")).first()
+        if not left["parts"] or before is not None and left["parts"] > 0.9 * before:
+            break
+        before = left["parts"]
+        meet = heads.join(_listed(size, listed), "cluster").withColumn("unit", F.pmod(F.xxhash64("rep", F.lit(turn)), F.col("units"))).drop("n")
+        sets = full.select("rep", "tokens").join(_listed(meet, listed), "rep")
+        new = written(sets.select("cluster", "unit", "rep", "tokens", "known", plain[1]).groupBy("cluster", "unit").applyInArrow(check, shape), "links")
+        found = found.unionAll(new)
+        label = state.select("rep", "known")
+        ends = new.join(label.withColumnsRenamed({"rep": "a", "known": "ka"}), "a").join(label.withColumnsRenamed({"rep": "b", "known": "kb"}), "b")
+        merged = components(ends.select(F.col("ka").alias("a"), F.col("kb").alias("b")))
+        state = written(state.join(merged, state["known"] == merged["node"], "left").select("cluster", "rep", "n", F.coalesce("component", "known").alias("known")), "known")
+        if left["units"] == 1:
+            break
+    return found.unionAll(_rest(full, state, early, check, shape, listed)).select("a", "b")
+
+
+def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str, listed: int) -> DataFrame:
+    """Links between the components of a cluster: documents outside the main one ask the groups that hold one of their early tokens."""
+    sizes = written(state.groupBy("cluster", "known").agg(F.count("*").alias("docs"), F.sum("n").alias("shingles")), "parts")
+    main = sizes.groupBy("cluster").agg(F.max(F.struct("docs", "known")).alias("top"), F.count("*").alias("parts")).where("parts > 1").select("cluster", F.col("top.known").alias("main"))
+    # groups: slices of a large component; small components share groups
+    many = F.greatest(F.ceil(F.col("docs") / UNIT_DOCS), F.ceil(F.col("shingles") / UNIT_SHINGLES)).cast("bigint")
+    small = sizes.where(many == 1).groupBy("cluster").agg(F.greatest(F.ceil(F.sum("docs") / UNIT_DOCS), F.ceil(F.sum("shingles") / UNIT_SHINGLES)).cast("bigint").alias("shared"))
+    plan = sizes.withColumn("slices", many).join(small, "cluster", "left").join(main, "cluster")
+    lone = F.col("slices") == 1
+    group = F.when(lone, F.struct(F.lit(-1).cast("bigint").alias("of"), F.pmod(F.xxhash64("known"), F.col("shared")).alias("part"))).otherwise(F.struct(F.col("known").alias("of"), F.pmod(F.xxhash64("rep"), F.col("slices")).alias("part")))
+    placed = written(state.join(plan.select("cluster", "known", "slices", "shared", "main"), ["cluster", "known"]).select("cluster", "rep", "known", group.alias("group"), (F.col("known") != F.col("main")).alias("apart")), "placed")
+    held = written(early.join(placed, "rep").select("token", "cluster", "rep", "known", "group", "apart"), "early-held")
+    holds = held.select("token", "cluster", "group").distinct()
+    asks = held.where("apart").select("token", "cluster", "rep", "known").distinct().join(holds, ["token", "cluster"])
+    asks = written(asks.where(F.col("group.of") != F.col("known")).select("cluster", "group", "rep", "known").distinct(), "asks")
+    blocks = written(asks.groupBy("cluster", "group").agg(F.ceil(F.count("*") / UNIT_DOCS).cast("bigint").alias("blocks")), "ask-blocks")
+    side = _listed(blocks, listed)
+    asking = asks.join(side, ["cluster", "group"]).select("cluster", "group", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("blocks")).alias("block"), "rep", "known", F.lit(True).alias("asking"))
+    asked = placed.join(side, ["cluster", "group"]).select("cluster", "group", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)).alias("block"), "rep", "known", F.lit(False).alias("asking"))
+    return written(full.select("rep", "tokens").join(asking.unionAll(asked), "rep").groupBy("cluster", "group", "block").applyInArrow(check, shape), "links")
 
 
 def one_of_each(docs: DataFrame, words: int = 5, num: int = 4, den: int = 5, listed: int = 1_000_000) -> DataFrame:
