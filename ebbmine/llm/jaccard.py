@@ -14,10 +14,12 @@
 3. In a cluster the token-group matrix decides: similar sets are grouped, each group keeps the union
    of its tokens, the overlap of a query with a group's union bounds that with its members, and
    only groups that can hold a link are opened, without pairs that are known to be connected.
-   A cluster beyond a task's bound is dealt once, into random units; then a few documents of each
+   A cluster beyond a task's bound is cut into cells by the sizes of its sets: linked sets differ in size by no more than
+   the threshold allows, so each set goes to its own band of sizes and the one below, and no link is cut. A cell
+   beyond the bound (sets of like size) is dealt into random units; then a few documents of each
    component so far stand for it and meet in units again, until that joins no more. Documents outside the cluster's
-   main component then ask the groups (parts of components) that hold an early token of theirs, and no others:
-   no task holds an unbounded cluster, and its sets travel to where a link can be.
+   main component (here: of a cell) then ask the groups (parts of components) that hold an early token of theirs,
+   and no others: no task holds an unbounded cluster, and its sets travel to where a link can be.
 
 Equal sets and very common early tokens are collapsed within a task before the shuffle, so what is
 held by a third of all rows adds an entry a task. Null or empty text and texts without words: the
@@ -40,7 +42,7 @@ from .graph import components
 U = np.uint64
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB, 0x8EBC6AF09C88C6E3, 0x589965CC75374CC3], U)
 #: Shingles and documents that one verifying task holds at most.
-UNIT_SHINGLES, UNIT_DOCS = 1_000_000, 128
+UNIT_SHINGLES, UNIT_DOCS = 1_000_000, 200
 #: Documents that stand for a component when units are joined.
 HEADS = 4
 #: Entries gathered by a scanning task before they are sent on.
@@ -442,18 +444,30 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataF
     side = _listed(members, listed)
     full = rows.join(side, rows["doc_id"] == members["rep"]).select("rep", "n", "cluster", "fp1", "fp2", "text")
     full = written(full.mapInArrow(tidy(fill), "rep bigint, n bigint, cluster bigint, tokens binary"), "cluster-sets")
-    weight = members.groupBy("cluster").agg(F.sum("n").alias("shingles"), F.count("*").alias("docs"))
+
+    def loads(rows: DataFrame) -> DataFrame:
+        return rows.groupBy("cluster").agg(F.sum("n").alias("shingles"), F.count("*").alias("docs"))
+
     units = F.greatest(F.ceil(F.col("shingles") / UNIT_SHINGLES), F.ceil(F.col("docs") / UNIT_DOCS)).cast("bigint").alias("units")
-    large = written(weight.select("cluster", units).where("units > 1"), "large")
+    wide = written(loads(members).select("cluster", units).where("units > 1").select("cluster"), "large")
+    cells = members.select("cluster", "rep", "n")
+    if not wide.isEmpty():  # bands of sizes: linked sets are in one band or in neighbouring ones
+        side, band = _listed(wide, listed), F.floor(F.log("n") / float(np.log(den / num))) if num < den else F.col("n")
+        cut = cells.join(side, "cluster").select(F.explode(F.array(band, band - 1)).alias("band"), "cluster", "rep", "n")
+        cells = cells.join(side, "cluster", "left_anti").unionAll(cut.select(F.xxhash64("cluster", "band").alias("cluster"), "rep", "n"))
+    cells = written(cells, "cells")
+    large = written(loads(cells).select("cluster", units).where("units > 1"), "large-cells")
     plain = [F.lit(None).cast("bigint").alias("known"), F.lit(None).cast("boolean").alias("asking")]
     shape, check = "cluster bigint, a bigint, b bigint", _verified(num, den)
     beyond = _listed(large, listed)
-    dealt = full.join(beyond, "cluster", "left").withColumn("unit", F.pmod(F.xxhash64("rep"), F.coalesce("units", F.lit(1).cast("bigint"))))
-    found = written(dealt.select("cluster", "unit", "rep", "tokens", *plain).groupBy("cluster", "unit").applyInArrow(check, shape), "links")
+    dealt = cells.join(beyond, "cluster", "left").select("cluster", "rep", F.pmod(F.xxhash64("rep"), F.coalesce("units", F.lit(1).cast("bigint"))).alias("unit"))
+    dealt = written(dealt, "dealt")
+    found = written(full.select("rep", "tokens").join(_listed(dealt, listed), "rep").select("cluster", "unit", "rep", "tokens", *plain).groupBy("cluster", "unit").applyInArrow(check, shape), "links")
     if large.isEmpty():
         return found.select("a", "b")
-    joined = components(found.join(beyond, "cluster", "left_semi").select("a", "b"))
-    state = members.join(beyond, "cluster", "left_semi").select("cluster", "rep", "n")
+    # what is connected by now, in any cell
+    joined = components(found.select("a", "b"))
+    state = cells.join(beyond, "cluster", "left_semi")
     state = written(state.join(joined, F.col("rep") == joined["node"], "left").select("cluster", "rep", "n", F.coalesce("component", "rep").alias("known")), "known")
     before = None
     for turn in range(1, 12):  # a few documents of each component meet, until that joins no more
@@ -466,10 +480,10 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataF
             break
         before = left["parts"]
         meet = heads.join(_listed(size, listed), "cluster").withColumn("unit", F.pmod(F.xxhash64("rep", F.lit(turn)), F.col("units"))).drop("n")
-        sets = full.select("rep", "tokens").join(_listed(meet, listed), "rep")
+        sets = full.select("rep", "tokens").join(_listed(written(meet, "meet"), listed), "rep")
         new = written(sets.select("cluster", "unit", "rep", "tokens", "known", plain[1]).groupBy("cluster", "unit").applyInArrow(check, shape), "links")
         found = found.unionAll(new)
-        label = state.select("rep", "known")
+        label = state.select("rep", "known").distinct()
         ends = new.join(label.withColumnsRenamed({"rep": "a", "known": "ka"}), "a").join(label.withColumnsRenamed({"rep": "b", "known": "kb"}), "b")
         merged = components(ends.select(F.col("ka").alias("a"), F.col("kb").alias("b")))
         state = written(state.join(merged, state["known"] == merged["node"], "left").select("cluster", "rep", "n", F.coalesce("component", "known").alias("known")), "known")
@@ -489,7 +503,7 @@ def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str
     lone = F.col("slices") == 1
     group = F.when(lone, F.struct(F.lit(-1).cast("bigint").alias("of"), F.pmod(F.xxhash64("known"), F.col("shared")).alias("part"))).otherwise(F.struct(F.col("known").alias("of"), F.pmod(F.xxhash64("rep"), F.col("slices")).alias("part")))
     placed = written(state.join(plan.select("cluster", "known", "slices", "shared", "main"), ["cluster", "known"]).select("cluster", "rep", "known", group.alias("group"), (F.col("known") != F.col("main")).alias("apart")), "placed")
-    held = written(early.join(placed, "rep").select("token", "cluster", "rep", "known", "group", "apart"), "early-held")
+    held = written(early.join(placed.select("cluster", "rep", "known", "group", "apart"), "rep").select("token", "cluster", "rep", "known", "group", "apart"), "early-held")
     holds = held.select("token", "cluster", "group").distinct()
     asks = held.where("apart").select("token", "cluster", "rep", "known").distinct().join(holds, ["token", "cluster"])
     asks = written(asks.where(F.col("group.of") != F.col("known")).select("cluster", "group", "rep", "known").distinct(), "asks")
