@@ -18,7 +18,7 @@
    the threshold allows, so each set goes to its own band of sizes and the one below, and no link is cut. A cell
    beyond the bound (sets of like size) is dealt into random units; then a few documents of each
    component so far stand for it and meet in units again, until that joins no more. Documents outside the cluster's
-   main component (here: of a cell) then ask the groups (parts of components) that hold an early token of theirs,
+   main component (here: of a cell) then ask the groups (parts of components) that share an early token with their own,
    and no others: no task holds an unbounded cluster, and its sets travel to where a link can be.
 
 Equal sets and very common early tokens are collapsed within a task before the shuffle, so what is
@@ -493,7 +493,7 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataF
 
 
 def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str, listed: int) -> DataFrame:
-    """Links between the components of a cluster: documents outside the main one ask the groups that hold one of their early tokens."""
+    """Links between the components of a cluster, group by group: documents outside the main one ask the groups that share an early token with theirs."""
     sizes = written(state.groupBy("cluster", "known").agg(F.count("*").alias("docs"), F.sum("n").alias("shingles")), "parts")
     main = sizes.groupBy("cluster").agg(F.max(F.struct("docs", "known")).alias("top"), F.count("*").alias("parts")).where("parts > 1").select("cluster", F.col("top.known").alias("main"))
     # groups: slices of a large component; small components share groups
@@ -502,16 +502,17 @@ def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str
     plan = sizes.withColumn("slices", many).join(small, "cluster", "left").join(main, "cluster")
     lone = F.col("slices") == 1
     group = F.when(lone, F.struct(F.lit(-1).cast("bigint").alias("of"), F.pmod(F.xxhash64("known"), F.col("shared")).alias("part"))).otherwise(F.struct(F.col("known").alias("of"), F.pmod(F.xxhash64("rep"), F.col("slices")).alias("part")))
-    placed = written(state.join(plan.select("cluster", "known", "slices", "shared", "main"), ["cluster", "known"]).select("cluster", "rep", "known", group.alias("group"), (F.col("known") != F.col("main")).alias("apart")), "placed")
-    held = written(early.join(placed.select("cluster", "rep", "known", "group", "apart"), "rep").select("token", "cluster", "rep", "known", "group", "apart"), "early-held")
-    holds = held.select("token", "cluster", "group").distinct()
-    asks = held.where("apart").select("token", "cluster", "rep", "known").distinct().join(holds, ["token", "cluster"])
-    asks = written(asks.where(F.col("group.of") != F.col("known")).select("cluster", "group", "rep", "known").distinct(), "asks")
-    blocks = written(asks.groupBy("cluster", "group").agg(F.ceil(F.count("*") / UNIT_DOCS).cast("bigint").alias("blocks")), "ask-blocks")
-    side = _listed(blocks, listed)
-    asking = asks.join(side, ["cluster", "group"]).select("cluster", "group", F.pmod(F.xxhash64("rep", F.lit(7)), F.col("blocks")).alias("block"), "rep", "known", F.lit(True).alias("asking"))
-    asked = placed.join(side, ["cluster", "group"]).select("cluster", "group", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)).alias("block"), "rep", "known", F.lit(False).alias("asking"))
-    return written(full.select("rep", "tokens").join(asking.unionAll(asked), "rep").groupBy("cluster", "group", "block").applyInArrow(check, shape), "links")
+    gid = F.xxhash64("cluster", "group").alias("gid")
+    placed = state.join(plan.select("cluster", "known", "slices", "shared", "main"), ["cluster", "known"]).select("cluster", "rep", "known", group.alias("group"), (F.col("known") != F.col("main")).alias("apart"))
+    placed = written(placed.select("cluster", "rep", "known", "apart", gid, F.col("group.of").alias("of")), "placed")
+    held = written(early.join(placed, "rep").select("token", "cluster", "gid", "of", "apart").distinct(), "early-held")
+    ask = held.where("apart").select("token", "cluster", F.col("gid").alias("ask"), F.col("of").alias("ask_of")).distinct()
+    met = ask.join(held.select("token", "cluster", "gid", "of").distinct(), ["token", "cluster"]).where("ask_of <> of or of = -1")
+    pairs = written(met.select("cluster", F.least("ask", "gid").alias("low"), F.greatest("ask", "gid").alias("high")).distinct(), "group-pairs")
+    sides = pairs.withColumn("gid", F.explode(F.array_distinct(F.array("low", "high"))))
+    units = _listed(placed, listed).join(sides, ["cluster", "gid"]).select("cluster", "low", "high", "rep", "known", F.col("apart").alias("asking"))
+    units = written(units, "group-units")
+    return written(full.select("rep", "tokens").join(_listed(units, listed), "rep").groupBy("cluster", "low", "high").applyInArrow(check, shape), "links")
 
 
 def one_of_each(docs: DataFrame, words: int = 5, num: int = 4, den: int = 5, listed: int = 1_000_000) -> DataFrame:
