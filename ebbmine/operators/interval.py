@@ -74,7 +74,7 @@ def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str,
 
 def mine(
     tx: DataFrame, minsup: str | float, M: int | None = None, chunks: int | None = None, counter: str = "auto", first_pass: bool = True, prune: str = "bound", bound: str = "chunk_exact", grow: str = "all",
-    subset_test: bool = True, mode: str = "rank", folded: str | bool = "auto", tids: DataFrame | None = None, only_items: list[str] | None = None, max_len: int | None = None, group_of: dict | None = None, max_candidates: int = 5_000_000,
+    subset_test: bool = True, mode: str = "hash", folded: str | bool = "auto", tids: DataFrame | None = None, only_items: list[str] | None = None, max_len: int | None = None, group_of: dict | None = None, max_candidates: int = 5_000_000,
 ) -> MiningResult:
     """The bit-encoded interval miner. M transactions between stops, or a number of chunks;
     prune: none, self or bound (with supersets); bound: chunk_exact or uniform; grow: all or delta;

@@ -121,28 +121,55 @@ def fold(enc: DataFrame, words: int) -> DataFrame:
     return enc.groupBy("chunk", *word_names(words)).agg(F.sum("weight").alias("weight"))
 
 
+#: Dictionaries of up to so many items are looked up in each row; larger ones are joined.
+LOOKED_UP = 256
+
+
+def encode_baskets(baskets: DataFrame, items: list[str]) -> DataFrame:
+    """(tid, held: array of items) -> tid, w0..: a map over the baskets, without a shuffle."""
+    listed = F.array(*[F.lit(x) for x in items]) if items else F.array().cast("array<string>")
+    numbered = baskets.select("tid", F.transform(F.coalesce("held", F.array().cast("array<string>")), lambda x: F.array_position(listed, x) - 1).alias("ids"))
+    one, none = F.lit(1).cast("bigint"), F.lit(0).cast("bigint")
+
+    def of_word(j: int):
+        return lambda i: i.between(WORD_BITS * j, WORD_BITS * j + WORD_BITS - 1)
+
+    def joined(acc: Column, i: Column) -> Column:
+        return acc.bitwiseOR(F.call_function("shiftleft", one, (i % WORD_BITS).cast("int")))
+
+    return numbered.select("tid", *[F.aggregate(F.filter("ids", of_word(j)), none, joined).alias(w) for j, w in enumerate(word_names(n_words(len(items))))])
+
+
 def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, mode: str = "rank", first_pass: bool = True, folded: str | bool = "auto", tids: DataFrame | None = None, only_items: list[str] | None = None, need: int | None = None) -> tuple[Encoded, int]:
     """(Encoded, need): counts items (the full first pass), drops infrequent ones if first_pass,
-    encodes, assigns chunks and stores the table partitioned by chunk. Empty baskets count in n."""
+    encodes, assigns chunks and stores the table partitioned by chunk. Empty baskets count in n.
+    One shuffle on tid makes the baskets; counting and encoding are maps over them (and mode 'hash' needs no other)."""
     if only_items is not None:
         tids = tids if tids is not None else tx.select("tid").distinct()
         tx = tx.where(F.col("item").isin(only_items))
-    tx = kept(tx.select("tid", "item"), "baskets")  # the joins below the baskets run once
-    n = (tids if tids is not None else tx).select("tid").distinct().count()
+    baskets = tx.groupBy("tid").agg(F.collect_list("item").alias("held"))
+    if tids is not None:
+        baskets = tids.select("tid").distinct().join(baskets, "tid", "left")
+    baskets = kept(baskets, "baskets")
+    n = baskets.count()
     need = need if need is not None else need_count(minsup, n) if n else 1
-    known = dictionary(tx, max(1, need) if first_pass else 1)
+    long = baskets.select("tid", F.explode("held").alias("item"))
+    known = dictionary(long, max(1, need) if first_pass else 1)
     items = [x for x, _ in known]
     words = n_words(len(items))
-    enc = assign_chunks(encode(tx, items, tids), chunks, n, mode)
+    enc = encode_baskets(baskets, items) if len(items) <= LOOKED_UP else encode(long, items, baskets.select("tid"))
+    enc = assign_chunks(enc, chunks, n, mode)
     ranged = getattr(enc, "ranged", None)
     enc = kept(enc.select("chunk", *word_names(words), F.lit(1).cast("bigint").alias("weight")), "chunks", by="chunk" if chunks > 1 else None)
-    got = {0: n} if chunks == 1 else dict(enc.groupBy("chunk").agg(F.count("*").alias("c")).collect())  # a row a chunk
+    shape = [F.count("*").alias("c")] + ([F.approx_count_distinct(F.struct(*word_names(words))).alias("d")] if folded == "auto" else [])
+    state = enc.groupBy("chunk").agg(*shape).collect() if chunks > 1 or folded == "auto" else []  # a row a chunk
+    got = {r["chunk"]: r["c"] for r in state} if chunks > 1 else {0: n}
     if folded == "auto":
-        folded = n > 0 and enc.agg(F.approx_count_distinct(F.struct(*word_names(words)))).first()[0] < 0.7 * n
+        folded = n > 0 and sum(r["d"] for r in state) < 0.7 * n
     if folded:
         plain, enc = enc, kept(fold(enc, words), "folded", by="chunk" if chunks > 1 else None)
         discard(plain)
-    for table in (tx, ranged):
+    for table in (baskets, ranged):
         if table is not None:
             discard(table)
     return Encoded(enc, items, [c for _, c in known], n, [got.get(s, 0) for s in range(chunks)], bool(folded)), need

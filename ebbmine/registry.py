@@ -222,18 +222,18 @@ WHERE event_type = 'purchase' AND v >= ts - INTERVAL 6 HOURS"""
 
 def trace_passes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Passes, stops, peak of watched sets, tests and pruned sets by the number of stops in a pass."""
-    out = {f"ic_b S={s}": run(spark, sf_dir, "w2", chunks=s, bound="uniform") for s in (1, 2, 4, 10)}
-    out |= {"ic_4 S=4": run(spark, sf_dir, "w2", "ic4_m4"), "level": run(spark, sf_dir, "w2", "level")}
+    out = {f"ic_b S={s}": run(spark, sf_dir, "w2", chunks=s, bound="uniform", mode="rank") for s in (1, 2, 4, 10)}
+    out |= {"ic_4 S=4": run(spark, sf_dir, "w2", "ic4_m4", mode="rank"), "level": run(spark, sf_dir, "w2", "level")}
     return measures.summary(spark, out)
 
 
 def trace_stops(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return run(spark, sf_dir, "w2", "icb_m10").trace_frame()
+    return run(spark, sf_dir, "w2", "icb_m10", mode="rank").trace_frame()
 
 
 def ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """First pass on and off by pruning off, own bound, with supersets; stops close enough for the bound to act."""
-    runs = {f"first_pass={f} prune={p}": run(spark, sf_dir, "w7", "icb_m10", first_pass=f, prune=p) for f in (True, False) for p in ("none", "self", "bound")}
+    runs = {f"first_pass={f} prune={p}": run(spark, sf_dir, "w7", "icb_m10", first_pass=f, prune=p, mode="rank") for f in (True, False) for p in ("none", "self", "bound")}
     return measures.summary(spark, runs)
 
 
@@ -247,6 +247,9 @@ _W10 = {
 FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"""),
     "w10_labels": (workloads.w10_labels, "0.05", "SELECT doc_id AS tid, unnest(['lang=' || lang, 'source=' || source, 'quality=' || quality, 'toxic=' || toxic]) AS item FROM documents JOIN labels USING (doc_id)"),
     "w10_pages": (workloads.w10_pages, "0.9", "SELECT DISTINCT page_id AS tid, unnest(regexp_extract_all(lower(html), '<([a-z][a-z0-9]*)', 1)) AS item FROM pages"),
+    "w10_suppliers": (workloads.w10_suppliers, "0.02", """SELECT s_suppkey AS tid, unnest(['n_name=' || n_name, 'r_name=' || r_name, 's_acctbal=' || CAST(floor(s_acctbal / 2500) AS BIGINT)]) AS item
+FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"""),
+    "w10_benchmark": (workloads.w10_benchmark, "0.3", "SELECT DISTINCT item_id AS tid, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS item FROM benchmark"),
     "w10_conversations": (workloads.w10_conversations, "0.1", "SELECT DISTINCT conv_id AS tid, role || '/' || least(turn, 5) AS item FROM conversations"),
 }
 
@@ -263,14 +266,13 @@ def _all() -> dict[str, tuple[Callable, str | None]]:
     q["w2_icb_low"] = ((lambda s, d: run(s, d, "w2", "icb_m4", "0.05").itemsets()), _freq("w2", "0.05") + "\nSELECT items, k, supp FROM freq")
     q["w5_icb_low"] = ((lambda s, d: run(s, d, "w5", "icb_m2", "0.35").itemsets()), _freq("w5", "0.35") + "\nSELECT items, k, supp FROM freq")
     for name, (f, minsup, sql) in _W10.items():
-        q[name] = ((lambda s, d, f=f, minsup=minsup: mine(f(s, d), minsup, "level", max_len=3).itemsets()), oracle.fim_sql(sql, minsup, max_len=3))
+        q[name] = ((lambda s, d, f=f, minsup=minsup: mine(f(s, d), minsup, "level").itemsets()), oracle.fim_sql(sql, minsup))
     q["support_of_given"] = (support_of_given, GIVEN_SQL)
     for number in BY_NUMBER:
         if number != "k6":
             q[f"count_{number}"] = (_counted(number), GIVEN_SQL)
     q["fold_duplicates"] = (fold_duplicates, f"SELECT count(*) AS rows, CAST(sum(w) AS BIGINT) AS transactions, max(w) AS heaviest FROM (SELECT held, count(*) AS w FROM (SELECT tid, list(item ORDER BY item) AS held FROM ({workloads.SQL['w3']}) GROUP BY tid) GROUP BY held)")
     q["chunk_sizes"] = (chunk_sizes, f"SELECT CAST(c AS INT) AS chunk, count(*) AS n_chunk FROM (SELECT (row_number() OVER (ORDER BY tid) - 1) // CAST(ceil(count(*) OVER () / 4.0) AS BIGINT) AS c FROM (SELECT DISTINCT tid FROM ({workloads.SQL['w1']}))) GROUP BY c")
-    q["first_pass_pairs"] = q["w1_pairs"]
     q["profile_by_k"] = (_on("w2", result.profile), _freq("w2") + "\nSELECT k, count(*) AS n_sets, min(supp) AS min_supp, max(supp) AS max_supp FROM freq GROUP BY k")
     q["kmax"] = (_on("w2", result.longest), _freq("w2") + "\nSELECT max(k) AS k_max, count(*) AS n_sets FROM freq")
     subset = "SELECT array_to_string(list_filter(p, lambda x: x <> y), '|') AS items, supp FROM (SELECT string_split(items, '|') AS p, unnest(string_split(items, '|')) AS y, supp FROM freq WHERE k > 1)"

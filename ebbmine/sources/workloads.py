@@ -101,6 +101,18 @@ def w10_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return attributes(rows, "c_custkey", ["c_mktsegment", "n_name", "r_name", "c_acctbal"], {"c_acctbal": 2500.0})
 
 
+def w10_suppliers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    x, n, r = (read_table(spark, sf_dir, t) for t in ("supplier", "nation", "region"))
+    rows = x.join(n, F.col("s_nationkey") == F.col("n_nationkey")).join(r, F.col("n_regionkey") == F.col("r_regionkey"))
+    return attributes(rows, "s_suppkey", ["n_name", "r_name", "s_acctbal"], {"s_acctbal": 2500.0})
+
+
+def w10_benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The words of a benchmark item."""
+    b = read_table(spark, sf_dir, "benchmark")
+    return from_long(b.select("item_id", F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))).alias("w")), "item_id", "w")
+
+
 def w10_labels(spark: SparkSession, sf_dir: str) -> DataFrame:
     d, lab = read_table(spark, sf_dir, "documents").select("doc_id", "lang", "source"), read_table(spark, sf_dir, "labels")
     return attributes(d.join(lab, "doc_id"), "doc_id", ["lang", "source", "quality", "toxic"])
