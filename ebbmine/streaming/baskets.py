@@ -6,7 +6,7 @@ gives in the end, which is how the stream is tested.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import layout
@@ -54,33 +54,47 @@ def support(windowed: DataFrame, items: list[str], masks: list[int]) -> DataFram
 
 
 class IncrementalMiner:
-    """Micro-batches as chunks: each batch of baskets (tid, item) is kept as a chunk; the result covers
-    all chunks so far. Batches are told apart by their id, so a batch that is sent again changes nothing."""
+    """Micro-batches as chunks: each batch of baskets (tid, item) is a folder batch=<id> under `store`; the result
+    covers all chunks there. A batch that is sent again replaces its own folder, and a miner that is
+    started anew on the same store finds what earlier ones kept: nothing is held by the driver alone."""
 
-    def __init__(self, minsup: str, **options):
-        self.minsup, self.options, self.chunks, self.result = minsup, options, {}, None
+    def __init__(self, minsup: str, store: str, **options):
+        self.minsup, self.store, self.options = minsup, store.rstrip("/"), options
+        self.seen: tuple[int, ...] = ()
+        self.result: MiningResult | None = None
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id not in self.chunks:
-            from ..sources.shared import kept
-
-            self.chunks[batch_id] = kept(batch.select("tid", "item").distinct(), f"batch-{batch_id}")
-            self.result = None
-
-    def itemsets(self) -> MiningResult | None:
-        """Mines the union of the chunks seen; a pass has as many stops as there are chunks."""
-        if self.result is None and self.chunks:
-            every = None
-            for _, x in sorted(self.chunks.items()):
-                every = x if every is None else every.unionAll(x)
-            self.result = mine(every.distinct(), self.minsup, chunks=max(1, min(8, len(self.chunks))), mode="hash", **self.options)
+        batch.select("tid", "item").distinct().write.mode("overwrite").parquet(f"{self.store}/batch={batch_id}")
+        self.result = None
+
+    def batches(self, spark: SparkSession) -> tuple[int, ...]:
+        """The batches that are kept whole."""
+        path = spark._jvm.org.apache.hadoop.fs.Path(f"{self.store}/batch=*/_SUCCESS")
+        found = path.getFileSystem(spark._jsc.hadoopConfiguration()).globStatus(path)
+        return tuple(sorted(int(x.getPath().getParent().getName().split("=")[1]) for x in found or []))
+
+    def baskets(self, spark: SparkSession) -> DataFrame | None:
+        kept = self.batches(spark)
+        if not kept:
+            return None
+        rows = spark.read.option("basePath", self.store).parquet(*[f"{self.store}/batch={k}" for k in kept])
+        return rows.select("tid", "item").distinct()
+
+    def itemsets(self, spark: SparkSession | None = None) -> MiningResult | None:
+        """Mines the union of the chunks kept; a pass has as many stops as there are chunks, up to eight."""
+        spark = spark or SparkSession.getActiveSession()
+        kept = self.batches(spark)
+        if kept and (self.result is None or kept != self.seen):
+            self.result = mine(self.baskets(spark), self.minsup, chunks=max(1, min(8, len(kept))), mode="hash", **self.options)
+            self.seen = kept
         return self.result
 
 
 def run_incremental(stream: DataFrame, minsup: str, checkpoint: str, **options) -> IncrementalMiner:
-    """Feeds an available-now stream of (tid, item) through foreachBatch and returns the miner."""
-    miner = IncrementalMiner(minsup, **options)
-    query = stream.writeStream.foreachBatch(miner).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Feeds an available-now stream of (tid, item) through foreachBatch and returns the miner. Chunks lie
+    beside the stream's checkpoint, so both tell the same story after a restart."""
+    miner = IncrementalMiner(minsup, f"{checkpoint.rstrip('/')}/chunks", **options)
+    query = stream.writeStream.foreachBatch(miner).option("checkpointLocation", f"{checkpoint.rstrip('/')}/stream").trigger(availableNow=True).start()
     query.awaitTermination()
     return miner
 

@@ -38,9 +38,18 @@ def test_incremental_miner(spark, tmp_path):
     tx.where(F.crc32("tid") % 2 == 1).coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
     stream = spark.readStream.schema(tx.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
     miner = windows.run_incremental(stream, "0.1", str(tmp_path / "ck"))
-    assert len(miner.chunks) == 2
-    miner(tx, 0)  # sent again: nothing changes
-    assert miner.itemsets().sets == mine(tx, "0.1", "level").sets
+    assert miner.batches(spark) == (0, 1)
+    again = spark.read.parquet(f"{miner.store}/batch=0")
+    again.persist().count()
+    miner(again, 0)  # sent again: nothing changes
+    want = mine(tx, "0.1", "level").sets
+    assert miner.itemsets(spark).sets == want
+    # a restart: new rows arrive, a new miner on the same checkpoint covers old and new ones
+    more = tx.withColumn("tid", F.concat(F.lit("x"), "tid")).where("item <> 'click'")
+    more.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    later = windows.run_incremental(stream, "0.1", str(tmp_path / "ck"))
+    assert later is not miner and later.batches(spark) == (0, 1, 2)
+    assert later.itemsets(spark).sets == mine(tx.unionAll(more), "0.1", "level").sets != want
 
 
 def test_sql_surface(spark):
