@@ -295,7 +295,6 @@ def _all() -> dict[str, tuple[Callable, str | None]]:
         q[f.__name__] = (f, None)
     for name, f in experiments.ALL.items():
         q[name] = (f, None)
-    q["speedup"] = q["e3_speedup"]
     return q
 
 
