@@ -9,8 +9,7 @@ from pyspark.sql import functions as F
 
 from ebbmine.llm import decontamination, jaccard, pieces, private_data, toxicity
 from ebbmine.llm.common import table, written
-
-PIECE_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
+from ebbmine.llm.queries import PIECE_MODEL
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
