@@ -42,6 +42,8 @@ def baskets(events: DataFrame, items: list[str], kind: str = "tumbling", length:
         bit = F.when(F.col("event_type") == x, F.lit((1 << p) - (1 << 64) if p == 63 else 1 << p).cast("bigint")).otherwise(bit)
     w = frame(kind, length, slide, gap)
     out = timed_events(events).groupBy("user_id", w.alias("w")).agg(F.bit_or(bit).alias("mask"))
+    if events.isStreaming:  # the window itself stays, for aggregations that follow
+        return out.select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.coalesce("mask", F.lit(0).cast("bigint")).alias("mask"), "w")
     return out.select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), F.coalesce("mask", F.lit(0).cast("bigint")).alias("mask"))
 
 
@@ -53,6 +55,63 @@ def support(windowed: DataFrame, items: list[str], masks: list[int]) -> DataFram
     return windowed.select("start", F.explode(tests).alias("items")).groupBy("start", "items").agg(F.count("*").alias("supp"))
 
 
+def support_stream(windowed: DataFrame, items: list[str], masks: list[int], length: str = "1 day") -> DataFrame:
+    """support() for streams in append mode: a basket counts in the window of `length` in which it ended, so the
+    second aggregation has a watermark of its own. start is that window's."""
+    names = ["|".join(sorted(items[p] for p in range(len(items)) if x >> p & 1)) for x in masks]
+    tests = F.filter(F.array(*[F.when(F.col("mask").bitwiseAND(F.lit(x).cast("bigint")) == F.lit(x).cast("bigint"), F.lit(n)) for x, n in zip(masks, names)]), lambda x: x.isNotNull())
+    by = F.window(F.window_time("w"), length) if "w" in windowed.columns else F.window("at", length)
+    out = windowed.withColumn("items", F.explode(tests)).groupBy(by.alias("day"), "items").agg(F.count("*").alias("supp"))
+    return out.select(F.col("day.start").alias("start"), "items", "supp")
+
+
+#: A basket that a user's silence closed, and the state of a user: baskets that are open, in microseconds of UTC.
+CLOSED = "user_id bigint, first bigint, until bigint, mask bigint"
+OPEN = "starts array<bigint>, lasts array<bigint>, masks array<bigint>"
+
+
+def open_baskets(stream: DataFrame, items: list[str], gap: str = "30 minutes") -> DataFrame:
+    """Baskets by a state of one's own: a user's events gather in an open basket until none came for `gap`, when an
+    event-time timeout closes and emits it. The same baskets as session windows; the state is a few numbers a basket
+    (start, last event, mask), however many events it holds. Only baskets that the watermark closed come out; late
+    events are dropped before. Events of null user or time join no basket; unknown types set no bit.
+
+    stream: events(event_id, ts, user_id, event_type) with a watermark on ts (see once)."""
+    import pandas as pd
+
+    quiet = int(pd.Timedelta(gap).total_seconds() * 1_000_000)
+    bit = {x: (1 << p) - (1 << 64) if p == 63 else 1 << p for p, x in enumerate(items)}
+
+    def merged(spans: list[list[int]]) -> list[list[int]]:
+        out: list[list[int]] = []
+        for start, last, mask in sorted(spans):
+            if out and start < out[-1][1] + quiet:
+                out[-1][1], out[-1][2] = max(out[-1][1], last), out[-1][2] | mask
+            else:
+                out.append([start, last, mask])
+        return out
+
+    def follow(key, frames, state):
+        held = [list(x) for x in zip(*state.get)] if state.exists else []
+        for events in frames:
+            held = merged(held + [[t, t, bit.get(x, 0)] for t, x in zip(events["at"].tolist(), events["event_type"])])
+        mark = state.getCurrentWatermarkMs() * 1000
+        done = [x for x in held if x[1] + quiet <= mark]
+        held = [x for x in held if x[1] + quiet > mark]
+        if held:
+            state.update(tuple([x[k] for x in held] for k in range(3)))
+            state.setTimeoutTimestamp(-(-(min(x[1] for x in held) + quiet) // 1000))
+        elif state.exists:
+            state.remove()
+        if done:
+            yield pd.DataFrame({"user_id": key[0], "first": [x[0] for x in done], "until": [x[1] + quiet for x in done], "mask": [x[2] for x in done]})
+
+    known = stream.where("user_id is not null and ts is not null").withColumn("user_id", F.col("user_id").cast("bigint"))
+    known = known.withColumn("at", F.unix_micros("ts"))
+    closed = known.groupBy("user_id").applyInPandasWithState(follow, CLOSED, OPEN, "append", "EventTimeTimeout")
+    return closed.select("user_id", F.timestamp_micros("first").alias("start"), F.timestamp_micros("until").alias("end"), "mask")
+
+
 class IncrementalMiner:
     """Micro-batches as chunks: each batch of baskets (tid, item) is a folder batch=<id> under `store`; the result
     covers all chunks there. A batch that is sent again replaces its own folder, and a miner that is
@@ -99,4 +158,4 @@ def run_incremental(stream: DataFrame, minsup: str, checkpoint: str, **options)
     return miner
 
 
-__all__ = ["IncrementalMiner", "RESULT", "baskets", "frame", "layout", "once", "run_incremental", "support", "timed_events"]
+__all__ = ["IncrementalMiner", "RESULT", "baskets", "frame", "layout", "once", "open_baskets", "run_incremental", "support", "support_stream", "timed_events"]

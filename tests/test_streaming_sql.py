@@ -1,5 +1,8 @@
 """Streams give what the static table gives; SQL names; the registry is whole."""
 
+import time
+
+import pytest
 from pyspark.sql import functions as F
 
 from ebbmine.functions import sqlsurface
@@ -67,3 +70,48 @@ def test_flagship_and_registry(spark):
     names = entry.queries()
     assert set(entry.oracle_sql()) <= set(names)
     assert {"w1_icb_m2", "w8_fpt", "count_k8", "rules_lift", "trace_passes", "support_cube"} <= set(names)
+
+
+def replay(spark, tmp_path, make, label):
+    """Three files, a batch each, the last with repeated and late rows; what an append-mode stream emits."""
+    events = read_table(spark, SF, "events")
+    day = F.dayofmonth(F.col("ts").cast("timestamp"))
+    src = str(tmp_path / f"in-{label}")
+    late = events.where(day <= 3).withColumn("event_id", F.col("event_id") + 10_000_000)
+    files = [events.where(day <= 10), events.where((day > 10) & (day <= 20)), events.where(day > 20).unionAll(events.where(day > 25)).unionAll(late)]
+    for f in files:
+        f.coalesce(1).write.mode("append").parquet(src)
+        time.sleep(1.1)  # files are taken by their time
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(src)
+    query = make(windows.once(stream)).writeStream.format("memory").queryName(label).outputMode("append").option("checkpointLocation", str(tmp_path / f"ck-{label}")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    end = events.agg(F.max(F.col("ts").cast("timestamp")) - F.expr("INTERVAL 10 MINUTES")).first()[0]
+    return events, spark.table(label), end
+
+
+def rows_of(df, *columns):
+    return sorted(tuple(r) for r in df.select(*columns).collect())
+
+
+@pytest.mark.parametrize("kind", ["tumbling", "sliding", "session"])
+def test_late_rows_are_left_out_exactly(spark, tmp_path, kind):
+    slide = "6 hours" if kind == "sliding" else None
+    events, got, end = replay(spark, tmp_path, lambda s: windows.baskets(s, EVENT_TYPES, kind, "1 day", slide), f"late_{kind}")
+    want = windows.baskets(windows.once(events), EVENT_TYPES, kind, "1 day", slide).where(F.col("end") <= F.lit(end))
+    names = ("user_id", "start", "end", "mask")
+    assert got.count() > 0 and rows_of(got, *names) == rows_of(want, *names)
+
+
+def test_open_baskets_equal_session_windows(spark, tmp_path):
+    events, got, end = replay(spark, tmp_path, lambda s: windows.open_baskets(s, EVENT_TYPES), "open")
+    want = windows.baskets(windows.once(events), EVENT_TYPES, "session").where(F.col("end") <= F.lit(end))
+    names = ("user_id", "start", "end", "mask")
+    assert got.count() > 0 and rows_of(got, *names) == rows_of(want, *names)
+
+
+def test_support_follows_a_stream(spark, tmp_path):
+    events, got, end = replay(spark, tmp_path, lambda s: windows.support_stream(windows.baskets(s, EVENT_TYPES), EVENT_TYPES, EVENT_SETS), "supports")
+    held = windows.baskets(windows.once(events), EVENT_TYPES).where(F.col("end") <= F.lit(end))
+    want = windows.support(held, EVENT_TYPES, EVENT_SETS)
+    names = ("start", "items", "supp")
+    assert got.count() > 0 and rows_of(got, *names) == rows_of(want, *names)
