@@ -248,20 +248,34 @@ STRATEGIES: dict[str, Callable] = {
 BY_NUMBER = {"k0": "set", "k1": "tx", "k2": "itemset", "k3": "grid", "k4": "wide", "k5": "vector", "k6": "scalar", "k7": "anchor", "k8": "vertical"}
 
 
-def choose(candidates: int, tasks: int, folded: bool = False) -> str:
-    """As the loops are balanced there: few sets split their transactions (one conditional sum each,
-    summed over tasks); from as many sets as workers on, blocks of sets over all transactions."""
+def choose(candidates: int, tasks: int, folded: bool = False, n_chunk: int | None = None, words: int = 1, distinct: float | None = None, mean_size: float = 2.0) -> str:
+    """The strategy for a stop. As the loops are balanced there: fewer sets than workers split the transactions,
+    more sets are dealt to workers, and where neither loop alone fills the workers both are cut into blocks.
+
+    n_chunk: transactions of the chunk; distinct: share of different masks in it; mean_size: mean length of the sets.
+    Without n_chunk the table is taken to be large. All answers are exact, so a wrong guess costs time only."""
+    if n_chunk is not None and n_chunk < 64 * tasks:  # too few transactions to split
+        if candidates > tasks:
+            return "itemset" if n_chunk * 8 * (words + 1) <= BROADCAST_BYTES else "grid"
+        return "wide"
+    if n_chunk is not None and n_chunk < 4096 * tasks and tasks // 2 < candidates < tasks:  # neither loop fills the workers
+        return "grid"
     if candidates <= max(tasks, 24):
         return "wide"
-    return "vector" if folded else "sliced"
+    if folded or (distinct is not None and distinct < 0.7):
+        return "vector"
+    if words > 16 and candidates <= 64 * words:  # wide sparse masks and few sets: rows that hold a rarest item only
+        return "anchor" if mean_size <= 3 else "vertical"
+    return "sliced"
 
 
-def count(chunk: DataFrame, masks: list[int], words: int, strategy: str = "auto", folded: bool = False, slices: DataFrame | None = None, items: int = 0) -> dict[int, int]:
+def count(chunk: DataFrame, masks: list[int], words: int, strategy: str = "auto", folded: bool = False, slices: DataFrame | None = None, items: int = 0, n_chunk: int | None = None) -> dict[int, int]:
     if not masks:
         return {}
     if slices is not None and strategy in ("auto", "sliced"):
         return count_slices(slices, masks, items)
     strategy = BY_NUMBER.get(strategy, strategy)
     if strategy == "auto":
-        strategy = choose(len(masks), chunk.sparkSession.sparkContext.defaultParallelism, folded)
+        size = sum(x.bit_count() for x in masks) / len(masks)
+        strategy = choose(len(masks), chunk.sparkSession.sparkContext.defaultParallelism, folded, n_chunk, words, mean_size=size)
     return STRATEGIES[strategy](chunk, masks, words)

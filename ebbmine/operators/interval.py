@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from . import layout
 from .counting import count
 from .lattice import LIKELY, SETTLED, UNLIKELY, Lattice, joined, make_candidates
-from .mining import MiningResult, decoded
+from .mining import TRACE, MiningResult, decoded, one_task
 
 
 def plan_chunks(n: int, m: int | None = None, chunks: int | None = None) -> int:
@@ -22,12 +22,15 @@ def plan_chunks(n: int, m: int | None = None, chunks: int | None = None) -> int:
     return chunks or 2
 
 
-def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str, grow: str, subset_test: bool, counter: str, max_len: int | None, group_of: dict | None, max_candidates: int) -> MiningResult:
+def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str, grow: str, subset_test: bool, counter: str, max_len: int | None, group_of: dict | None, max_candidates: int, snapshot: str | None = None) -> MiningResult:
     chunks, words = len(e.sizes), e.words
     lattice = Lattice(max_candidates)
     groups = [group_of.get(x) for x in e.items] if group_of else None
     frequent = [p for p, c in enumerate(e.counts) if c >= need]
-    if first_pass:
+    kept_state = restore(e.spark, snapshot, lattice) if snapshot else None
+    if kept_state:
+        pass
+    elif first_pass:
         for p, c in enumerate(e.counts):
             lattice.add(1 << p, 0, phase=SETTLED, shape=LIKELY if c >= need else UNLIKELY, supp=c, exact=True)
         if max_len is None or max_len > 1:
@@ -38,16 +41,16 @@ def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str,
         for p in range(len(e.items)):
             lattice.add(1 << p, 0)
     length = max(e.sizes) if e.sizes else 0
-    trace, stop = [], 0
-    if first_pass:  # the full pass over all items, stop 0
-        trace.append((0, -1, e.n, len(e.counts), len(frequent), len(lattice.watched()), 0, len(e.counts), len(e.counts) * e.n))
+    trace, stop = kept_state or ([], 0)
+    if first_pass and not kept_state:  # the full pass over all items, stop 0
+        trace.append((0, -1, e.n, e.counted, len(frequent), len(lattice.watched()), 0, e.counted, 0, e.counted * e.n))
     while True:
         watched = lattice.watched()
         if not watched:
             break
         s = stop % chunks
         stop += 1
-        delta = count(e.chunk(s), [x.mask for x in watched], words, counter, e.folded, e.slice(s), len(e.items)) if e.sizes[s] else {}
+        delta = count(e.chunk(s), [x.mask for x in watched], words, counter, e.folded, e.slice(s), len(e.items), e.sizes[s]) if e.sizes[s] else {}
         for x in watched:
             x.supp += delta.get(x.mask, 0)
             x.stops += 1
@@ -65,7 +68,9 @@ def _run(e: layout.Encoded, need: int, first_pass: bool, prune: str, bound: str,
         for x in new:
             lattice.add(x, stop)
         settled = lattice.settle(chunks)
-        trace.append((stop, s, e.sizes[s], len(watched), len(lattice.likely()), len(new), lost + above, settled, len(watched) * e.sizes[s]))
+        trace.append((stop, s, e.sizes[s], len(watched), len(lattice.likely()), len(new), lost + above, settled, above, len(watched) * e.sizes[s]))
+        if snapshot:
+            save(e.spark, snapshot, lattice, trace, stop)
     found = {x.mask: x.supp for x in lattice.result()}
     out = MiningResult(e.spark, decoded(found, e.items), e.n, need, trace, (1 if first_pass else 0) + stop / chunks)
     out.lattice = lattice
@@ -92,22 +97,57 @@ def mine(
 
 def mine_encoded(
     e: layout.Encoded, minsup: str | float, counter: str = "auto", first_pass: bool = True, prune: str = "bound", bound: str = "chunk_exact", grow: str = "all", subset_test: bool = True, max_len: int | None = None,
-    max_candidates: int = 5_000_000,
+    max_candidates: int = 5_000_000, snapshot: str | None = None,
 ) -> MiningResult:
-    """The same on a table that is encoded already (layout.from_masks); with first_pass the item counts
-    are one full pass over it."""
+    """The same on a table that is encoded already (layout.from_masks, layout.load); with first_pass the item counts
+    are one full pass over it. With `snapshot`, a folder that all executors share, the state is written there after
+    every stop, and a run on the same stored table and thresholds goes on from the last whole one."""
     if first_pass:
         got: dict[int, int] = {}
         for s in range(len(e.sizes)):
             for x, c in count(e.chunk(s), [1 << p for p in range(len(e.items))], e.words, "sliced", e.folded, e.slice(s), len(e.items)).items():
                 got[x] = got.get(x, 0) + c
         e.counts = [got[1 << p] for p in range(len(e.items))]
-    return _run(e, layout.need_count(minsup, e.n), first_pass, prune, bound, grow, subset_test, counter, max_len, None, max_candidates)
+    return _run(e, layout.need_count(minsup, e.n), first_pass, prune, bound, grow, subset_test, counter, max_len, None, max_candidates, snapshot)
+
+
+STATE = "mask string, phase string, shape string, supp bigint, stops int, born int, exact boolean"
+
+
+def _stops_kept(spark, snapshot: str) -> tuple[list[int], object]:
+    path = spark._jvm.org.apache.hadoop.fs.Path(f"{snapshot}/lattice/stop=*/_SUCCESS")
+    fs = path.getFileSystem(spark._jsc.hadoopConfiguration())
+    return sorted(int(x.getPath().getParent().getName().split("=")[1]) for x in fs.globStatus(path) or []), fs
+
+
+def save(spark, snapshot: str, lattice: Lattice, trace: list[tuple], stop: int) -> None:
+    """Trace first, then the lattice, whose mark says that both are whole; the stop before stays, older ones go."""
+    spark.createDataFrame(trace, TRACE).coalesce(1).write.mode("overwrite").parquet(f"{snapshot}/trace/stop={stop}")
+    rows = [(format(x.mask, "x"), x.phase, x.shape, x.supp, x.stops, x.born, x.exact) for x in lattice.ledger.values()]
+    spark.createDataFrame(rows, STATE).write.mode("overwrite").parquet(f"{snapshot}/lattice/stop={stop}")
+    old, fs = _stops_kept(spark, snapshot)
+    for k in old:
+        if k < stop - 1:
+            for part in ("lattice", "trace"):
+                fs.delete(spark._jvm.org.apache.hadoop.fs.Path(f"{snapshot}/{part}/stop={k}"), True)
+
+
+def restore(spark, snapshot: str, lattice: Lattice) -> tuple[list[tuple], int] | None:
+    """Fills the lattice from the last whole stop; its trace and number, or None if there is none."""
+    kept, _ = _stops_kept(spark, snapshot)
+    if not kept:
+        return None
+    stop = kept[-1]
+    for r in spark.read.schema(STATE).parquet(f"{snapshot}/lattice/stop={stop}").collect():  # the lattice, held by the driver anyway
+        lattice.add(int(r["mask"], 16), r["born"], phase=r["phase"], shape=r["shape"], supp=r["supp"], stops=r["stops"], exact=r["exact"])
+    rows = spark.read.schema(TRACE).parquet(f"{snapshot}/trace/stop={stop}").orderBy("stop").collect()
+    return [tuple(r) for r in rows], stop
 
 
 def mine_classic(tx: DataFrame, minsup: str | float, M: int | None = None, chunks: int | None = None, counter: str = "tx", parallelism: int | None = None, **options) -> MiningResult:
     """The four-state miner without the two added stages; parallelism=1 counts in one task."""
     options = {"first_pass": False, "prune": "none", "folded": False} | options
     if parallelism == 1:
-        counter = "scalar" if counter == "auto" else counter
-    return mine(tx.coalesce(1) if parallelism == 1 else tx, minsup, M, chunks, counter, **options)
+        with one_task(tx.sparkSession):
+            return mine(tx.coalesce(1), minsup, M, chunks, counter, **options)
+    return mine(tx, minsup, M, chunks, counter, **options)

@@ -8,7 +8,7 @@ from decimal import ROUND_CEILING, Decimal
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.bits import WORD_BITS, cardinality, n_words, word_names
@@ -37,10 +37,12 @@ class Encoded:
     sizes: list[int]  # transactions of each chunk
     folded: bool = False
     slices: DataFrame | None = None  # chunk INT, n INT, cols BINARY: see sliced()
+    counted: int = 0  # items that the first pass counted, those left out since included
     words: int = field(init=False)
 
     def __post_init__(self):
         self.words = n_words(len(self.items))
+        self.counted = max(self.counted, len(self.items))
 
     @property
     def spark(self) -> SparkSession:
@@ -66,8 +68,14 @@ def item_counts(tx: DataFrame) -> DataFrame:
 
 def dictionary(tx: DataFrame, need: int) -> list[tuple[str, int]]:
     """Items in `need` transactions or more, by falling count, then name: dense low words, rare items high."""
-    rows = item_counts(tx).where(F.col("n_tx") >= need).collect()  # the items, not the transactions
-    return [(r["item"], r["n_tx"]) for r in sorted(rows, key=lambda r: (-r["n_tx"], r["item"]))]
+    return counted_dictionary(tx, need)[0]
+
+
+def counted_dictionary(tx: DataFrame, need: int) -> tuple[list[tuple[str, int]], int]:
+    """The dictionary, and how many different items were counted for it, by one job."""
+    seen = Observation()
+    rows = item_counts(tx).observe(seen, F.count("*").alias("items")).where(F.col("n_tx") >= need).collect()  # the items, not the transactions
+    return [(r["item"], r["n_tx"]) for r in sorted(rows, key=lambda r: (-r["n_tx"], r["item"]))], int(seen.get["items"])
 
 
 def encode(tx: DataFrame, items: list[str], tids: DataFrame | None = None) -> DataFrame:
@@ -140,6 +148,33 @@ def encode_baskets(baskets: DataFrame, items: list[str]) -> DataFrame:
     return numbered.select("tid", *[F.aggregate(F.filter("ids", of_word(j)), none, joined).alias(w) for j, w in enumerate(word_names(n_words(len(items))))])
 
 
+def encode_arrays(df: DataFrame, tid: str, column: str, items: list[str]) -> DataFrame:
+    """Baskets as arrays straight to masks, without a shuffle; null arrays, null elements and items outside
+    the dictionary set no bit. Small dictionaries are looked up, larger ones joined by their item."""
+    baskets = df.select(F.col(tid).alias("tid"), F.col(column).alias("held"))
+    if len(items) <= LOOKED_UP:
+        return encode_baskets(baskets, items)
+    return encode(baskets.select("tid", F.explode(F.array_distinct("held")).alias("item")), items, baskets.select("tid"))
+
+
+def store(e: Encoded, path: str, mode: str = "errorifexists") -> None:
+    """An encoded table as Parquet by chunk, its dictionary beside it; load() reads both again."""
+    e.enc.write.mode(mode).partitionBy("chunk").parquet(f"{path}/chunks")
+    known = [(p, x, c) for p, (x, c) in enumerate(zip(e.items, e.counts))]
+    e.spark.createDataFrame(known, "place int, item string, n_tx bigint").coalesce(1).write.mode(mode).parquet(f"{path}/items")
+    about = [(e.n, [int(s) for s in e.sizes], e.folded)]
+    e.spark.createDataFrame(about, "n bigint, sizes array<bigint>, folded boolean").coalesce(1).write.mode(mode).parquet(f"{path}/about")
+
+
+def load(spark: SparkSession, path: str) -> Encoded:
+    known = spark.read.parquet(f"{path}/items").orderBy("place").collect()  # the dictionary
+    about = spark.read.parquet(f"{path}/about").first()
+    words = word_names(n_words(len(known)))
+    shape = ", ".join(f"{w} bigint" for w in words)
+    enc = spark.read.schema(f"{shape}, weight bigint, chunk int").parquet(f"{path}/chunks").select("chunk", *words, "weight")
+    return Encoded(enc, [r["item"] for r in known], [r["n_tx"] for r in known], about["n"], list(about["sizes"]), about["folded"])
+
+
 def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, mode: str = "rank", first_pass: bool = True, folded: str | bool = "auto", tids: DataFrame | None = None, only_items: list[str] | None = None, need: int | None = None) -> tuple[Encoded, int]:
     """(Encoded, need): counts items (the full first pass), drops infrequent ones if first_pass,
     encodes, assigns chunks and stores the table partitioned by chunk. Empty baskets count in n.
@@ -154,7 +189,7 @@ def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, m
     n = baskets.count()
     need = need if need is not None else need_count(minsup, n) if n else 1
     long = baskets.select("tid", F.explode("held").alias("item"))
-    known = dictionary(long, max(1, need) if first_pass else 1)
+    known, counted = counted_dictionary(long, max(1, need) if first_pass else 1)
     items = [x for x, _ in known]
     words = n_words(len(items))
     enc = encode_baskets(baskets, items) if len(items) <= LOOKED_UP else encode(long, items, baskets.select("tid"))
@@ -172,7 +207,7 @@ def prepare(tx: DataFrame, minsup: str | float | None = None, chunks: int = 1, m
     for table in (baskets, ranged):
         if table is not None:
             discard(table)
-    return Encoded(enc, items, [c for _, c in known], n, [got.get(s, 0) for s in range(chunks)], bool(folded)), need
+    return Encoded(enc, items, [c for _, c in known], n, [got.get(s, 0) for s in range(chunks)], bool(folded), counted=counted), need
 
 
 def from_masks(enc: DataFrame, items: list[str], chunks: int = 1, resident: bool = False) -> Encoded:

@@ -17,7 +17,7 @@ def mine(tx: DataFrame, minsup: str | float, counter: str = "auto", folded: str
     e, need = layout.prepare(tx, minsup, 1, "rank", True, folded, tids, only_items)
     groups = [group_of.get(x) for x in e.items] if group_of else None
     found = {1 << p: c for p, c in enumerate(e.counts) if c >= need}
-    trace = [(1, 0, e.n, len(e.counts), len(found), 0, 0, len(e.counts), len(e.counts) * e.n)]
+    trace = [(1, 0, e.n, e.counted, len(found), 0, 0, e.counted, 0, e.counted * e.n)]
     level, k = list(found), 1
     try:
         while level and (max_len is None or k < max_len):
@@ -33,7 +33,7 @@ def mine(tx: DataFrame, minsup: str | float, counter: str = "auto", folded: str
             level = [x for x in wanted if got[x] >= need]
             found |= {x: got[x] for x in level}
             k += 1
-            trace.append((k, 0, e.n, len(wanted), len(found), len(wanted), 0, len(wanted), len(wanted) * e.n))
+            trace.append((k, 0, e.n, len(wanted), len(found), len(wanted), 0, len(wanted), 0, len(wanted) * e.n))
     finally:
         e.release()
     return MiningResult(e.spark, decoded(found, e.items), e.n, need, trace, float(len(trace)))

@@ -31,9 +31,9 @@ def gain(off: float, on: float) -> float:
 
 
 def summary(spark: SparkSession, runs: dict[str, MiningResult]) -> DataFrame:
-    """One row a run: passes, stops, peak of watched sets, containment tests, pruned sets, results."""
+    """One row a run: passes, stops, peak of watched sets, containment tests, pruned sets (and those of them pruned as supersets), results."""
     rows = [
-        (name, float(r.passes), sum(t[0] > 0 for t in r.trace), int(r.peak), int(r.tests), int(sum(t[6] for t in r.trace)), len(r.sets), max((len(x) for x, _ in r.sets), default=0))
+        (name, float(r.passes), sum(t[0] > 0 for t in r.trace), int(r.peak), int(r.tests), int(sum(t[6] for t in r.trace)), int(sum(t[8] for t in r.trace)), len(r.sets), max((len(x) for x, _ in r.sets), default=0))
         for name, r in runs.items()
     ]
-    return spark.createDataFrame(rows, "run string, passes double, stops int, peak_watched bigint, tests bigint, pruned bigint, n_sets int, k_max int")
+    return spark.createDataFrame(rows, "run string, passes double, stops int, peak_watched bigint, tests bigint, pruned bigint, pruned_above bigint, n_sets int, k_max int")
