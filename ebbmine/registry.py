@@ -173,6 +173,25 @@ def constraint_group(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mine(tx, MINSUP["w2"], "ic_b", group_of=groups).itemsets()
 
 
+def constraint_must(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sets that hold an open line status and no return flag."""
+    return mine(workloads.w4(spark, sf_dir), MINSUP["w4"], "ic_b", must=["ls=O"], never=["rf=N", "os=O"]).itemsets()
+
+
+SEGMENTS = ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"]
+
+
+def support_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Supports of the brands of w7, a column a market segment."""
+    groups = read_table(spark, sf_dir, "customer").select(F.col("c_custkey").alias("tid"), "c_mktsegment")
+    return result.support_pivot(workloads.w7(spark, sf_dir), groups, "c_mktsegment", SEGMENTS)
+
+
+def trace_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The stops of a run beside their neighbours."""
+    return result.trace_steps(run(spark, sf_dir, "w2", "icb_m10", mode="rank").trace_frame())
+
+
 EVENT_TYPES = ["click", "error", "purchase", "signup", "view"]
 EVENT_SETS = [1, 2, 4, 8, 16, 3, 5, 17, 20, 21]
 
@@ -283,6 +302,14 @@ def _all() -> dict[str, tuple[Callable, str | None]]:
     q["topk_per_size"] = (_on("w2", lambda f: result.top_k(f, 5)), _freq("w2") + "\nSELECT items, k, supp, CAST(r AS INT) AS rank FROM (SELECT *, row_number() OVER (PARTITION BY k ORDER BY supp DESC, items) AS r FROM freq) WHERE r <= 5")
     for kind in ("rollup", "cube"):
         q[f"support_{kind}"] = (_by_group(kind), _by_group_sql(kind))
+    sets = "GROUPING SETS ((r_name, item), (c_mktsegment, item), (r_name, c_mktsegment, item))"
+    q["support_grouping_sets"] = (_by_group("grouping_sets"), _by_group_sql("@").replace("@(r_name, c_mktsegment, item)", sets))
+    q["support_pivot"] = (support_pivot, f"WITH b AS ({workloads.SQL['w7']}) SELECT item, " + ", ".join(f"count(*) FILTER (WHERE c_mktsegment = '{x}') AS \"{x}\"" for x in SEGMENTS) + " FROM b JOIN customer ON c_custkey = tid GROUP BY item")
+    q["ranked_sets"] = (_on("w2", result.ranked), _freq("w2") + """
+SELECT items, k, supp, CAST(rank() OVER w AS INT) AS rank, CAST(dense_rank() OVER w AS INT) AS dense_rank, round(percent_rank() OVER w, 9) AS percent_rank, CAST(ntile(4) OVER (PARTITION BY k ORDER BY supp DESC, items) AS INT) AS bucket
+FROM freq WINDOW w AS (PARTITION BY k ORDER BY supp DESC)""")
+    q["near_support"] = (_on("w2", lambda f: result.near_support(f, 10)), _freq("w2") + "\nSELECT items, k, supp, count(*) OVER (PARTITION BY k ORDER BY supp RANGE BETWEEN 10 PRECEDING AND 10 FOLLOWING) AS near FROM freq")
+    q["constraint_must"] = (constraint_must, _freq("w4") + "\nSELECT items, k, supp FROM freq WHERE list_contains(string_split(items, '|'), 'ls=O') AND NOT list_has_any(string_split(items, '|'), ['rf=N', 'os=O'])")
     q["contrast_returnflag"] = (contrast_returnflag, _contrast_sql())
     keep = workloads.SQL["w4"].strip()
     q["constraint_maxlen"] = (constraint_maxlen, oracle.fim_ctes(f"SELECT tid, item FROM ({keep}) WHERE split_part(item, '=', 1) IN ('rf', 'ls', 'ln', 'os', 'q')", MINSUP["w4"], "SELECT count(*) FROM lineitem", 2) + "\nSELECT items, k, supp FROM freq")
@@ -291,7 +318,7 @@ def _all() -> dict[str, tuple[Callable, str | None]]:
     q["sliding_support"] = (_windowed("sliding", "1 day", "6 hours"), _windowed_sql("sliding"))
     q["session_support"] = (_windowed("session"), _windowed_sql("session"))
     q["asof_event_pairs"] = (asof_event_pairs, ASOF_SQL)
-    for f in (trace_passes, trace_stops, ablation, w9_synthetic):
+    for f in (trace_passes, trace_stops, trace_steps, ablation, w9_synthetic):
         q[f.__name__] = (f, None)
     for name, f in experiments.ALL.items():
         q[name] = (f, None)
