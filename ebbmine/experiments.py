@@ -5,23 +5,30 @@ Times include Spark's job latency, so small sizes scale badly here as they do in
 
 from __future__ import annotations
 
+from contextlib import nullcontext
+
 from pyspark.sql import DataFrame, SparkSession
 
 from .functions.bits import n_words
 from .operators import interval, layout, measures
 from .operators.counting import BY_NUMBER, count
 from .operators.lattice import joined
-from .operators.mining import mine
+from .operators.mining import mine, one_task
 from .sources import workloads
+from .sources.shared import discard, kept
 
 #: Transactions of the generated tables in these runs; bench.py uses the published 20 million.
 ROWS = 1_000_000
 NAMES = [f"i{p:02d}" for p in range(64)]
 
 
-def resident(spark: SparkSession, n: int = ROWS, chunks: int = 2, partitions: int | None = None):
-    """A generated table of the shape of the published log data, encoded and kept in memory as bit columns."""
-    table = workloads.synthetic_masks(spark, n, partitions=partitions or spark.sparkContext.defaultParallelism)
+#: The two generated shapes: short baskets of the log, and long ones of correlated patterns with thousands of sets.
+SHAPES = {"log": workloads.synthetic_masks, "market": workloads.market_masks}
+
+
+def resident(spark: SparkSession, n: int = ROWS, chunks: int = 2, partitions: int | None = None, shape: str = "log"):
+    """A generated table of a published shape, encoded and kept in memory as bit columns."""
+    table = SHAPES[shape](spark, n, partitions=partitions or spark.sparkContext.defaultParallelism)
     return layout.sliced(layout.from_masks(table, NAMES, chunks, resident=True), resident=True)
 
 
@@ -30,29 +37,46 @@ def _drop(e: layout.Encoded) -> None:
     e.slices.unpersist()
 
 
-def e1_methods(spark: SparkSession, sf_dir: str, w: str = "w2", minsup: str = "0.1") -> DataFrame:
-    """Run time of every method on a workload, baskets written beforehand."""
-    from .sources.shared import discard, kept
+#: The methods that are compared, with their options.
+METHODS = {"IC-B": ("ic_b", {"chunks": 2}), "IC-4": ("ic_4", {"chunks": 2}), "LEVEL": ("level", {}), "VERT": ("vert", {}), "FPT": ("fpt", {})}
+RUNS = "workload string, method string, tasks string, n_sets int, seconds double"
 
-    tx = kept(workloads.BASKETS[w](spark, sf_dir), "e1")
-    rows = []
-    for name, method, options in (("IC-B", "ic_b", {"chunks": 2}), ("IC-4", "ic_4", {"chunks": 2}), ("LEVEL", "level", {}), ("VERT", "vert", {}), ("FPT", "fpt", {})):
-        found, took = measures.timed(lambda method=method, options=options: mine(tx, minsup, method, **options))
-        rows.append((name, len(found.sets), took))
+
+def _race(spark: SparkSession, sf_dir: str, w: str, minsup: str, serial: bool) -> list[tuple]:
+    """Every method on a workload, its baskets written beforehand; serial: all but IC-B in one task, as the rivals were run."""
+    tx, rows = kept(workloads.BASKETS[w](spark, sf_dir), "race"), []
+    for name, (method, options) in METHODS.items():
+        alone = serial and name != "IC-B"
+        with one_task(spark) if alone else nullcontext():
+            found, took = measures.timed(lambda method=method, options=options, alone=alone: mine(tx.coalesce(1) if alone else tx, minsup, method, **options))
+        rows.append((w, name, "one" if alone else "all", len(found.sets), took))
     discard(tx)
-    return spark.createDataFrame(rows, "method string, n_sets int, seconds double")
+    return rows
 
 
-def e2_vectorised(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Counting with the vector kernels and with scalar loops, on the same sets and transactions."""
-    e = resident(spark, 200_000, 1)
-    masks = sorted(joined([1 << p for p in range(64)]))[:60]
-    rows = []
-    for strategy in ("scalar", "vector", "sliced"):
-        count(e.enc, masks[:2], 1, strategy)
-        rows.append((strategy, measures.timed(lambda strategy=strategy: count(e.enc, masks, 1, strategy))[1]))
-    _drop(e)
-    return spark.createDataFrame([(s, t, measures.gain(rows[0][1], t)) for s, t in rows], "kernel string, seconds double, gain double")
+def e1_methods(spark: SparkSession, sf_dir: str, on: tuple = (("w2", "0.1"), ("w4", "0.05"), ("w5", "0.4"), ("w1", "0.01"))) -> DataFrame:
+    """Run time of every method on four workloads, all of them with all tasks."""
+    return spark.createDataFrame([r for w, minsup in on for r in _race(spark, sf_dir, w, minsup, False)], RUNS)
+
+
+def e1_serial(spark: SparkSession, sf_dir: str, on: tuple = (("w2", "0.1"), ("w5", "0.4"))) -> DataFrame:
+    """The same against rivals in one task each."""
+    return spark.createDataFrame([r for w, minsup in on for r in _race(spark, sf_dir, w, minsup, True)], RUNS)
+
+
+def e2_vectorised(spark: SparkSession, sf_dir: str, on: tuple = (("w2", "0.1"), ("w4", "0.05")), some: int = 60) -> DataFrame:
+    """Counting with the vector kernels and with scalar loops, on the same sets and all transactions of a workload.
+    The first `some` pairs of items: scalar loops need minutes for all."""
+    out = []
+    for w, minsup in on:
+        e, _ = layout.prepare(workloads.BASKETS[w](spark, sf_dir), minsup, folded=False)
+        masks, rows = sorted(joined([1 << p for p in range(len(e.items))]))[:some], []
+        for strategy in ("scalar", "vector", "sliced"):
+            count(e.enc, masks[:2], e.words, strategy)
+            rows.append((strategy, measures.timed(lambda strategy=strategy, e=e, masks=masks: count(e.enc, masks, e.words, strategy))[1]))
+        out += [(w, s, t, measures.gain(rows[0][1], t)) for s, t in rows]
+        e.release()
+    return spark.createDataFrame(out, "workload string, kernel string, seconds double, gain double")
 
 
 def e3_speedup(spark: SparkSession, sf_dir: str, n: int = 4 * ROWS) -> DataFrame:
@@ -85,26 +109,41 @@ def speedup(spark: SparkSession, sf_dir: str, n: int = ROWS, minsup: str = "0.1"
 
 
 def e4_minsup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Run time as the threshold falls, in one task and in all."""
+    """Run time as the threshold falls, in one task and in all, on both generated shapes (the long one is smaller)."""
     rows = []
-    for tasks in (1, spark.sparkContext.defaultParallelism):
-        e = resident(spark, ROWS, 2, tasks)
-        for minsup in ("0.2", "0.1", "0.05"):
-            found, took = measures.timed(lambda e=e, minsup=minsup: interval.mine_encoded(e, minsup))
-            rows.append((tasks, float(minsup), len(found.sets), took))
-        _drop(e)
-    return spark.createDataFrame(rows, "tasks int, minsup double, n_sets int, seconds double")
+    for shape, n, levels in (("log", ROWS, ("0.2", "0.1", "0.05", "0.03")), ("market", ROWS // 20, ("0.3", "0.2", "0.15"))):
+        for tasks in (1, spark.sparkContext.defaultParallelism):
+            e = resident(spark, n, 2, tasks, shape)
+            for minsup in levels:
+                found, took = measures.timed(lambda e=e, minsup=minsup: interval.mine_encoded(e, minsup))
+                rows.append((shape, tasks, float(minsup), len(found.sets), took))
+            _drop(e)
+    return spark.createDataFrame(rows, "shape string, tasks int, minsup double, n_sets int, seconds double")
+
+
+def e4_tables(spark: SparkSession, sf_dir: str, on: tuple = (("w2", ("0.2", "0.1", "0.05")), ("w4", ("0.1", "0.05")))) -> DataFrame:
+    """The same on the node log and the line attributes, encoding included."""
+    rows = []
+    for w, levels in on:
+        tx = kept(workloads.BASKETS[w](spark, sf_dir), "levels")
+        for alone in (True, False):
+            for minsup in levels:
+                with one_task(spark) if alone else nullcontext():
+                    found, took = measures.timed(lambda tx=tx, minsup=minsup, alone=alone: mine(tx.coalesce(1) if alone else tx, minsup, "ic_b"))
+                rows.append((w, "one" if alone else "all", float(minsup), len(found.sets), took))
+        discard(tx)
+    return spark.createDataFrame(rows, "workload string, tasks string, minsup double, n_sets int, seconds double")
 
 
 def e5_size(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Transactions a second by the size of the table: small tables pay for the jobs only."""
     rows = []
-    for n in (10_000, 100_000, 1_000_000):
-        e = resident(spark, n)
-        found, took = measures.timed(lambda e=e: interval.mine_encoded(e, "0.1"))
-        rows.append((n, len(found.sets), took, n / took))
+    for shape, n, minsup in [("log", n, "0.1") for n in (10_000, 100_000, 1_000_000)] + [("market", n, "0.2") for n in (10_000, 100_000)]:
+        e = resident(spark, n, shape=shape)
+        found, took = measures.timed(lambda e=e, minsup=minsup: interval.mine_encoded(e, minsup))
+        rows.append((shape, n, len(found.sets), took, n / took))
         _drop(e)
-    return spark.createDataFrame(rows, "n bigint, n_sets int, seconds double, per_second double")
+    return spark.createDataFrame(rows, "shape string, n bigint, n_sets int, seconds double, per_second double")
 
 
 def e6_stops(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -142,4 +181,4 @@ def e9_loops(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "number string, strategy string, sets int, seconds double")
 
 
-ALL = {f.__name__: f for f in (e1_methods, e2_vectorised, e3_speedup, speedup, e4_minsup, e5_size, e6_stops, e8_layout, e9_loops)}
+ALL = {f.__name__: f for f in (e1_methods, e1_serial, e2_vectorised, e3_speedup, speedup, e4_minsup, e4_tables, e5_size, e6_stops, e8_layout, e9_loops)}

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -167,6 +169,68 @@ def synthetic_masks(spark: SparkSession, n: int, n_patterns: int = 40, avg_patte
     return ids.select(mask.alias("w0"))
 
 
+def drawn_patterns(m: int, n_patterns: int, avg_pattern: float, correlation: float, seed: int) -> list[tuple[int, float, int]]:
+    """(mask, share of picks, level of corruption): lengths are Poisson draws, a part of each pattern comes from the
+    one before, shares fall exponentially; a corrupted pattern loses each item with 1/8, 1/4 or 1/2."""
+    import random
+
+    rng = random.Random(seed)
+    made: list[tuple[int, float, int]] = []
+    before: list[int] = []
+    for _ in range(n_patterns):
+        size, left = 0, math.exp(-avg_pattern)
+        u = rng.random()
+        while u > left and size < m:  # inverse of the Poisson distribution
+            u -= left
+            size += 1
+            left *= avg_pattern / size
+        size = max(1, size)
+        old = rng.sample(before, min(len(before), round(size * min(1.0, rng.expovariate(1 / correlation))))) if correlation else []
+        rest = [p for p in range(m) if p not in old]
+        before = (old + rng.sample(rest, max(0, min(len(rest), size - len(old)))))[:size]
+        made.append((sum(1 << p for p in before), rng.expovariate(1.0), min(2, max(0, round(rng.gauss(1, 0.7))))))
+    total = sum(w for _, w, _ in made)
+    return [(x, w / total, c) for x, w, c in made]
+
+
+def market_masks(spark: SparkSession, n: int, n_patterns: int = 60, avg_pattern: float = 4.0, avg_picks: float = 6.0, noise: int = 2, correlation: float = 0.5, seed: int = 1, partitions: int | None = None) -> DataFrame:
+    """W9 in the shape of the published synthetic data: 64 items, baskets that unite a drawn number of correlated,
+    corrupted patterns and a few random items. n rows of one LONG, from seeded hashes of the row's id: no shuffle, no
+    Python. The mean length grows with avg_picks and avg_pattern."""
+    made = drawn_patterns(64, n_patterns, avg_pattern, correlation, seed)
+    edges, at = [], 0.0
+    for _, w, _ in made:
+        at += w
+        edges.append(at)
+    signed = [x - (1 << 64) if x >> 63 else x for x, _, _ in made]
+    masks = F.array(*[F.lit(x).cast("bigint") for x in signed])
+    levels = F.array(*[F.lit(c) for _, _, c in made])
+    steps = 1024  # the draw of a pattern by its share, looked up
+    table, k = [], 0
+    for s in range(steps):
+        while k < len(edges) - 1 and edges[k] <= (s + 0.5) / steps:
+            k += 1
+        table.append(k)
+    runs = F.array(*[F.lit(x) for x in table])
+    ids = spark.range(0, n, 1, partitions) if partitions else spark.range(n)
+
+    def h(*key):
+        return F.xxhash64("id", *[F.lit(x) for x in key], F.lit(seed))
+
+    most = max(1, math.ceil(2 * avg_picks - 1))
+    picks = F.lit(1) + F.pmod(h(1), F.lit(most)).cast("int")  # 1 .. most, mean avg_picks
+    ids = ids.select("id", picks.alias("picks"), *[F.get(runs, F.pmod(h(2, k), F.lit(steps)).cast("int")).alias(f"p{k}") for k in range(most)])
+    mask = F.lit(0).cast("bigint")
+    for k in range(most):
+        level = F.get(levels, F.col(f"p{k}"))
+        half = h(3, k)
+        keep = F.when(level == 2, half).when(level == 1, half.bitwiseOR(h(4, k))).otherwise(half.bitwiseOR(h(4, k)).bitwiseOR(h(5, k)))
+        mask = mask.bitwiseOR(F.when(F.col("picks") > k, F.get(masks, F.col(f"p{k}")).bitwiseAND(keep)).otherwise(F.lit(0).cast("bigint")))
+    for k in range(noise):
+        mask = mask.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(h(6, k), F.lit(64)).cast("int")))
+    return ids.select(mask.alias("w0"))
+
+
 BASKETS = {"w1": w1, "w2": w2, "w3": w3, "w4": w4, "w5": w5, "w6": w6, "w7": w7, "w8": w8}
 TIDS = {"w5": w5_tids}
 
