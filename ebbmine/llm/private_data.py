@@ -34,6 +34,8 @@ PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 TERM = r"\p{L}{4,}+"
 #: Letters of a stem; its sign is no letter, so no term is a stem.
 STEM, SIGN = 4, "*"
+#: Terms, or hashes of texts, that are broadcast at most.
+LISTED = 1_000_000
 NO_TERMS = "array<struct<start:int,kind:int,end:int,value:string,cut:boolean>>"
 
 
@@ -122,6 +124,12 @@ def terms_with(base: DataFrame) -> tuple[DataFrame, DataFrame]:
     return held, written(rows.where(apart).select("row", "text_hash", F.lower("t.value").alias("term"), "t.start", "t.end"), "private-terms")
 
 
+def _listed(df: DataFrame) -> DataFrame:
+    """A side of a join: broadcast if it has no more rows than LISTED, else joined by a shuffle."""
+    df = written(df, "private-listed")
+    return F.broadcast(df) if df.count() <= LISTED else df
+
+
 def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFrame) -> DataFrame:
     """entity, term, disclosure of the pairs with evidence, terms and stems. All four counts run over distinct texts, without the one at hand."""
     words = terms.select("text_hash", "term").distinct()
@@ -131,13 +139,15 @@ def disclosures(docs: DataFrame, base: DataFrame, held: DataFrame, terms: DataFr
     entities = held.select("entity", "text_hash").distinct().groupBy("entity").agg((F.count("*") - 1).alias("n_entity"))
     texts = written(base.groupBy("text_hash").agg(F.count("*").alias("rows")), "private-texts")
     total = F.lit(texts.count() - 1)
-    # the hash of a text that comes more than once is kept until its terms are counted once; the others are summed up at once
-    copied = texts.where("rows > 1").select(F.col("text_hash").alias("copy"))
+    # only terms of a pair are counted; they and the copied texts go to the rows, so that no text is shuffled
+    wanted = _listed(pairs.select("term").distinct())
+    # a text that comes c times adds c rows to its terms' counts of such texts, which are divided by c: no hash travels with a term
+    copied = _listed(texts.where("rows > 1"))
     rows = docs.select(docs["text"].cast("string").alias("text"))
-    rows = rows.join(copied, F.xxhash64("text") == F.col("copy"), "left")
-    found = rows.select("copy", F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0))).alias("words"))
-    every = found.select("copy", F.explode(F.concat("words", F.array_distinct(F.transform("words", _stem)))).alias("term"))
-    counts = every.groupBy("term", "copy").agg(F.count("*").alias("n")).groupBy("term").agg((F.sum(F.when(F.col("copy").isNull(), F.col("n")).otherwise(1)) - 1).alias("n_term"))
+    found = rows.select(F.xxhash64("text").alias("text_hash"), F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit(TERM), F.lit(0))).alias("words"))
+    found = found.join(copied, "text_hash", "left").select("words", F.coalesce("rows", F.lit(1).cast("bigint")).alias("rows"))
+    every = found.select("rows", F.explode(F.concat("words", F.array_distinct(F.transform("words", _stem)))).alias("term")).join(wanted, "term")
+    counts = every.groupBy("term", "rows").agg(F.count("*").alias("n")).groupBy("term").agg((F.sum(F.expr("n div rows")) - 1).alias("n_term"))
     pmi = F.log2(total * F.col("n_both") / (F.greatest("n_term", "n_both") * F.col("n_entity")))
     return (
         pairs.join(counts, "term").join(entities, "entity")

@@ -10,6 +10,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from ebbmine.llm import decontamination, pieces, private_data, toxicity
+from ebbmine.plans.inspect import formatted
 from ebbmine.llm.main_text import extract_main_text, main_text
 
 LONG = "word, " * 40
@@ -102,6 +103,24 @@ def test_copies_of_a_text_count_once(spark):
     assert all(("zyxwvut", True) in [(t["value"], t["cut"]) for t in r["terms"]] for r in got if r["doc_id"] < 1000)
 
 
+def test_terms_are_counted_without_shuffling_texts(spark, monkeypatch):
+    """No text goes through a shuffle, whether the counted terms and the copied texts are broadcast or not, and the counts are the same."""
+    rows = [f"common words {'x' * (k % 9 + 4)} by an{k % 3}@mail.com" for k in range(40)] + [f"common weather {'y' * (k % 5 + 4)}" for k in range(30)]
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id bigint, text string")
+    base, found = private_data.find_base(df), []
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        for listed in (1000, 0):
+            monkeypatch.setattr(private_data, "LISTED", listed, raising=False)
+            got = private_data.disclosures(df, base, *private_data.terms_with(base))
+            assert not re.search(r"\) Exchange\nInput \[\d+\]: \[[^\]]*\btext#", formatted(got))
+            found.append({(r["entity"], r["term"]): r["disclosure"] for r in got.collect()})
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert len(found[0]) > 10 and found[0] == found[1]
+
+
 def test_terms_far_from_a_value_disclose(spark):
     """The name stands hundreds of characters away from the address, and twice."""
     filler = "Nothing else happened there. " * 20
