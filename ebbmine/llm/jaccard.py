@@ -19,7 +19,7 @@
    beyond the bound (sets of like size) is dealt into random units; then a few documents of each
    component so far stand for it and meet in units again, until that joins no more. Documents outside the cluster's
    main component (here: of a cell) then ask the groups (parts of components) that share an early token with their own,
-   and no others: no task holds an unbounded cluster, and its sets travel to where a link can be.
+   and no others, without documents that share too few tokens with other components to be linked to any: no task holds an unbounded cluster, and its sets travel to where a link can be.
 
 Equal sets and very common early tokens are collapsed within a task before the shuffle, so what is
 held by a third of all rows adds an entry a task. Null or empty text and texts without words: the
@@ -253,7 +253,7 @@ def _counts(buckets: int):
 
 
 def _early(unit: pa.Table) -> pa.Table:
-    """From the shared tokens of some documents (kinds 0, 1) and what these documents want (2, 3): their early tokens that others hold."""
+    """From the shared tokens of some documents (kinds 0, 1) and what these documents want (2, 3): their early tokens that others hold, packed, a row a document."""
     kinds = unit["kind"].to_numpy()
     space = int(kinds[0]) % 2
     tokens, docs, counts = _unpacked(unit.filter(pa.array(kinds < WANTS)), True)
@@ -267,11 +267,9 @@ def _early(unit: pa.Table) -> pa.Table:
         left = p - (counted - (end - begin))  # early places that tokens of this document alone do not fill
         for d, b, n in zip(who.tolist(), begin.tolist(), np.minimum(left, end - begin).tolist()):
             if n > 0:
-                out_docs.append(np.full(n, d, np.int64))
-                out_tokens.append(tokens[b : b + n] ^ MIX[space])
-    docs = np.concatenate(out_docs) if out_docs else np.empty(0, np.int64)
-    tokens = np.concatenate(out_tokens) if out_tokens else np.empty(0, U)
-    return pa.table({"token": pa.array(tokens.astype(np.int64)), "doc_id": pa.array(docs)})
+                out_docs.append(d)
+                out_tokens.append((tokens[b : b + n] ^ MIX[space]).astype(np.int64))
+    return pa.table({"doc_id": pa.array(out_docs, pa.int64()), "tokens": pa.array(out_tokens, pa.list_(pa.int64()))})
 
 
 def common_tokens(rows: DataFrame, total: int, words: int, sample: int = 8_000, share: int = 1_000) -> np.ndarray:
@@ -387,9 +385,9 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     packed = ["kind", "doc_id", "n", "fp1", "bucket", "tokens", "docs"]
     counted = scan.where(F.col("kind").isin(*PACKED)).select(*packed).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_counts(buckets), SCAN)
     wants = scan.where(F.col("kind").isin(WANTS, WANTS + 1)).select(*packed).withColumn("bucket", F.pmod(F.col("doc_id"), F.lit(buckets)))
-    early = counted.select(*packed).unionAll(wants).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_early, "token bigint, doc_id bigint")
+    early = written(counted.select(*packed).unionAll(wants).groupBy((F.col("kind") % 2).alias("space"), "bucket").applyInArrow(_early, "doc_id bigint, tokens array<bigint>"), "early")
     direct = scan.where(F.col("kind") == DIRECT).select(F.col("bucket").alias("token"), "doc_id")
-    postings = written(early.unionAll(direct), "early")
+    postings = early.select(F.explode("tokens").alias("token"), "doc_id").unionAll(direct)
     leads = postings.groupBy("token").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").drop("last")
     met = postings.join(leads, "token").where("doc_id <> lead").select(F.col("doc_id").alias("a"), F.col("lead").alias("b"))
     near = scan.where(F.col("kind") == LOCAL).select(F.col("doc_id").alias("a"), F.col("bucket").alias("b"))
@@ -398,9 +396,8 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     named = written(sets.where("n > 0").join(ends, "doc_id").join(classes.drop("n"), ["fp1", "fp2"]).select("doc_id", "rep").distinct(), "named")
     edges = found.join(named.select(F.col("doc_id").alias("a"), F.col("rep").alias("ra")), "a").join(named.select(F.col("doc_id").alias("b"), F.col("rep").alias("rb")), "b")
     cluster = components(edges.select(F.col("ra").alias("a"), F.col("rb").alias("b")))
-    direct = scan.where(F.col("kind") == EARLY).select("doc_id", "tokens").mapInArrow(_unrolled, "token bigint, doc_id bigint")
-    early = postings.unionAll(direct).join(named, "doc_id").select("token", "rep")
-    links = _links(rows, classes, cluster, early, words, num, den)
+    early = early.unionAll(scan.where(F.col("kind") == EARLY).select("doc_id", "tokens").mapInArrow(_listing, "doc_id bigint, tokens array<bigint>"))
+    links = _links(rows, classes, cluster, early, named, words, num, den)
     joined = components(links)
     by_set = classes.join(joined, classes["rep"] == joined["node"], "left").select("fp1", "fp2", F.coalesce("component", "rep").alias("component_id"))
     out = sets.join(by_set, ["fp1", "fp2"], "left")
@@ -409,11 +406,10 @@ def jaccard_components(docs: DataFrame, words: int = 3, num: int = 9, den: int =
     )
 
 
-def _unrolled(batches):
+def _listing(batches):
     for batch in batches:
-        tokens = [np.frombuffer(x, np.int64) for x in batch.column("tokens").to_pylist()]
-        docs = np.repeat(batch.column("doc_id").to_numpy(), [len(x) for x in tokens]) if tokens else np.empty(0, np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens) if tokens else docs), pa.array(docs)], ["token", "doc_id"])
+        tokens = pa.array([np.frombuffer(x, np.int64) for x in batch.column("tokens").to_pylist()], pa.list_(pa.int64()))
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), tokens], ["doc_id", "tokens"])
 
 
 def _listed(df: DataFrame, most: int) -> DataFrame:
@@ -421,8 +417,8 @@ def _listed(df: DataFrame, most: int) -> DataFrame:
     return F.broadcast(df) if df.count() <= most else df
 
 
-def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataFrame, words: int, num: int, den: int, listed: int = 400_000) -> DataFrame:
-    """Verified links (a, b) that connect what is connected in each cluster; early(token, rep): the early tokens of documents."""
+def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataFrame, named: DataFrame, words: int, num: int, den: int, listed: int = 400_000) -> DataFrame:
+    """Verified links (a, b) that connect what is connected in each cluster; early(doc_id, tokens): early tokens of documents, packed; named(doc_id, rep): their classes."""
     members = written(classes.join(cluster, classes["rep"] == cluster["node"]).select("rep", "n", "fp1", "fp2", F.col("component").alias("cluster")), "members")
 
     def fill(batches):
@@ -489,11 +485,69 @@ def _links(rows: DataFrame, classes: DataFrame, cluster: DataFrame, early: DataF
         state = written(state.join(merged, state["known"] == merged["node"], "left").select("cluster", "rep", "n", F.coalesce("component", "known").alias("known")), "known")
         if left["units"] == 1:
             break
-    return found.unionAll(_rest(full, state, early, check, shape, listed)).select("a", "b")
+    return found.unionAll(_rest(full, _able(full, state, num, den, listed), early, named, check, shape, listed)).select("a", "b")
 
 
-def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str, listed: int) -> DataFrame:
-    """Links between the components of a cluster, group by group: documents outside the main one ask the groups that share an early token with theirs."""
+def _dealt(buckets: int, slice_docs: int = 500):
+    def run(batches):
+        """Rows of packed tokens with the documents that hold them, dealt over buckets by cell and token."""
+        for whole in batches:
+            for batch in (whole.slice(at, slice_docs) for at in range(0, whole.num_rows, slice_docs)):
+                tokens = [np.frombuffer(x, U) for x in batch.column("tokens").to_pylist()]
+                docs = np.stack([batch.column(c).to_numpy() for c in ("cluster", "rep", "known")], 1)
+                at = np.repeat(np.arange(len(tokens)), [len(x) for x in tokens])
+                keys = _mixed(np.concatenate(tokens) ^ docs[at, 0].astype(U))
+                bucket = (keys % U(buckets)).astype(np.int64)
+                order = np.argsort(bucket, kind="stable")
+                bucket, keys, at = bucket[order], keys[order], at[order].astype(np.uint32)
+                first = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1])).tolist()
+                ends = [*first[1:], len(bucket)]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(bucket[first]), pa.array([keys[a:b].tobytes() for a, b in zip(first, ends)]), pa.array([at[a:b].tobytes() for a, b in zip(first, ends)]), pa.array([docs.tobytes()] * len(first))],
+                    ["bucket", "tokens", "at", "docs"],
+                )
+
+    return run
+
+
+def _owned(unit: pa.Table) -> pa.Table:
+    """How many tokens of each document only its own component holds in its cell."""
+    keys, at, docs, base = [], [], [], 0
+    for k, a, d in zip(*(unit[c].to_pylist() for c in ("tokens", "at", "docs"))):
+        keys.append(np.frombuffer(k, U))
+        at.append(np.frombuffer(a, np.uint32).astype(np.int64) + base)
+        docs.append(np.frombuffer(d, np.int64).reshape(-1, 3))
+        base += len(docs[-1])
+    keys, at, docs = np.concatenate(keys), np.concatenate(at), np.concatenate(docs)
+    order = np.argsort(keys, kind="stable")
+    keys, at = keys[order], at[order]
+    starts = np.flatnonzero(np.append(True, keys[1:] != keys[:-1]))
+    known = docs[at, 2]
+    alone = np.minimum.reduceat(known, starts) == np.maximum.reduceat(known, starts)
+    own = np.bincount(at[np.repeat(alone, np.diff(np.append(starts, len(keys))))], minlength=base)
+    some = np.flatnonzero(own)
+    return pa.table({"cluster": pa.array(docs[some, 0]), "rep": pa.array(docs[some, 1]), "own": pa.array(own[some])})
+
+
+def _able(full: DataFrame, state: DataFrame, num: int, den: int, listed: int, turns: int = 2) -> DataFrame:
+    """The rows of state that may link with another component of their cell: a document shares at most the tokens
+    that it does not hold alone with its component, and a link needs num / (num + den) of both sizes. Who cannot
+    reach that with the least size allowed in the cell has no such link, and goes; then fewer tokens are shared by the others."""
+    n, own = F.col("n"), F.coalesce("own", F.lit(0).cast("bigint"))
+    for _ in range(turns):
+        buckets = 16 + (state.agg(F.sum("n").alias("n")).first()["n"] or 0) // 2_000_000
+        held = full.select("rep", "tokens").join(_listed(state.drop("n"), listed), "rep").select("cluster", "rep", "known", "tokens")
+        owned = held.mapInArrow(tidy(_dealt(buckets)), "bucket bigint, tokens binary, at binary, docs binary").groupBy("bucket").applyInArrow(_owned, "cluster bigint, rep bigint, own bigint")
+        owned = written(owned.groupBy("cluster", "rep").agg(F.sum("own").alias("own")), "own-tokens")
+        least = state.groupBy("cluster").agg(F.min("n").alias("least"))
+        may = (n - own) * (num + den) >= num * (n + F.greatest(F.ceil(n * num / den).cast("bigint"), F.col("least")))
+        state = written(state.join(owned, ["cluster", "rep"], "left").join(_listed(least, listed), "cluster").where(may).select("cluster", "rep", "n", "known"), "able")
+    return state
+
+
+def _rest(full: DataFrame, state: DataFrame, early: DataFrame, named: DataFrame, check, shape: str, listed: int) -> DataFrame:
+    """Links between the components of a cluster, group by group: documents outside the main one ask the groups that share an early token with theirs.
+    Early tokens travel packed, a row a document; to a pair of groups go only the documents that hold one of the tokens it shares."""
     sizes = written(state.groupBy("cluster", "known").agg(F.count("*").alias("docs"), F.sum("n").alias("shingles")), "parts")
     main = sizes.groupBy("cluster").agg(F.max(F.struct("docs", "known")).alias("top"), F.count("*").alias("parts")).where("parts > 1").select("cluster", F.col("top.known").alias("main"))
     # groups: slices of a large component; small components share groups
@@ -505,12 +559,15 @@ def _rest(full: DataFrame, state: DataFrame, early: DataFrame, check, shape: str
     gid = F.xxhash64("cluster", "group").alias("gid")
     placed = state.join(plan.select("cluster", "known", "slices", "shared", "main"), ["cluster", "known"]).select("cluster", "rep", "known", group.alias("group"), (F.col("known") != F.col("main")).alias("apart"))
     placed = written(placed.select("cluster", "rep", "known", "apart", gid, F.col("group.of").alias("of")), "placed")
-    held = written(early.join(placed, "rep").select("token", "cluster", "gid", "of", "apart").distinct(), "early-held")
+    who = written(named.join(_listed(placed.select("rep").distinct(), listed), "rep"), "placed-named")
+    mine = early.join(_listed(who, listed), "doc_id").groupBy("rep").agg(F.array_distinct(F.flatten(F.collect_set("tokens"))).alias("mine"))
+    mine = written(mine.join(placed, "rep"), "placed-early")
+    held = written(mine.select("cluster", "gid", "of", "apart", F.explode("mine").alias("token")).distinct(), "early-held")
     ask = held.where("apart").select("token", "cluster", F.col("gid").alias("ask"), F.col("of").alias("ask_of")).distinct()
     met = ask.join(held.select("token", "cluster", "gid", "of").distinct(), ["token", "cluster"]).where("ask_of <> of or of = -1")
-    pairs = written(met.select("cluster", F.least("ask", "gid").alias("low"), F.greatest("ask", "gid").alias("high")).distinct(), "group-pairs")
+    pairs = written(met.groupBy("cluster", F.least("ask", "gid").alias("low"), F.greatest("ask", "gid").alias("high")).agg(F.collect_set("token").alias("shared")), "group-pairs")
     sides = pairs.withColumn("gid", F.explode(F.array_distinct(F.array("low", "high"))))
-    units = _listed(placed, listed).join(sides, ["cluster", "gid"]).select("cluster", "low", "high", "rep", "known", F.col("apart").alias("asking"))
+    units = mine.join(sides, ["cluster", "gid"]).where(F.arrays_overlap("mine", "shared")).select("cluster", "low", "high", "rep", "known", F.col("apart").alias("asking"))
     units = written(units, "group-units")
     return written(full.select("rep", "tokens").join(_listed(units, listed), "rep").groupBy("cluster", "low", "high").applyInArrow(check, shape), "links")
 

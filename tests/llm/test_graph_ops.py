@@ -157,6 +157,37 @@ def test_jaccard(spark, k, num, den, monkeypatch):
     assert jaccard.jaccard_components(df.limit(0), k, num, den).count() == 0
 
 
+def test_jaccard_sends_only_documents_that_may_link(spark, monkeypatch):
+    """A family of like texts: most have too many words of their own for any link, and are not sent from group to group."""
+    rng, words = random.Random(3), [f"b{k}" for k in range(240)]
+    texts = []
+    for k in range(160):
+        mine = list(words)
+        for at in rng.sample(range(240), 5 if k < 140 else 2):
+            mine[at] = f"own{k}x{at}"
+        texts.append(" ".join(mine))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string")
+    monkeypatch.setattr(jaccard, "UNIT_DOCS", 10)
+    sent, write = {}, jaccard.written
+
+    def counted(table, label, *more):
+        out = write(table, label, *more)
+        sent[label] = sent.get(label, 0) + out.count()
+        return out
+
+    monkeypatch.setattr(jaccard, "written", counted)
+    got = {r["doc_id"]: r["component_id"] for r in jaccard.jaccard_components(df, 3, 9, 10).collect()}
+    assert sent["large-cells"] and sent.get("group-units", 0) < 4 * len(texts)
+    sets = [set(zip(w, w[1:], w[2:])) for w in (t.split() for t in texts)]
+    root = list(range(len(texts)))
+    for a in range(len(texts)):
+        for b in range(a):
+            if 10 * len(sets[a] & sets[b]) >= 9 * len(sets[a] | sets[b]) and root[a] != root[b]:
+                low, high = sorted((root[a], root[b]))
+                root = [low if x == high else x for x in root]
+    assert got == dict(enumerate(root)) and 100 < len(set(root)) < 160
+
+
 def test_jaccard_pair_on_both_sides_of_the_early_tokens(spark):
     """Of two near copies one has just as many counted tokens as early places, the other one fewer; nobody else holds them."""
     inside, outside = [], []
