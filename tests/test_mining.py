@@ -201,3 +201,18 @@ def test_encode_rows_and_sizes(spark):
     assert layout.size_bytes(17_771, 480_189) == 17_771 * 7503 * 8
     assert interval.plan_chunks(10, 3) == 4 and interval.plan_chunks(10) == 2 and interval.plan_chunks(10, 50) == 1
     assert measures.speedup(2.0, 2.0) == 1 and measures.efficiency(8.0, 2.0, 4) == 1 and measures.gain(3.0, 1.5) == 2
+
+
+def test_mllib_makes_its_baskets_once(spark):
+    """What the baskets are made from is read once, however many counts and passes follow."""
+    rows = spark.sparkContext.accumulator(0)
+
+    def seen(batches):
+        for batch in batches:
+            rows.add(batch.num_rows)
+            yield batch
+
+    tx = spark.createDataFrame([(k, f"i{j}") for k in range(40) for j in range(3)], "tid bigint, item string").mapInArrow(seen, "tid bigint, item string")
+    found = mine(tx, "0.5", "mllib")
+    assert len(found.sets) == 7 and found.n == 40
+    assert rows.value == 120
