@@ -1,11 +1,12 @@
-"""Equal baskets: folded before they are encoded, made once; results stay those of single ones."""
+"""Equal baskets: folded before they are encoded, made once, and dealt as copies; results stay those of single ones."""
 
 import pytest
 from pyspark.sql import functions as F
 
 from ebbmine import experiments
-from ebbmine.operators import layout
+from ebbmine.operators import layout, treegrowth
 from ebbmine.operators.counting import count
+from ebbmine.operators.mining import mine
 from ebbmine.sources import workloads
 
 
@@ -55,6 +56,17 @@ def test_levels_make_their_baskets_once(spark, monkeypatch):
     assert groups.value == 41
 
 
+def test_mllib_is_dealt_equal_baskets_as_copies(spark, monkeypatch):
+    """What is written for Spark's miner has a row for many equal baskets; it still mines every transaction."""
+    rows = [(k, x) for k in range(150) for x in ("a", "b", "c")] + [(k, x) for k in range(150, 170) for x in ("b", "d")]
+    tx, tids = spark.createDataFrame(rows, "tid bigint, item string"), spark.range(175).select(F.col("id").alias("tid"))
+    written, real = [], treegrowth.kept
+    monkeypatch.setattr(treegrowth, "kept", lambda df, *more: (out := real(df, *more), written.append(out.count()))[0])
+    got, want = (mine(tx, "0.1", method, tids=tids) for method in ("mllib", "level"))
+    assert got.sets == want.sets and (got.n, got.need) == (want.n, want.need) == (175, 18) and len(got.sets) == 9
+    assert written == [5]  # 64 + 64 + 22 copies, 20 and 5 empty ones
+
+
 def test_records_are_baskets_already(spark):
     """The baskets that w4 gives beside its rows are those that the rows make."""
     tx = workloads.w4(spark, "/root/testdata/sf0.001")
